@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, langid, quality, toxicity
+from . import decontaminate, langid, quality, setjoin, toxicity
 from .base import table
 
 
@@ -20,9 +20,13 @@ def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(table(spark, sf_dir, "documents"))
 
 
+def op8_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return setjoin.join(table(spark, sf_dir, "documents"))
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rank(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES = {f.__name__: f for f in (op5_toxicity, op6_decontamination, op7_language, op9_quality)}
-ORACLES = {"op6_decontamination": decontaminate.ORACLE}
+QUERIES = {f.__name__: f for f in (op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality)}
+ORACLES = {"op6_decontamination": decontaminate.ORACLE, "op8_set_join": setjoin.ORACLE}
