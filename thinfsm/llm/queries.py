@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, langid, quality, setjoin, toxicity
+from . import decontaminate, langid, pii, quality, setjoin, toxicity
 from .base import table
 
 
@@ -28,5 +28,9 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.rank(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES = {f.__name__: f for f in (op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality)}
+def op10_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(pii.find(table(spark, sf_dir, "documents"), keep=("doc_id",)))
+
+
+QUERIES = {f.__name__: f for f in (op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
 ORACLES = {"op6_decontamination": decontaminate.ORACLE, "op8_set_join": setjoin.ORACLE}
