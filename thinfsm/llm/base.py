@@ -134,10 +134,13 @@ def unit_roots(counts: np.ndarray) -> np.ndarray:
 def sample_ids(rows: DataFrame, id_col: str, label_col: str, most: int) -> DataFrame:
     """Ids of at most ``most`` rows, shared evenly among labels, chosen by a hash of the id.
 
-    Only ids and labels are read.  The rank filter is pushed below the shuffle, so that a hot
-    label sends ``most`` rows per task at most."""
-    labels = [r[0] for r in rows.select(label_col).distinct().orderBy(label_col).limit(most).collect()]
-    quota = max(1, most // max(1, len(labels)))
-    w = Window.partitionBy("__label").orderBy(F.xxhash64(F.col("__id")), "__id")
+    Only ids and labels are read.  Labels are counted over all rows first; a threshold on the
+    hash then leaves about twice the quota of each label, however hot, before the ranking."""
     ids = rows.select(F.col(id_col).alias("__id"), F.col(label_col).alias("__label")).filter("__id is not null")
+    counts = ids.groupBy("__label").count().orderBy(F.desc("count"), "__label").limit(most).collect()
+    quota = max(1, most // max(1, len(counts)))
+    share = ids.sparkSession.createDataFrame([(r[0], min(1.0, (2 * quota + 50) / r[1])) for r in counts], "__label string, __share double")
+    draw = F.pmod(F.xxhash64("__id"), F.lit(1 << 30)) / float(1 << 30)
+    ids = ids.withColumn("__label", F.col("__label").cast("string")).join(F.broadcast(share), "__label").filter(draw < F.col("__share"))
+    w = Window.partitionBy("__label").orderBy(F.xxhash64("__id"), "__id")
     return ids.withColumn("__rank", F.row_number().over(w)).filter(F.col("__rank") <= quota).select("__id", "__label").dropDuplicates(["__id"])
