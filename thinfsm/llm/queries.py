@@ -5,14 +5,23 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, langid, pii, quality, setjoin, topk, toxicity
+from . import decontaminate, fixity, langid, pii, quality, quotes, setjoin, topk, toxicity
 from .base import table
 
 
+def op2_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages")
+    return fixity.audit(pages, fixity.damaged(pages)).drop("path")
+
+
 def op3_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.search(table(spark, sf_dir, "embeddings"), F.col("id") % 50 == 0)
 
 
+def op4_quotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quotes.link(quotes.as_mail(table(spark, sf_dir, "conversations")))
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.detect(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -37,5 +46,5 @@ def op10_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(pii.find(table(spark, sf_dir, "documents"), keep=("doc_id",)))
 
 
-QUERIES = {f.__name__: f for f in (op3_top_k, op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
-ORACLES = {"op3_top_k": topk.ORACLE, "op6_decontamination": decontaminate.ORACLE, "op8_set_join": setjoin.ORACLE}
+QUERIES = {f.__name__: f for f in (op2_fixity, op3_top_k, op4_quotation, op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
+ORACLES = {"op2_fixity": fixity.ORACLE, "op4_quotation": quotes.ORACLE, "op3_top_k": topk.ORACLE, "op6_decontamination": decontaminate.ORACLE, "op8_set_join": setjoin.ORACLE}
