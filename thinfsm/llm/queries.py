@@ -5,10 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, fixity, langid, pii, quality, quotes, setjoin, topk, toxicity
+from . import decontaminate, fixity, langid, mixing, pii, quality, quotes, setjoin, topk, toxicity
 from .base import table
 
 
+def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    domains = mixing.domains_of(table(spark, sf_dir, "labels"))
+    return mixing.mix(table(spark, sf_dir, "documents"), domains, mixing.TARGETS, keep=("doc_id",))
+
+
 def op2_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages")
     return fixity.audit(pages, fixity.damaged(pages)).drop("path")
@@ -46,5 +51,5 @@ def op10_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(pii.find(table(spark, sf_dir, "documents"), keep=("doc_id",)))
 
 
-QUERIES = {f.__name__: f for f in (op2_fixity, op3_top_k, op4_quotation, op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_fixity, op3_top_k, op4_quotation, op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
 ORACLES = {"op2_fixity": fixity.ORACLE, "op4_quotation": quotes.ORACLE, "op3_top_k": topk.ORACLE, "op6_decontamination": decontaminate.ORACLE, "op8_set_join": setjoin.ORACLE}

@@ -38,6 +38,7 @@ from .base import LOWER_BYTES, chunks, drop, store, text_buffer
 
 U = np.uint64
 SLOTS, SLICES = 1 << 20, 64
+MARKS = 1 << 23
 BITS = 4  # 64-bit words of a signature
 BLOCK = 256
 _rng = np.random.default_rng(20240607)
@@ -270,31 +271,71 @@ def candidates(entries: DataFrame, percent: int, forest: bool) -> DataFrame:
     return lists.mapInArrow(run, "a long, b long").distinct()
 
 
-def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs with ``ok``: whether their whole sets link."""
+def presence(nodes: DataFrame) -> np.ndarray:
+    """A bit for each hash slot that holds a node: a filter of fixed size, whatever the number of nodes."""
+
+    def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = np.zeros(MARKS, bool)
+        for b in batches:
+            bits[slot_of(b.column("node").to_numpy())] = True
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(SLICES)), pa.array([x.tobytes() for x in np.packbits(bits).reshape(SLICES, -1)], pa.binary())], names=["slice", "bits"])
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own: dict[int, np.ndarray] = {}
+        for b in batches:
+            for k, x in zip(b.column("slice").to_pylist(), b.column("bits")):
+                own[k] = own.get(k, 0) | np.frombuffer(x.as_buffer(), np.uint8)
+        yield pa.RecordBatch.from_arrays([pa.array(list(own), pa.int64()), pa.array([x.tobytes() for x in own.values()], pa.binary())], names=["slice", "bits"])
+
+    bits = np.zeros((SLICES, MARKS // SLICES // 8), np.uint8)
+    for k, x in nodes.mapInArrow(mark, "slice long, bits binary").repartition("slice").mapInArrow(merge, "slice long, bits binary").collect():  # MARKS bits
+        bits[k] |= np.frombuffer(x, np.uint8)
+    return bits.reshape(-1)
+
+
+def slot_of(node: np.ndarray) -> np.ndarray:
+    return (mix(node.astype(np.int64).view(np.uint64)) & U(MARKS - 1)).astype(np.int64)
+
+
+def texts_of(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """node, text of the nodes in the pairs.  Most other documents are dropped where they are read, by the filter of presence()."""
     nodes = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+    sent = docs.sparkSession.sparkContext.broadcast(presence(nodes))
 
-    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def likely(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = np.unpackbits(sent.value).astype(bool)
         for b in batches:
-            data, off = text_buffer(b.column("text"))
-            for i, j in chunks(off):
-                yield pa.RecordBatch.from_arrays([b.column("node").slice(i, j - i), pa.array([s.tobytes() for s in sets(data, off, i, j, width)], pa.binary())], names=["node", "items"])
+            b = b.filter(b.column("doc_id").is_valid())
+            b = b.filter(pa.array(bits[slot_of(b.column("doc_id").to_numpy())]))
+            if b.num_rows:
+                yield b
+
+    few = docs.mapInArrow(likely, docs.schema)
+    return store(few.join(nodes, few["doc_id"] == nodes["node"]).select("node", "text"))
 
-    own = store(docs.join(nodes, docs["doc_id"] == nodes["node"]).select("node", "text").mapInArrow(read, "node long, items binary"))
+
+def verified(pairs: DataFrame, own: DataFrame, width: int, percent: int) -> DataFrame:
+    """The pairs with ``ok``: whether their whole sets link.  own: texts_of() the nodes."""
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ok = []
-            for x, y in zip(b.column("x"), b.column("y")):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                ok.append(100 * both >= percent * (len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
-
-    both = pairs.join(own.select(F.col("node").alias("a"), F.col("items").alias("x")), "a").join(own.select(F.col("node").alias("b"), F.col("items").alias("y")), "b")
-    out = store(both.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long, ok boolean").groupBy("a", "b").agg(F.max("ok").alias("ok")))
-    drop(own)
-    return out
+            ok = np.zeros(b.num_rows, bool)
+            left, right = text_buffer(b.column("x")), text_buffer(b.column("y"))
+            for i, j in chunks(left[1] + right[1]):
+                for k, (x, y) in enumerate(zip(sets(*left, i, j, width), sets(*right, i, j, width)), i):
+                    both = len(np.intersect1d(x, y, assume_unique=True))
+                    ok[k] = 100 * both >= percent * (len(x) + len(y) - both)
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(ok)], names=["a", "b", "ok"])
+
+    both = pairs.join(own.select(F.col("node").alias("a"), F.col("text").alias("x")), "a").join(own.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
+    return store(both.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long, ok boolean").groupBy("a", "b").agg(F.max("ok").alias("ok")))
+
+
+def between(pairs: DataFrame, parts: DataFrame) -> DataFrame:
+    """The pairs whose ends are in different parts."""
+    side = lambda c: parts.select(F.col("node").alias(c), F.col("part").alias(f"p{c}"))
+    both = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left")
+    return both.filter(F.coalesce("pa", "a") != F.coalesce("pb", "b")).select("a", "b")
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
@@ -327,19 +368,27 @@ def join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", wid
     folded = entries.filter("n > 0 and doc_id is not null").groupBy("n", "f1", "f2").agg(F.min(F.struct("doc_id", "sig", "keys")).alias("x"))
     nodes = store(folded.select(F.col("x.doc_id").alias("node"), F.col("x.doc_id").alias("part"), "n", "f1", "f2", "x.sig", "x.keys"))
     pairs = store(candidates(nodes, percent, forest=True))
-    links = verified(pairs, docs, width, percent)
-    parts = components(links.filter("ok"))
+    own = texts_of(pairs, docs)
+    # First one pair for each node, then those that still join different parts.
+    first = verified(pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), own, width, percent)
+    parts = components(first.filter("ok"))
+    second = verified(between(pairs, parts).join(first, ["a", "b"], "left_anti"), own, width, percent)
+    links = first.unionByName(second)
+    if not second.filter("ok").isEmpty():
+        parts = components(links.filter("ok"))
     if not links.filter("not ok").isEmpty():
         # Candidate groups that fell into several parts: all candidates between the parts.
         groups = components(pairs).withColumnRenamed("part", "grp")
-        own = groups.join(parts, "node", "left").select("node", "grp", F.coalesce("part", "node").alias("part"))
-        torn = own.groupBy("grp").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).filter("lo <> hi").select("grp")
-        again = store(own.join(torn, "grp").select("node", "part"))
+        state = groups.join(parts, "node", "left").select("node", "grp", F.coalesce("part", "node").alias("part"))
+        torn = state.groupBy("grp").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).filter("lo <> hi").select("grp")
+        again = store(state.join(torn, "grp").select("node", "part"))
         if not again.isEmpty():
             more = candidates(nodes.drop("part").join(again, "node"), percent, forest=False)
-            more = store(more.join(pairs, ["a", "b"], "left_anti"))
-            new = verified(more, docs, width, percent).filter("ok")
-            parts = components(links.filter("ok").select("a", "b").unionByName(new.select("a", "b")))
+            more = store(more.join(links, ["a", "b"], "left_anti"))
+            new = verified(more, own, width, percent).filter("ok")
+            if not new.isEmpty():
+                parts = components(links.filter("ok").select("a", "b").unionByName(new.select("a", "b")))
+    drop(own)
     classes = nodes.select("n", "f1", "f2", "node").join(parts, "node", "left").select("n", "f1", "f2", F.coalesce("part", "node").alias("component"))
     if nodes.groupBy("node").count().filter("count > 1").isEmpty():
         classes = store(classes)
