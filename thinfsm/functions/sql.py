@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import IntegerType, StringType
 
 from .. import giant
 from ..match import Matcher
@@ -15,13 +16,13 @@ from ..plans.dictionary import _DEPTH, _HEAD, W, _depth_defaults, _matcher, base
 QUERIES, ORACLES = {}, {}
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def fsm_similarity(a: pd.Series, b: pd.Series) -> pd.Series:
     """Positions on which two rows agree."""
     return pd.Series([None if x is None or y is None else int((x == y).sum()) for x, y in zip(a, b)], dtype="Int32").astype(object)
 
 
-@pandas_udf("string")
+@pandas_udf(StringType())
 def fsm_bucket_key(row: pd.Series, symbols: pd.Series) -> pd.Series:
     """Targets on the given positions, joined."""
     return pd.Series([None if x is None or s is None else ",".join(str(int(x[i])) for i in s) for x, s in zip(row, symbols)])
