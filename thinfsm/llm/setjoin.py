@@ -38,6 +38,8 @@ from .base import LOWER_BYTES, chunks, drop, store, text_buffer
 
 U = np.uint64
 SLOTS, SLICES = 1 << 20, 64
+#: Only hashes below 2^61 are counted: index entries are the first tenth of a set in order of hash, so hardly any lies above.
+COUNTED = 61
 MARKS = 1 << 23
 BITS = 4  # 64-bit words of a signature
 BLOCK = 256
@@ -115,7 +117,7 @@ def frequency_levels(texts: DataFrame, width: int) -> np.ndarray:
             data, off = text_buffer(b.column("text"))
             for i, j in chunks(off):
                 s, _ = shingles(data, off, i, j, width)
-                n += np.bincount((s & U(SLOTS - 1)).astype(np.int64), minlength=SLOTS)
+                n += np.bincount((s[s < U(1 << COUNTED)] & U(SLOTS - 1)).astype(np.int64), minlength=SLOTS)
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(SLICES)), pa.array([x.astype(np.uint32).tobytes() for x in np.minimum(n, 0xFFFFFFFF).reshape(SLICES, -1)], pa.binary())], names=["slice", "n"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -130,7 +132,7 @@ def frequency_levels(texts: DataFrame, width: int) -> np.ndarray:
     for k, x in parts:
         n[k] += np.frombuffer(x, np.uint64)
     n = n.reshape(-1)
-    return np.clip(np.log2(np.maximum(n / (6 * n.mean() + 6), 1e-9)) + 1, 0, 31).astype(np.uint8)
+    return np.clip(np.log2(np.maximum(n / (3 * n.mean() + 4), 1e-9)) + 1, 0, 31).astype(np.uint8)
 
 
 def least_overlap(a, b, percent: int):
@@ -139,10 +141,17 @@ def least_overlap(a, b, percent: int):
 
 
 def signature(s: np.ndarray) -> np.ndarray:
-    return (np.bincount((mix(s) >> U(64 - (BITS * 64).bit_length() + 1)).astype(np.int64), minlength=BITS * 64) & 1).astype(np.uint8)
+    """Parities of the set's members by hash slot; about as many slots as members, a power of two."""
+    bits = max(BITS * 64, 1 << int(len(s) - 1).bit_length() if len(s) else 0)
+    return (np.bincount((mix(s) >> U(64 - bits.bit_length() + 1)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)
 
 
-ENTRY = "doc_id long, n long, f1 long, f2 long, sig array<long>, keys array<long>"
+def fold(sig: np.ndarray, bits: int) -> np.ndarray:
+    """The signature of fewer slots of the same set."""
+    return sig if len(sig) == bits else (sig.reshape(bits, -1).sum(1) & 1).astype(np.uint8)
+
+
+ENTRY = "doc_id long, n long, f1 long, f2 long, sig array<long>, wide binary, keys array<long>"
 
 
 def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int) -> DataFrame:
@@ -154,18 +163,20 @@ def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int)
         for b in batches:
             data, off = text_buffer(b.column("text"))
             for i, j in chunks(off):
-                n, f1, f2, sig, keys = [], [], [], [], []
+                n, f1, f2, sig, wide, keys = [], [], [], [], [], []
                 for s in sets(data, off, i, j, width):
                     n.append(len(s))
                     m = mix(s ^ U(0xA5A5A5A5A5A5A5A5))
                     f1.append(int(np.bitwise_xor.reduce(m)) if len(s) else 0)
                     f2.append(int(m.sum(dtype=np.uint64)))
-                    sig.append(np.packbits(signature(s)).view(np.int64))
-                    key = (level[(s & U(SLOTS - 1)).astype(np.int64)] << U(58)) | (s >> U(6))
+                    parity = signature(s)
+                    sig.append(np.packbits(fold(parity, BITS * 64)).view(np.int64))
+                    wide.append(np.packbits(parity).tobytes())
+                    key = (np.where(s < U(1 << COUNTED), level[(s & U(SLOTS - 1)).astype(np.int64)], U(0)) << U(58)) | (s >> U(6))
                     k = len(s) - int(-(-percent * len(s) // 100)) + 1 if len(s) else 0
                     keys.append(np.sort(np.partition(key, k - 1)[:k] if 0 < k < len(key) else key).view(np.int64))
                 signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array(n, pa.int64()), signed(f1), signed(f2), pa.array(sig, pa.list_(pa.int64())), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "n", "f1", "f2", "sig", "keys"])
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array(n, pa.int64()), signed(f1), signed(f2), pa.array(sig, pa.list_(pa.int64())), pa.array(wide, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "n", "f1", "f2", "sig", "wide", "keys"])
 
     return docs.mapInArrow(run, ENTRY)
 
@@ -197,27 +208,32 @@ class Lists:
 
     def large(self, e: dict, lo: int, hi: int) -> list[np.ndarray]:
         n, pos = e["n"][lo:hi], e["pos"][lo:hi]
-        part = np.arange(hi - lo)
+        part = np.unique(e["part"][lo:hi], return_inverse=True)[1]
         out = []
         starts = np.arange(0, hi - lo, BLOCK)
         top, low = np.maximum.reduceat(n, starts), np.minimum.reduceat(pos, starts)
         for i in range(1, hi - lo):
             # Blocks whose largest set is too small, or whose first position leaves too little.
-            need = least_overlap(n[i], top, self.percent)
-            live = (100 * top >= self.percent * n[i]) & (np.minimum(n[i] - pos[i], top - low) >= np.minimum(need, least_overlap(n[i], n[i] * self.percent // 100, self.percent)))
-            live &= starts < i
+            need = np.minimum(least_overlap(n[i], top, self.percent), least_overlap(n[i], n[i] * self.percent // 100, self.percent))
+            live = (100 * top >= self.percent * n[i]) & (np.minimum(n[i] - pos[i], top - low) >= need) & (starts < i)
             j = (np.flatnonzero(live)[:, None] * BLOCK + np.arange(BLOCK)).ravel()
             j = j[j < i]
             if self.forest:
                 j = j[part[j] != part[i]]
-            j = j[self.near(e, lo + i, lo + j)] if len(j) else j
+            if len(j):
+                j = j[self.near(e, lo + i, lo + j)]
+            if len(j) and e["no"][lo + i] is not None:
+                j = j[~np.isin(e["node"][lo + j], e["no"][lo + i])]
             if not len(j):
                 continue
             if self.forest:
-                own, at = np.unique(part[j], return_index=True)
-                j = j[at]
-                to = min(int(own[0]), int(part[i]))
-                part[np.isin(part[: i + 1], np.append(own, part[i])).nonzero()[0]] = to
+                # A signature is sharp while its slots are well above the differences allowed; only such pairs stand for others, by the likest of each part.
+                sharp = n[i] + n[j] - 2 * least_overlap(n[i], n[j], self.percent) <= BITS * 20
+                s = j[sharp]
+                s = s[np.lexsort((np.bitwise_count(e["sig"][lo + i] ^ e["sig"][lo + s]).sum(-1, dtype=np.int64), part[s]))]
+                own, at = np.unique(part[s], return_index=True)
+                j = np.concatenate([s[at], j[~sharp]])
+                part[np.isin(part, own)] = part[i]
             out.append(np.stack([np.full(len(j), e["node"][lo + i]), e["node"][lo + j]], 1))
         return out
 
@@ -238,8 +254,9 @@ class Lists:
 
 
 def candidates(entries: DataFrame, percent: int, forest: bool) -> DataFrame:
-    """entries: node, n, part, sig, keys.  Pairs a < b of nodes that share an index list and can be linked."""
-    lists = entries.select("node", "n", "part", *[F.col("sig")[k].alias(f"s{k}") for k in range(BITS)], F.posexplode("keys").alias("pos", "key"))
+    """entries: node, n, part, sig, keys and no (nodes it is known not to link with, or null).
+    Pairs a < b of nodes of different parts that share an index list and can be linked."""
+    lists = entries.select("node", "n", "part", "no", *[F.col("sig")[k].alias(f"s{k}") for k in range(BITS)], F.posexplode("keys").alias("pos", "key"))
     lists = lists.repartition("key").sortWithinPartitions("key", "n", "node")
     names = ["key", "n", "node", "pos", "part"]
 
@@ -253,6 +270,8 @@ def candidates(entries: DataFrame, percent: int, forest: bool) -> DataFrame:
 
         for b in batches:
             e = {c: b.column(c).to_numpy().astype(np.int64) for c in names}
+            e["no"] = np.empty(b.num_rows, object)
+            e["no"][:] = b.column("no").to_pylist()
             e["sig"] = np.stack([b.column(f"s{k}").to_numpy() for k in range(BITS)], 1).view(np.uint64)
             alone = np.ones(len(e["key"]), bool)
             if rest is not None:
@@ -271,6 +290,23 @@ def candidates(entries: DataFrame, percent: int, forest: bool) -> DataFrame:
     return lists.mapInArrow(run, "a long, b long").distinct()
 
 
+def sharpened(pairs: DataFrame, entries: DataFrame, percent: int) -> DataFrame:
+    """The pairs with ``likely``: whether the signatures of full length leave them."""
+    side = lambda c: entries.select(F.col("node").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(f"w{c}"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            keep = np.ones(b.num_rows, bool)
+            for k, (n, m, x, y) in enumerate(zip(*(b.column(c).to_pylist() for c in ("na", "nb", "wa", "wb")))):
+                bits = 8 * min(len(x), len(y))
+                apart = fold(np.unpackbits(np.frombuffer(x, np.uint8)), bits) != fold(np.unpackbits(np.frombuffer(y, np.uint8)), bits)
+                keep[k] = int(apart.sum()) <= n + m - 2 * least_overlap(n, m, percent)
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(keep)], names=["a", "b", "likely"])
+
+    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(run, "a long, b long, likely boolean")
+    return store(both.groupBy("a", "b").agg(F.max("likely").alias("likely")))
+
+
 def presence(nodes: DataFrame) -> np.ndarray:
     """A bit for each hash slot that holds a node: a filter of fixed size, whatever the number of nodes."""
 
@@ -365,30 +401,43 @@ def join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", wid
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     levels = frequency_levels(docs.select("text"), width)
     entries = store(index_entries(docs, levels, width, percent))
-    folded = entries.filter("n > 0 and doc_id is not null").groupBy("n", "f1", "f2").agg(F.min(F.struct("doc_id", "sig", "keys")).alias("x"))
-    nodes = store(folded.select(F.col("x.doc_id").alias("node"), F.col("x.doc_id").alias("part"), "n", "f1", "f2", "x.sig", "x.keys"))
-    pairs = store(candidates(nodes, percent, forest=True))
-    own = texts_of(pairs, docs)
+    folded = entries.filter("n > 0 and doc_id is not null").groupBy("n", "f1", "f2").agg(F.min(F.struct("doc_id", "sig", "wide", "keys")).alias("x"))
+    nodes = store(folded.select(F.col("x.doc_id").alias("node"), F.col("x.doc_id").alias("part"), F.lit(None).cast("array<long>").alias("no"), "n", "f1", "f2", "x.sig", "x.wide", "x.keys"))
+    pairs = sharpened(candidates(nodes, percent, forest=True), nodes, percent)
+    likely = pairs.filter("likely").select("a", "b")
+    own = texts_of(likely, docs)
     # First one pair for each node, then those that still join different parts.
-    first = verified(pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), own, width, percent)
+    first = verified(likely.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), own, width, percent)
     parts = components(first.filter("ok"))
-    second = verified(between(pairs, parts).join(first, ["a", "b"], "left_anti"), own, width, percent)
-    links = first.unionByName(second)
+    second = verified(between(likely, parts).join(first, ["a", "b"], "left_anti"), own, width, percent)
+    drop(own)
+    unlike = lambda x: x.filter("not likely").select("a", "b", F.lit(False).alias("ok"))
+    links, groups = first.unionByName(second).unionByName(unlike(pairs)), None
     if not second.filter("ok").isEmpty():
         parts = components(links.filter("ok"))
-    if not links.filter("not ok").isEmpty():
-        # Candidate groups that fell into several parts: all candidates between the parts.
-        groups = components(pairs).withColumnRenamed("part", "grp")
+    for last in (False, False, True):
+        # Candidate groups that fell into several parts are searched again: first for the likest
+        # pairs between the parts, known failures left out, in the end for all pairs.
+        if links.filter("not ok").isEmpty():
+            break
+        groups = store(components(pairs).withColumnRenamed("part", "grp")) if groups is None else groups
         state = groups.join(parts, "node", "left").select("node", "grp", F.coalesce("part", "node").alias("part"))
         torn = state.groupBy("grp").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).filter("lo <> hi").select("grp")
-        again = store(state.join(torn, "grp").select("node", "part"))
-        if not again.isEmpty():
-            more = candidates(nodes.drop("part").join(again, "node"), percent, forest=False)
-            more = store(more.join(links, ["a", "b"], "left_anti"))
-            new = verified(more, own, width, percent).filter("ok")
-            if not new.isEmpty():
-                parts = components(links.filter("ok").select("a", "b").unionByName(new.select("a", "b")))
-    drop(own)
+        bad = links.filter("not ok").select("a", "b")
+        bad = bad.unionByName(bad.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.collect_list("b").alias("no"))
+        again = store(state.join(torn, "grp").select("node", "part").join(bad, "node", "left"))
+        if again.isEmpty():
+            break
+        more = candidates(nodes.drop("part", "no").join(again, "node"), percent, forest=not last)
+        more = sharpened(more.join(links, ["a", "b"], "left_anti"), nodes, percent)
+        own = texts_of(more.filter("likely"), docs)
+        new = store(verified(more.filter("likely").select("a", "b"), own, width, percent).unionByName(unlike(more)))
+        drop(own)
+        links = store(links.unionByName(new))
+        if new.isEmpty():
+            break
+        if not new.filter("ok").isEmpty():
+            parts = components(links.filter("ok"))
     classes = nodes.select("n", "f1", "f2", "node").join(parts, "node", "left").select("n", "f1", "f2", F.coalesce("part", "node").alias("component"))
     if nodes.groupBy("node").count().filter("count > 1").isEmpty():
         classes = store(classes)
