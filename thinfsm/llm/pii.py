@@ -4,10 +4,13 @@ Base spans are the matches of four strict patterns that pass their checks; they
 High-recall generators propose further spans (addresses written out, numbers in looser
 formats), which may overlap.  Every candidate gets yes/no features of its format and of the
 text around it.  Boosted trees of depth two are fitted on all candidates of the corpus, which
-one aggregate folds into at most 2^features distinct feature rows; a candidate counts as
-personal data there if it is a base span.  Scores are calibrated on the same table by the
-share of base spans at or above each score; a proposed span is added if its calibrated score
-reaches ``least`` and it overlaps no base span, the better of two overlapping ones first.
+one aggregate folds into at most 2^features distinct feature rows.  A candidate counts as
+personal data there by a weak label that doesn't ask whether it is a base span: a valid form
+of its kind (parts, Luhn, length; a cue where the form leaves doubt) with clean edges.  Rows
+weigh in the fit by the logarithm of their count, so that a rare form is learned as well.
+Scores are calibrated on the proposals that overlap no base span, by the share of weak labels
+as a function that rises with the score; one is added if its calibrated score reaches
+``least``, the better of two overlapping ones first.
 
 Positions come from the pieces between the matches of a pattern: the running sum of the
 lengths of pieces and matches, taken in blocks, so that a text with very many matches costs
@@ -33,27 +36,31 @@ BASE = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 #: Generators of further candidates, by the kind they propose.
-LOOSE = {
-    "email": r"[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z0-9-]{1,63}+)++",
-    "ip": r"(?<![0-9])[0-9]{1,3}+(?:\x20?(?:\.|\[\.\]|\(\.\))\x20?[0-9]{1,3}+){3}",
-    "card": r"(?<![0-9])[0-9]{3,6}+(?:[\x20.-][0-9]{3,6}+){2,4}",
-    "phone": r"(?:\+\x20?[0-9]{1,3}+[\x20.-]?)?\(?[0-9]{3}\)?[\x20.-]?[0-9]{3}[\x20.-][0-9]{4}(?![0-9])",
-}
+LOOSE = [
+    ("email", r"[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z0-9-]{1,63}+)++"),
+    ("email", r"[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:(?:\.|\x20\.\x20|\x20?(?:\(dot\)|\[dot\])\x20?)[A-Za-z0-9-]{1,63}+)++"),
+    ("ip", r"(?<![0-9])[0-9]{1,3}+(?:\x20?(?:\.|\[\.\]|\(\.\))\x20?[0-9]{1,3}+){3}"),
+    ("card", r"(?<![0-9])[0-9]{3,6}+(?:[\x20.-][0-9]{3,6}+){2,4}"),
+    ("card", r"(?<![0-9])[0-9]{4}([\x20.-])(?:[0-9]{4}\1[0-9]{4}\1[0-9]{4}|[0-9]{6}\1[0-9]{5})(?![0-9])"),
+    ("phone", r"(?:\+\x20?[0-9]{1,3}+[\x20.-]?)?\(?[0-9]{3}\)?[\x20.-]?[0-9]{3}[\x20.-][0-9]{4}(?![0-9])"),
+]
 #: Column that tells whether a text can match at all; spares most texts the patterns.
 HINT = {"email": "__at", "ip": "__digit", "card": "__digit", "phone": "__digit"}
 #: Words of the text around a span that speak of personal data.
 CUES = r"(?i)(?:mail|contact|phone|call|tel|mobile|fax|card|visa|account|pay|host|address|server|login|ip)[a-z]*[\x20:=]*\z"
-FEATURES = ("is_email", "is_ip", "is_card", "is_phone", "digits_8_15", "digits_16_19", "octets", "luhn", "plus", "spaced", "clean_left", "clean_right", "cue")
+FEATURES = ("is_email", "is_ip", "is_card", "is_phone", "digits_8_15", "digits_16_19", "octets", "luhn", "plus", "spaced", "clean_left", "clean_right", "cue", "form")
 #: Weak labels that hold everywhere, as rows (bits, candidates, personal) of the feature table: an address with
 #: a part over 255, a card number of another length or with a wrong check digit, a telephone number of another
 #: length, and anything that begins or ends within a word are no personal data.
 _bit = {f: 1 << k for k, f in enumerate(FEATURES)}
 _clean = _bit["clean_left"] | _bit["clean_right"]
+#: The valid form with clean edges is, also where the corpus has none of a kind.
 PRIOR = [
     *[(_bit["is_ip"] | _clean | x, 50, 0) for x in (0, _bit["spaced"], _bit["cue"], _bit["digits_8_15"])],
     *[(_bit["is_card"] | _clean | x, 50, 0) for x in (0, _bit["digits_8_15"], _bit["digits_16_19"], _bit["digits_8_15"] | _bit["luhn"], _bit["digits_16_19"] | _bit["spaced"], _bit["digits_8_15"] | _bit["luhn"] | _bit["spaced"])],
     *[(_bit["is_phone"] | _clean | x, 50, 0) for x in (0, _bit["plus"], _bit["spaced"], _bit["digits_16_19"])],
-    *[(_bit[k] | _bit[side] | x, 50, 0) for k, x in (("is_email", 0), ("is_ip", _bit["octets"]), ("is_card", _bit["digits_16_19"] | _bit["luhn"]), ("is_phone", _bit["digits_8_15"])) for side in ("clean_left", "clean_right")],
+    *[(_bit[k] | _bit[side] | x, 50, 0) for k, x in (("is_email", 0), ("is_ip", _bit["octets"]), ("is_card", _bit["digits_16_19"] | _bit["luhn"]), ("is_phone", _bit["digits_8_15"])) for side in ("clean_left", "clean_right") for x in (x, x | _bit["form"])],
+    *[(_bit[k] | _bit["form"] | _clean | x, 50, 50) for k, x in (("is_email", 0), ("is_email", _bit["spaced"]), ("is_ip", _bit["octets"]), ("is_ip", _bit["octets"] | _bit["spaced"]), ("is_card", _bit["digits_16_19"] | _bit["luhn"]), ("is_card", _bit["digits_8_15"] | _bit["luhn"]), ("is_phone", _bit["digits_8_15"]), ("is_phone", _bit["digits_8_15"] | _bit["spaced"]))],
 ]
 BLOCK = 256
 SPAN = "array<struct<kind:int,start:bigint,end:bigint,text:string,left:string,right:string>>"
@@ -118,11 +125,34 @@ def base_spans(df: DataFrame) -> DataFrame:
 
 
 def proposals(df: DataFrame) -> DataFrame:
-    """Column ``__loose``: the spans of the generators that are not base spans."""
-    for k, kind in enumerate(KINDS):
-        df = matches(df, LOOSE[kind], HINT[kind], f"__g{k}", k)
-    every = F.concat(*[F.col(f"__g{k}") for k in range(len(KINDS))])
-    return df.withColumn("__loose", every).drop(*[f"__g{k}" for k in range(len(KINDS))])
+    """Column ``__loose``: the spans of the generators, once each."""
+    for g, (kind, pattern) in enumerate(LOOSE):
+        df = matches(df, pattern, HINT[kind], f"__g{g}", KINDS.index(kind))
+    every = F.array_distinct(F.concat(*[F.col(f"__g{g}") for g in range(len(LOOSE))]))
+    return df.withColumn("__loose", every).drop(*[f"__g{g}" for g in range(len(LOOSE))])
+
+
+def form(x: str) -> str:
+    """SQL: whether span x has a valid form of its kind; forms that leave doubt need a cue."""
+    d, cue = digits(f"{x}.text"), f"{x}.left RLIKE '{CUES.replace(chr(92), chr(92) * 2)}'"
+    at, dot = r"\\x20?(?:@|\\(at\\)|\\[at\\])\\x20?", r"(?:\\.|\\x20?(?:\\(dot\\)|\\[dot\\])\\x20?)"
+    name, host = "^[A-Za-z0-9_%+][A-Za-z0-9._%+-]*", "[A-Za-z0-9-]+"
+    apart = f"{x}.text RLIKE '{name}{at}{host}(?:{dot}{host})*{dot}[A-Za-z]{{2,24}}$'"
+    blank = rf"{x}.text RLIKE '{name}{at}{host}(?:(?:{dot}|\\x20\\.\\x20){host})*(?:{dot}|\\x20\\.\\x20)[A-Za-z]{{2,24}}$'"
+    usual = rf"{x}.text RLIKE '[.\\x20](?:com|org|net|edu|gov|info|biz)$'"
+    alone = rf"NOT {x}.left RLIKE '[0-9][.-]\\z' AND NOT {x}.right RLIKE '^[.-][0-9]'"
+    once = rf"NOT {x}.left RLIKE '(?:[02-9]|[0-9.-]1)[.-]\\z' AND NOT {x}.right RLIKE '^[.-][0-9]'"
+    n = f"length({d})"
+    return f"""CASE {x}.kind WHEN 0 THEN {apart} OR {blank} AND ({usual} OR {cue})
+        WHEN 1 THEN {octets(f'{x}.text')} AND {alone} AND ({x}.text NOT LIKE '% %' OR {x}.text RLIKE '[\\\\[(]' OR {cue})
+        WHEN 2 THEN {n} BETWEEN 13 AND 19 AND {luhn(d)} AND {alone} AND ({n} >= 15 OR {cue})
+        ELSE {n} BETWEEN 10 AND 15 AND {once} AND ({x}.text RLIKE '[+().-]' OR {cue}) END"""
+
+
+def weak_label(bits: str) -> str:
+    """SQL: whether features ``bits`` are those of personal data: a valid form between clean edges."""
+    every = _clean | _bit["form"]
+    return f"IF(({bits} & {every}) = {every}, 1, 0)"
 
 
 def feature_bits(x: str) -> str:
@@ -139,22 +169,25 @@ def feature_bits(x: str) -> str:
         rf"{x}.left RLIKE '(?:^|[^\\p{{L}}\\p{{N}}])\\z'",
         rf"{x}.right RLIKE '^(?:$|[^\\p{{L}}\\p{{N}}])'",
         f"{x}.left RLIKE '{CUES.replace(chr(92), chr(92) * 2)}'",
+        form(x),
     ]
     return " + ".join(f"IF({t}, {1 << k}, 0)" for k, t in enumerate(tests))
 
 
-def feature_table(spanned: DataFrame) -> list[tuple[int, int, int]]:
-    """(feature bits, candidates, base spans) over all candidates of the corpus; at most 2^features rows."""
-    rows = spanned.select(F.expr(f"""concat(transform(__base, x -> named_struct('bits', {feature_bits('x')}, 'y', 1)),
-        transform(filter(__loose, x -> NOT exists(__base, b -> b.start < x.end AND x.start < b.end)), x -> named_struct('bits', {feature_bits('x')}, 'y', 0)))""").alias("c"))
+def feature_table(spanned: DataFrame) -> list[tuple[int, int, int, int]]:
+    """(feature bits, candidates, personal by weak label, proposals beside the base spans) over all candidates of the corpus; at most 2^features rows."""
+    rows = spanned.select(F.expr(f"""concat(transform(__base, x -> named_struct('bits', {feature_bits('x')}, 'open', 0)),
+        transform(filter(__loose, x -> NOT exists(__base, b -> b.start < x.end AND x.start < b.end)), x -> named_struct('bits', {feature_bits('x')}, 'open', 1)))""").alias("c"))
     # The outer form keeps the optimizer from inferring a filter, which would run the patterns twice.
-    table = rows.select(F.explode_outer("c").alias("c")).filter("c is not null").groupBy("c.bits").agg(F.count("*").alias("n"), F.sum("c.y").alias("y"))
+    table = rows.select(F.explode_outer("c").alias("c")).filter("c is not null").groupBy("c.bits").agg(F.count("*").alias("n"), F.sum(F.expr(weak_label("c.bits"))).alias("y"), F.sum("c.open").alias("open"))
     return sorted(tuple(r) for r in table.collect())
 
 
-def boost(table: list[tuple[int, int, int]], rounds: int = 60, rate: float = 0.3, l2: float = 1.0) -> dict:
-    """Depth-two trees by second-order gradient boosting of the logistic loss over the folded table."""
-    bits, n, y = ([r[k] for r in table] for k in range(3))
+def boost(table: list[tuple[int, ...]], rounds: int = 60, rate: float = 0.3, l2: float = 1.0) -> dict:
+    """Depth-two trees by second-order gradient boosting of the logistic loss over the folded table, rows weighed by the logarithm of their count."""
+    bits = [r[0] for r in table]
+    n = [10 * (1 + math.log2(r[1])) for r in table]
+    y = [w * r[2] / r[1] for w, r in zip(n, table)]
     total, pos = sum(n), sum(y)
     start = math.log((pos + 0.5) / (total - pos + 0.5)) if total else 0.0
     f, trees, m = [start] * len(bits), [], len(FEATURES)
@@ -189,7 +222,7 @@ def boost(table: list[tuple[int, int, int]], rounds: int = 60, rate: float = 0.3
         tree = grow(range(len(bits)), 2)
         trees.append(tree)
         f = [v + value(tree, b) for v, b in zip(f, bits)]
-    return {"start": start, "trees": trees, "cut": None, "table": list(zip(f, n, y))}
+    return {"start": start, "trees": trees, "cut": None, "table": [(v, r[3], r[3] * r[2] / r[1]) for v, r in zip(f, table) if len(r) > 3 and r[3]]}
 
 
 def value(tree, bits: int) -> float:
@@ -199,13 +232,14 @@ def value(tree, bits: int) -> float:
 
 
 def calibrated_cut(model: dict, least: float) -> float:
-    """The least raw score such that of the candidates at or above it the share of base spans is ``least`` at least."""
-    cut, n, y = math.inf, 0, 0
-    for f, a, b in sorted(model["table"], reverse=True):
-        n, y = n + a, y + b
-        if y >= least * n:
-            cut = f
-    return cut
+    """The least raw score whose calibrated value, the rising function of the score nearest to the weak labels of the proposals, is ``least`` at least."""
+    blocks: list[list[float]] = []
+    for f, n, y in sorted(model["table"], reverse=True):
+        blocks.append([f, n, y])
+        while len(blocks) > 1 and (blocks[-2][0] - f < 1e-9 or blocks[-2][2] * blocks[-1][1] < blocks[-1][2] * blocks[-2][1]):
+            _, a, b = blocks.pop(-2)
+            blocks[-1] = [f, blocks[-1][1] + a, blocks[-1][2] + b]
+    return min((f for f, n, y in blocks if y >= least * n), default=math.inf)
 
 
 def tree_sql(tree, bits: str) -> str:
@@ -224,7 +258,7 @@ def added_spans(df: DataFrame, model: dict, least: float) -> DataFrame:
     open_ = "filter(__loose, x -> NOT exists(__base, b -> b.start < x.end AND x.start < b.end))"
     df = df.withColumn("__c", F.expr(f"transform({open_}, x -> named_struct('x', x, 'bits', {feature_bits('x')}))"))
     df = df.withColumn("__c", F.when(F.size("__c") > 0, F.expr(f"filter(transform(__c, c -> named_struct('score', {score}, 'x', c.x)), c -> c.score >= {cut - 1e-9!r}D)")))
-    better = "(d.score > c.score OR d.score = c.score AND (d.x.start < c.x.start OR d.x.start = c.x.start AND d.x.kind < c.x.kind))"
+    better = "(d.score > c.score OR d.score = c.score AND (d.x.start < c.x.start OR d.x.start = c.x.start AND (d.x.kind < c.x.kind OR d.x.kind = c.x.kind AND d.x.end > c.x.end)))"
     chosen = f"transform(filter(__c, c -> NOT exists(__c, d -> d.x.start < c.x.end AND c.x.start < d.x.end AND {better})), c -> c.x)"
     return df.withColumn("__added", F.when(F.size("__c") > 0, F.expr(chosen)).otherwise(none)).drop("__c")
 
