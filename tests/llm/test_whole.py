@@ -1,9 +1,11 @@
 """Cases in which the training-data operators once did less than the whole job."""
 
+import random
+
 import pytest
 
 from test_operators import docs
-from thinfsm.llm import pii
+from thinfsm.llm import pii, queries, quotes
 
 PLANTED = ["bob.lee (at) host (dot) org", "ann [at] mail [dot] site [dot] net", "555-123-4567", "(555) 123-4567", "4111.1111.1111.1111", "10[.]0[.]0[.]1"]
 CLEAN = ["see you (at) noon . Then home", "look @ home. Then go", "4111.1111.1111.1112", "part 12345-123-45678", "rows 123 456 7890 here", "id 99-555-123-4567-1", "700[.]1[.]1[.]1"]
@@ -22,3 +24,54 @@ def test_planted_personal_data_is_added_at_any_frequency(spark, times, base):
         assert got[i] == rows[i]
     for i in range(len(rows) - base, len(rows)):
         assert got[i] == "write to [EMAIL] or [PHONE]"
+
+
+def walked(parent):
+    """node: (root, position) by a plain walk; parent: node to node or None; the least node of a ring is its root."""
+    parent = dict(parent)
+    for v in sorted(parent):
+        seen, x = [], v
+        while x is not None and x not in seen:
+            seen.append(x)
+            x = parent[x]
+        if x is not None:
+            parent[min(seen[seen.index(x) :])] = None
+    out = {}
+
+    def visit(v, root, n):
+        out[v] = (root, n)
+        for c in sorted((c for c, p in parent.items() if p == v), key=lambda c: (c[0] != v[0], c)):
+            n = visit(c, root, n + 1)
+        return n
+
+    for v in [v for v, p in parent.items() if p is None]:
+        visit(v, v, 0)
+    return out
+
+
+def test_threads_follow_replies(spark):
+    rng = random.Random(9)
+    nodes = [(c, t) for c in range(12) for t in range(8)] + [(50, t) for t in range(70)]
+    parent = {v: rng.choice([None, *nodes]) for v in nodes} | {(50, t): (50, t - 1) if t else (3, 3) for t in range(70)}
+    parent = {v: None if p == v else p for v, p in parent.items()}
+    rows = [(*v, *(p or (None, None)), f"{v}") for v, p in parent.items()]
+    d = spark.createDataFrame([*rows, rows[5], (None, None, 1, 1, "none")], "conv_id long, turn long, reply_conv long, reply_turn long, own_text string")
+    got = quotes.thread_order(d).collect()
+    want = walked(parent)
+    assert len(got) == len(rows) + 2
+    by_thread = {}
+    for r in got:
+        if r["conv_id"] is not None:
+            by_thread.setdefault((r["thread_conv"], r["thread_turn"]), {})[r["conv_id"], r["turn"]] = r["position"]
+    for v, (root, _) in want.items():
+        assert v in by_thread[root]
+    for root, at in by_thread.items():
+        assert sorted(at, key=at.get) == sorted((v for v in at), key=lambda v: want[v][1])
+    some = {r["conv_id"]: [x["turn"] for x in r["turns"]] for r in quotes.threads(spark.createDataFrame([(1, 0, None, None, "a"), (1, 1, 1, 0, "b"), (1, 2, 1, 0, "c"), (1, 3, 1, 1, "d")], d.schema)).collect()}
+    assert some == {1: [0, 1, 3, 2]}
+
+
+def test_thread_query_keeps_every_message(spark):
+    got = queries.op4_threads(spark, "/root/testdata/sf0.001").toPandas()
+    assert len(got) == spark.read.parquet("/root/testdata/sf0.001/conversations.parquet").count()
+    assert got.groupby(["thread_conv", "thread_turn"])["position"].apply(lambda x: sorted(x) == list(range(len(x)))).all()

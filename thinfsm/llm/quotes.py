@@ -18,9 +18,11 @@ link nothing; repeated rows give a row each; other columns are ignored.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .base import store
+
 QUOTED = r"^\s*(?:>\s?)+"
 INTRODUCTION = r"(?i)^.{0,200}\b(?:wrote|writes|schrieb|escribió|a écrit)\s*:\s*$"
 
@@ -64,10 +66,63 @@ def link(messages: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "tur
     return out.select("conv_id", "turn", "reply_conv", "reply_turn", "n_quoted", F.coalesce("n_linked", F.lit(0)).cast("long").alias("n_linked"), F.col("depth").cast("int").alias("depth"), "own_text")
 
 
+def key(conv: str, turn: str) -> Column:
+    """A message's conversation and turn as one text, also where they are null."""
+    return F.concat_ws(":", *[F.coalesce(F.col(c).cast("string"), F.lit("-")) for c in (conv, turn)])
+
+
+def without_cycles(nodes: DataFrame) -> DataFrame:
+    """node, conv, turn, parent: messages that answer each other in a ring lose one link, that of the least of them."""
+    live = nodes.filter("parent is not null").select("node", F.col("parent").alias("jump"), F.struct("conv", "turn", "node").alias("low"))
+    before, reach = -1, 1
+    while True:  # a round leaves the nodes with that many ancestors; with all their ancestors' counts in a row, an equal count means rings only
+        live = store(live)
+        n = live.count()
+        if not n:
+            return nodes
+        if n == before and reach >= n:
+            break
+        before, reach = n, 2 * reach
+        far = live.select(F.col("node").alias("jump"), F.col("jump").alias("next"), F.col("low").alias("more"))
+        live = live.join(far, "jump").select("node", F.col("next").alias("jump"), F.least("low", "more").alias("low"))
+    up = nodes.filter("parent is not null").select(F.col("node").alias("own"), "parent").join(live.select(F.col("node").alias("parent"), F.col("low.node").alias("low")), "parent")
+    cut = up.filter("low = own").select(F.col("own").alias("node"), F.lit(True).alias("cut"))
+    return nodes.join(cut, "node", "left").select("node", "conv", "turn", F.when(F.col("cut").isNull(), F.col("parent")).alias("parent"))
+
+
+def thread_order(linked: DataFrame) -> DataFrame:
+    """Adds thread_conv, thread_turn (the root its reply links lead to, across conversations) and position (from 0, an answer below what it
+    answers, before the next answer to the same message; those of its own conversation first) to every message.
+
+    The walk around each tree is a list of two steps per message, ranked by pointer jumping, so a round
+    reads two rows per message however deep or broad the threads are."""
+    rows = linked.withColumn("__node", key("conv_id", "turn"))
+    nodes = rows.groupBy("__node").agg(F.first("conv_id").alias("conv"), F.first("turn").alias("turn"), F.first(F.when(F.col("reply_turn").isNotNull(), key("reply_conv", "reply_turn"))).alias("parent"))
+    nodes = store(nodes.select(F.col("__node").alias("node"), "conv", "turn", F.when(F.col("parent") != F.col("__node"), F.col("parent")).alias("parent")))
+    tree = store(without_cycles(nodes))
+    home = F.coalesce(F.split("parent", ":")[0] != F.coalesce(F.col("conv").cast("string"), F.lit("-")), F.lit(False))
+    w = Window.partitionBy("parent").orderBy(home, "conv", "turn")
+    kids = tree.filter("parent is not null").select("node", "parent", F.lead("node").over(w).alias("sibling"), F.row_number().over(w).alias("k"))
+    first = kids.filter("k = 1").select(F.col("parent").alias("node"), F.col("node").alias("child"))
+    walk = tree.select("node").join(first, "node", "left").join(kids.select("node", "parent", "sibling"), "node", "left")
+    into, out = lambda c: F.concat(F.lit("+"), F.col(c)), lambda c: F.concat(F.lit("-"), F.col(c))
+    steps = F.array(F.struct(into("node").alias("at"), F.coalesce(into("child"), out("node")).alias("next"), F.lit(1).cast("long").alias("n")), F.struct(out("node").alias("at"), F.coalesce(into("sibling"), out("parent")).alias("next"), F.lit(0).cast("long").alias("n")))
+    steps = store(walk.select(F.inline(steps)).withColumn("last", F.when(F.col("next").isNull(), F.col("at"))))
+    while not steps.filter("next is not null").isEmpty():
+        t = steps.select(F.col("at").alias("next"), F.col("next").alias("then"), F.col("n").alias("more"), F.col("last").alias("end"))
+        moved = steps.filter("next is not null").drop("last").join(t, "next").select("at", F.col("then").alias("next"), (F.col("n") + F.col("more")).alias("n"), F.col("end").alias("last"))
+        steps = store(steps.filter("next is null").unionByName(moved))
+    entered = steps.filter("startswith(at, '+')").select(F.substring("at", 2, 1 << 20).alias("__node"), F.substring("last", 2, 1 << 20).alias("root"), "n")
+    size = entered.filter("__node = root").select("root", F.col("n").alias("size"))
+    roots = tree.select(F.col("node").alias("root"), F.col("conv").alias("thread_conv"), F.col("turn").alias("thread_turn")).join(size, "root")
+    placed = entered.join(roots, "root").select("__node", "thread_conv", "thread_turn", (F.col("size") - F.col("n")).alias("position"))
+    return rows.join(placed, "__node").drop("__node")
+
+
 def threads(linked: DataFrame) -> DataFrame:
-    """conv_id, turns: own texts without quotes, an answer after what it answers (replies in order of turn below their parent's turn)."""
-    order = F.coalesce(F.when(F.col("reply_conv") == F.col("conv_id"), F.col("reply_turn")), F.lit(-1))
-    return linked.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", order.alias("reply_turn"), "own_text"))).alias("turns"))
+    """conv_id, turns: own texts without quotes, an answer below what it answers, in the order of thread_order."""
+    turns = F.array_sort(F.collect_list(F.struct("thread_conv", "thread_turn", "position", "turn", F.coalesce(F.when(F.col("reply_conv") == F.col("conv_id"), F.col("reply_turn")), F.lit(-1)).alias("reply_turn"), "own_text")))
+    return thread_order(linked).groupBy("conv_id").agg(F.transform(turns, lambda x: F.struct(x["turn"].alias("turn"), x["reply_turn"].alias("reply_turn"), x["own_text"].alias("own_text"))).alias("turns"))
 
 
 def as_mail(messages: DataFrame) -> DataFrame:
