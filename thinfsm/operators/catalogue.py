@@ -78,6 +78,15 @@ def range_join_quantity(spark, sf_dir):
     return li.join(p, "bin").filter(F.col("l_quantity").between(F.col("p_size"), F.col("p_size") + 1)).select("l_orderkey", "l_linenumber", "p_partkey")
 
 
+@query("SELECT l_orderkey, l_linenumber, p_partkey FROM lineitem JOIN part ON l_quantity BETWEEN p_size AND p_size + 1")
+def range_join_lines(spark, sf_dir):
+    """range_join_quantity over all lines and all parts."""
+    width = 2
+    li = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_quantity", F.floor(F.col("l_quantity") / width).alias("bin"))
+    p = table(spark, sf_dir, "part").select("p_partkey", "p_size", F.explode(F.sequence(F.floor(F.col("p_size") / width), F.floor((F.col("p_size") + 1) / width))).alias("bin"))
+    return li.join(p, "bin").filter(F.col("l_quantity").between(F.col("p_size"), F.col("p_size") + 1)).select("l_orderkey", "l_linenumber", "p_partkey")
+
+
 @query("SELECT a.event_id AS click_id, b.event_id AS error_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'error' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 5 MINUTE")
 def interval_join_events(spark, sf_dir):
     e = table(spark, sf_dir, "events").select("event_id", "user_id", "event_type", "ts")
