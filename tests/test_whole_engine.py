@@ -1,6 +1,13 @@
 """Cases in which the engine's queries once did less than the whole job."""
 
+import pytest
+
+from conftest import SF
+from thinfsm import match
+from thinfsm.functions import sql
 from thinfsm.operators import catalogue
+from thinfsm.plans import dictionary
+from thinfsm.streaming import flows
 
 
 def test_range_join_of_all_lines(spark, tmp_path):
@@ -10,3 +17,29 @@ def test_range_join_of_all_lines(spark, tmp_path):
     spark.createDataFrame(parts, "p_partkey long, p_size int").write.parquet(f"{tmp_path}/part.parquet")
     got = sorted(map(tuple, catalogue.range_join_lines(spark, str(tmp_path)).collect()))
     assert got == sorted((o, n, p) for o, n, q in lines for p, s in parts if s <= q <= s + 1)
+
+
+@pytest.mark.parametrize("module,name", [(dictionary, "match_whole_passages"), (flows, "stream_whole_passages")])
+def test_whole_passages(spark, same, module, name):
+    same(module.QUERIES[name](spark, SF), module.ORACLES[name])
+
+
+def test_a_head_is_no_passage(spark, tmp_path):
+    head = "x" * 45
+    spark.createDataFrame([(1, head + " one"), (2, head + " two")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([(7, f"a {head} one b"), (8, head)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    ids = lambda df: sorted(r[0] for r in df.collect())
+    at = str(tmp_path)
+    assert ids(dictionary.match_whole_passages(spark, at)) == [7]
+    assert ids(catalogue.semi_whole_passages(spark, at)) == [1] and ids(catalogue.anti_whole_passages(spark, at)) == [2]
+
+
+def test_groups_of_words_match_as_one(spark, same, monkeypatch):
+    whole = {r["p_partkey"]: r for r in dictionary.match_names(spark, SF).collect()}
+    flow = {r["flow_id"]: r["matches"] for r in flows.QUERIES["flow_match"](spark, SF).collect()}
+    monkeypatch.setattr(match, "GROUP_BYTES", 200)
+    assert len(dictionary._matcher(spark, SF).parts) > 2
+    assert {r["p_partkey"]: r for r in dictionary.match_names(spark, SF).collect()} == whole
+    same(dictionary.page_matches(spark, SF), dictionary.ORACLES["page_matches"])
+    same(sql.QUERIES["udtf_matches"](spark, SF), sql.ORACLES["udtf_matches"])
+    assert {r["flow_id"]: r["matches"] for r in flows.QUERIES["stream_flow_match"](spark, SF).collect()} == flow

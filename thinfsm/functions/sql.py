@@ -9,7 +9,7 @@ from pyspark.sql.functions import pandas_udf, udtf
 from pyspark.sql.types import IntegerType, StringType
 
 from .. import giant
-from ..match import Matcher
+from ..match import Matcher, Matchers
 from ..model import Automaton, table
 from ..plans.dictionary import _DEPTH, _HEAD, W, _depth_defaults, _matcher, base
 
@@ -28,22 +28,23 @@ def fsm_bucket_key(row: pd.Series, symbols: pd.Series) -> pd.Series:
     return pd.Series([None if x is None or s is None else ",".join(str(int(x[i])) for i in s) for x, s in zip(row, symbols)])
 
 
-def matches_udtf(matcher: Matcher):
+def matches_udtf(matcher: Matcher | Matchers):
     """Table function: a row (end_pos) for every position at which a word ends."""
 
     @udtf(returnType="end_pos: int, words: int")
     class FsmMatches:
         def eval(self, text: str):
-            state = 0
+            parts = matcher.parts if isinstance(matcher, Matchers) else [matcher]
+            states = [0] * len(parts)
             for i, c in enumerate((text or "").encode()):
-                state = matcher.table[state, c]
-                if matcher.accept[state]:
-                    yield i + 1, int(matcher.accept[state])
+                states = [m.table[s, c] for m, s in zip(parts, states)]
+                if n := sum(int(m.accept[s]) for m, s in zip(parts, states)):
+                    yield i + 1, n
 
     return FsmMatches
 
 
-def register(spark: SparkSession, matcher: Matcher | None = None) -> None:
+def register(spark: SparkSession, matcher: Matcher | Matchers | None = None) -> None:
     spark.udf.register("fsm_similarity", fsm_similarity)
     spark.udf.register("fsm_bucket_key", fsm_bucket_key)
     if matcher is not None:

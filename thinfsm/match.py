@@ -6,7 +6,7 @@ one pass each.  A batch steps all its texts together, one byte column at a time.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -15,6 +15,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BROADCAST_BYTES = 256 << 20
+#: Bytes of the words of one group: an automaton has at most one state more, 1 KB each, so it stays within BROADCAST_BYTES.
+GROUP_BYTES = 200_000
 RUNS = "payload_id long, length long, hops long, max_hops long, accepts boolean, end_state long, matches long, first_end long"
 
 
@@ -71,19 +73,47 @@ class Matcher:
         return {c: x[back] for c, x in (out | {"end_state": state, "first_end": first, "accepts": hit}).items()} | {"length": length}
 
 
-def match(payloads: DataFrame, matcher: Matcher, *, id_col: str = "payload_id", text_col: str = "body", lanes: int = 256) -> DataFrame:
-    """RUNS of every payload.  Narrow: no shuffle, only id and text are read.  ``lanes`` texts at a time bound the memory."""
-    sent = payloads.sparkSession.sparkContext.broadcast(matcher)
+@dataclass
+class Matchers:
+    """One matcher for each group of rules; hits and hops of all groups add up, end_state has a column for each."""
+
+    parts: list[Matcher]
+
+    def run(self, texts: list[bytes], states: np.ndarray | None = None) -> dict[str, np.ndarray]:
+        every = [m.run(texts, None if states is None else states.reshape(len(texts), -1)[:, k]) for k, m in enumerate(self.parts)]
+        first = np.stack([np.where(g["first_end"] < 0, np.iinfo(np.int64).max, g["first_end"]) for g in every]).min(0)
+        out = {c: np.sum([g[c] for g in every], axis=0) for c in ("hops", "matches")} | {"max_hops": np.max([g["max_hops"] for g in every], axis=0)}
+        return out | {"end_state": np.stack([g["end_state"] for g in every], 1), "first_end": np.where(first == np.iinfo(np.int64).max, -1, first), "accepts": np.any([g["accepts"] for g in every], axis=0), "length": every[0]["length"]}
+
+
+def word_groups(words: Iterable[bytes], most: int = GROUP_BYTES) -> Iterator[list[bytes]]:
+    """The words in order, cut into groups of at most ``most`` bytes (a longer word is a group of its own)."""
+    group, size = [], 0
+    for w in words:
+        if group and size + len(w) > most:
+            yield group
+            group, size = [], 0
+        group.append(w)
+        size += len(w)
+    if group:
+        yield group
+
+
+def match(payloads: DataFrame, matcher: Matcher | Matchers, *, id_col: str = "payload_id", text_col: str = "body", lanes: int = 256) -> DataFrame:
+    """RUNS of every payload (end_state null with several groups of rules).  Narrow: no shuffle, only id and text are read.  ``lanes`` texts at a time bound the memory."""
+    groups = matcher.parts if isinstance(matcher, Matchers) else [matcher]
+    sent = [payloads.sparkSession.sparkContext.broadcast(m) for m in groups]
     rows = payloads.select(F.col(id_col).cast("long").alias("payload_id"), F.coalesce(F.encode(F.col(text_col), "UTF-8") if dict(payloads.dtypes)[text_col] == "string" else F.col(text_col), F.lit(b"")).alias("body"))
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m: Matcher = sent.value
+        m = sent[0].value if len(sent) == 1 else Matchers([x.value for x in sent])
         for b in batches:
             for i in range(0, b.num_rows, lanes):
                 part = b.slice(i, lanes)
                 got = m.run(part.column("body").to_pylist())
+                end = pa.array(got["end_state"]) if got["end_state"].ndim == 1 else pa.nulls(part.num_rows, pa.int64())
                 first = pa.array(got["first_end"], mask=got["first_end"] < 0)
-                yield pa.RecordBatch.from_arrays([part.column("payload_id"), pa.array(got["length"]), pa.array(got["hops"]), pa.array(got["max_hops"]), pa.array(got["accepts"]), pa.array(got["end_state"]), pa.array(got["matches"]), first], names=["payload_id", "length", "hops", "max_hops", "accepts", "end_state", "matches", "first_end"])
+                yield pa.RecordBatch.from_arrays([part.column("payload_id"), pa.array(got["length"]), pa.array(got["hops"]), pa.array(got["max_hops"]), pa.array(got["accepts"]), end, pa.array(got["matches"]), first], names=["payload_id", "length", "hops", "max_hops", "accepts", "end_state", "matches", "first_end"])
 
     return rows.mapInArrow(go, RUNS)
 

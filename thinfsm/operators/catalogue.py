@@ -119,6 +119,20 @@ def anti_unmatched_rules(spark, sf_dir):
     return b.join(semi_matched_rules(spark, sf_dir), "item_id", "left_anti")
 
 
+@query("SELECT item_id FROM benchmark b WHERE text <> '' AND EXISTS (SELECT 1 FROM documents d WHERE contains(d.text, b.text))")
+def semi_whole_passages(spark, sf_dir):
+    """Passages that occur whole."""
+    b = table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id", F.col("text").alias("h"))
+    d = table(spark, sf_dir, "documents").select("text")
+    return d.join(F.broadcast(b), F.contains("text", F.col("h"))).select("item_id").distinct()
+
+
+@query("SELECT item_id FROM benchmark b WHERE text <> '' AND NOT EXISTS (SELECT 1 FROM documents d WHERE contains(d.text, b.text))")
+def anti_whole_passages(spark, sf_dir):
+    b = table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id")
+    return b.join(semi_whole_passages(spark, sf_dir), "item_id", "left_anti")
+
+
 _HIT = "SELECT d.lang, d.source, l.quality, l.toxic, contains(d.text, 'licen') AS hit FROM documents d LEFT JOIN labels l USING (doc_id)"
 
 

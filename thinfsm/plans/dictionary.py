@@ -73,9 +73,14 @@ def _sampled_depth(a):
 
 
 def _matcher(spark, sf_dir, table_name="part", col="p_name", width=None, default="suffix"):
-    """A delayed matcher of the distinct words of a column (at most 100,000 words are sent)."""
+    """A delayed matcher of all distinct words of a column, in groups of bounded bytes."""
     c = F.col(col) if width is None else F.substring(col, 1, width)
-    words = [r[0].encode() for r in table(spark, sf_dir, table_name).select(c.alias("w")).filter("w is not null and w <> ''").distinct().orderBy("w").limit(100_000).collect()]
+    words = (r[0].encode() for r in table(spark, sf_dir, table_name).select(c.alias("w")).filter("w is not null and w <> ''").distinct().orderBy("w").toLocalIterator())
+    groups = [_group_matcher(g) for g in match.word_groups(words, match.GROUP_BYTES)]
+    return (groups or [_group_matcher([])])[0] if len(groups) < 2 else match.Matchers(groups)
+
+
+def _group_matcher(words):
     t, accept, depth = rules.dictionary(words)
     import numpy as np
 
@@ -363,6 +368,13 @@ def match_benchmark_docs(spark, sf_dir):
     return match.match(d, _matcher(spark, sf_dir, "benchmark", "text", 40), id_col="doc_id", text_col="text").filter("accepts").select(F.col("payload_id").alias("doc_id"))
 
 
+@query
+def match_whole_passages(spark, sf_dir):
+    """Documents that hold a whole passage."""
+    d = table(spark, sf_dir, "documents")
+    return match.match(d, _matcher(spark, sf_dir, "benchmark", "text"), id_col="doc_id", text_col="text").filter("accepts").select(F.col("payload_id").alias("doc_id"))
+
+
 @query
 def page_matches(spark, sf_dir):
     """Pages whose html holds a part name."""
@@ -600,6 +612,7 @@ ORACLES = {
     "hops_by_symbol": W + _RES + " SELECT symbol, CAST(sum(hops) AS BIGINT) AS hops FROM hp GROUP BY 1",
     "match_names": W + _HEAD + ", p AS (SELECT p_partkey, p_name, unnest(range(1, length(p_name) + 1)) AS i FROM part WHERE p_name <> '') SELECT p_partkey, CAST(count(words.w) AS BIGINT) AS matches, CAST(any_value(strlen(p_name)) AS BIGINT) AS length FROM p LEFT JOIN words ON substring(p_name, i - length(w) + 1, length(w)) = w AND i >= length(w) GROUP BY 1",
     "match_benchmark_docs": "SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT substring(text, 1, 40) AS w FROM benchmark WHERE text <> '') ON contains(text, w)",
+    "match_whole_passages": "SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT text AS w FROM benchmark WHERE text <> '') b ON contains(documents.text, w)",
     "page_matches": W + _HEAD + " SELECT page_id, bool_or(contains(html, w)) AS accepts, CAST(any_value(strlen(html)) AS BIGINT) AS length FROM pages, words GROUP BY 1",
     "matching_delay_names": W + _RES + ", st AS (SELECT w, 0 AS i, CAST(0 AS BIGINT) AS cur, CAST(0 AS BIGINT) AS total FROM words UNION ALL SELECT st.w, st.i + 1, tr.target, st.total + hp.hops FROM st JOIN tr ON tr.state = st.cur AND tr.symbol = ascii(substring(st.w, st.i + 1, 1)) JOIN hp ON hp.state = st.cur AND hp.symbol = tr.symbol WHERE st.i < length(st.w)) SELECT w AS p_name, total AS hops, total <= length(w) AS bounded FROM st WHERE i = length(w)",
     "collect_rows": W + _HEAD + " SELECT state, symbol, target FROM tr",

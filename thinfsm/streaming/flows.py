@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..match import Matcher, match
+from ..match import Matcher, Matchers, match
 from ..model import table
 from ..plans.dictionary import _matcher
 from ..scratch import shared_dir
@@ -115,26 +115,35 @@ def stream_match(spark, sf_dir):
     return drained(runs.filter("accepts")).select(F.col("payload_id").alias("doc_id"))
 
 
-FLOW = "flow_id long, state long, length long, hops long, matches long"
+@query("SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT text AS w FROM benchmark WHERE text <> '') b ON contains(documents.text, w)")
+def stream_whole_passages(spark, sf_dir):
+    """stream_match with whole passages."""
+    runs = match(stream(spark, sf_dir, "documents"), _matcher(spark, sf_dir, "benchmark", "text"), id_col="doc_id", text_col="text")
+    return drained(runs.filter("accepts")).select(F.col("payload_id").alias("doc_id"))
+
 
+FLOW = "flow_id long, state array<long>, length long, hops long, matches long"
 
-def flow_states(fragments: DataFrame, matcher: Matcher, flow_col: str, seq_col: str, text_col: str) -> DataFrame:
-    """The automaton's state survives between fragments of a flow; idle flows expire by event time left to the caller's watermark.
+
+def flow_states(fragments: DataFrame, matcher: Matcher | Matchers, flow_col: str, seq_col: str, text_col: str) -> DataFrame:
+    """The automaton's state (one for each group of rules) survives between fragments of a flow; idle flows expire by event time left to the caller's watermark.
 
     Fragments of a batch are taken in order of their number; one output row per flow and batch."""
 
+    groups = len(matcher.parts) if isinstance(matcher, Matchers) else 1
+
     def step(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        at, length, hops, found = state.get if state.exists else (0, 0, 0, 0)
+        at, length, hops, found = state.get if state.exists else ([0] * groups, 0, 0, 0)
         part = pd.concat(list(frames)).sort_values("seq")
         for text in part["text"]:
             raw = (text or "").encode()
-            got = matcher.run([raw], np.array([at]))
-            at, length, hops, found = int(got["end_state"][0]), length + len(raw), hops + int(got["hops"][0]), found + int(got["matches"][0])
+            got = matcher.run([raw], np.array(at, np.int64))
+            at, length, hops, found = np.atleast_1d(got["end_state"][0]).tolist(), length + len(raw), hops + int(got["hops"][0]), found + int(got["matches"][0])
         state.update((at, length, hops, found))
         yield pd.DataFrame({"flow_id": [key[0]], "state": [at], "length": [length], "hops": [hops], "matches": [found]})
 
     rows = fragments.select(F.col(flow_col).cast("long").alias("flow_id"), F.col(seq_col).alias("seq"), F.col(text_col).alias("text"))
-    return rows.groupBy("flow_id").applyInPandasWithState(step, FLOW, "state long, length long, hops long, matches long", "update", GroupStateTimeout.NoTimeout)
+    return rows.groupBy("flow_id").applyInPandasWithState(step, FLOW, "state array<long>, length long, hops long, matches long", "update", GroupStateTimeout.NoTimeout)
 
 
 @query()
