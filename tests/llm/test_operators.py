@@ -31,13 +31,14 @@ def test_queries_equal_sql(spark, same, name):
 # Set join
 
 
-def brute_components(rows, percent=90):
+def brute_components(rows, percent=90, width=3):
     def shingles(t):
         w = [x for x in re.split("[ \t\n\x0b\x0c\r]+", (t or "").translate({c: c + 32 for c in range(65, 91)})) if x]
-        return {tuple(w[i : i + 3]) for i in range(max(1, len(w) - 2))} if w else set()
+        return {tuple(w[i : i + width]) for i in range(max(1, len(w) - width + 1))} if w else set()
 
     ids, sets = [i for i, _ in rows], [shingles(t) for _, t in rows]
     comp = {i: i for i in ids if i is not None}
+    links = [0] * len(rows)
 
     def find(x):
         while comp[x] != x:
@@ -50,9 +51,10 @@ def brute_components(rows, percent=90):
                 continue
             both = len(sets[a] & sets[b])
             if 100 * both >= percent * (len(sets[a]) + len(sets[b]) - both):
+                links[a], links[b] = links[a] + 1, links[b] + 1
                 x, y = find(ids[a]), find(ids[b])
                 comp[max(x, y)] = min(x, y)
-    return sorted(((i, len(s), None if i is None else find(i)) for i, s in zip(ids, sets)), key=str)
+    return sorted(((i, len(s), None if i is None else find(i), k) for i, s, k in zip(ids, sets, links)), key=str)
 
 
 def near_copies(seed, n=160):
@@ -72,11 +74,43 @@ def near_copies(seed, n=160):
     return list(enumerate(out))
 
 
-@pytest.mark.parametrize("seed", [1, 2])
-def test_set_join_against_brute_force(spark, seed):
+@pytest.mark.parametrize("seed,width,percent", [(1, 3, 90), (2, 3, 90), (3, 5, 80)])
+def test_set_join_against_brute_force(spark, seed, width, percent):
     rows = near_copies(seed)
+    got = sorted(map(tuple, setjoin.join(docs(spark, rows), width=width, percent=percent).collect()), key=str)
+    assert got == brute_components(rows, percent, width)
+
+
+def test_set_join_in_parts_and_blocks(spark, monkeypatch):
+    """Long lists in parts, families in blocks: the same links."""
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(80)]
+    rows = []
+    for i in range(120):
+        t = list(base)
+        for _ in range(rng.choice([0, 1, 1, 2, 3])):
+            t[rng.randrange(len(t))] = f"x{rng.randrange(9)}"
+        rows.append((i, " ".join(t)))
+    nodes = []
+    monkeypatch.setattr(setjoin, "MEMBERS", 16)
+    found = sorted(map(tuple, setjoin.join(docs(spark, rows)).collect()), key=str)
+    assert found == brute_components(rows)
+    entries = np.zeros(300, setjoin.ITEM)
+    entries["list"], entries["node"] = np.repeat([7, 8], 150), np.arange(300)
+    cut = setjoin.dealt(entries, (np.array([7], np.uint64), np.array([4])))
+    assert len(cut) == 150 + 150 * 4 and (cut["list"] == 8).sum() == 150
+    for x in np.unique(cut["list"]):
+        nodes.append(set(cut["node"][cut["list"] == x].tolist()))
+    assert all(any({a, b} <= s for s in nodes) for a in range(0, 150, 7) for b in range(0, 150, 11))
+
+
+def test_set_join_with_repeated_ids(spark):
+    a, b, c = "one two three four", "five six seven eight", "nine ten eleven twelve"
+    rows = [(3, a), (5, a), (5, b), (7, b), (7, b), (9, c), (9, None), (11, c)]
     got = sorted(map(tuple, setjoin.join(docs(spark, rows)).collect()), key=str)
     assert got == brute_components(rows)
+    kept = {r["doc_id"]: r["text"] for r in setjoin.keep_one(docs(spark, rows)).collect()}
+    assert kept == {3: a, 9: c}
 
 
 def test_set_join_odd(spark):
@@ -323,7 +357,7 @@ def test_pipeline_stages(spark):
             assert out.columns == d.columns
         d = setjoin.store(out)
         rows[name] = d.toPandas()
-    brute = brute_components(list(rows["language"][["doc_id", "text"]].itertuples(index=False, name=None)))
-    assert sorted(rows["near_duplicates"]["doc_id"]) == sorted({c for _, _, c in brute})
+    brute = brute_components(list(rows["language"][["doc_id", "text"]].itertuples(index=False, name=None)), percent=80, width=5)
+    assert sorted(rows["near_duplicates"]["doc_id"]) == sorted({c for _, _, c, _ in brute})
     assert not any(plain_spans(t) for t in rows["personal_data"]["text"])
     assert len(rows["mixture"]) == len(rows["personal_data"]) == len(rows["decontamination"]) and (rows["mixture"]["rate"] >= 0).all()

@@ -1,4 +1,4 @@
-"""Exact n-gram Jaccard self-join with set-relation skipping, and its components.
+"""Exact n-gram Jaccard self-join with set-relation skipping: links, their number, and components.
 
 A document's set holds its distinct shingles of ``width`` words (A-Z lower-cased, words parted
 by white space); with fewer words the whole sequence is the one shingle; without words the set
@@ -8,21 +8,25 @@ intersection is at least ``percent`` per cent of the union.
 1. Equal sets are folded into one node, so copies cost a row each and no pair.
 2. Shingles get one global order: those that are frequent by a fixed-size count over the whole
    corpus go last, the rest goes by hash.  The first (100 - percent) per cent of a set, plus
-   one, are its index entries (prefix filter: linked sets share one at least).
+   one, are its index entries (prefix filter: linked sets share one at least).  Entries travel
+   as packed arrays, a row for each task and bucket.
 3. The index list of a shingle is sorted by set size and cut into blocks.  A block is skipped
    if its sizes or its positions exclude a link (index-level skipping).  Entries that remain
    are compared by parity signatures: their Hamming distance never exceeds the size of the
-   symmetric difference, so no link is lost.
-4. Answers of a set are derived from those of the sets like it: once a set has joined another
-   in a list, the members already reached from there are skipped, so a list yields a spanning
-   forest of its candidates, never all pairs (answer-level skipping).
-5. Candidates are verified on the whole sets.  A group of candidates that a rejected edge
-   leaves in several parts is searched again, now for all candidates between parts.
-6. Components by alternating star contraction over the verified links.
+   symmetric difference, so no link is lost.  A long list is cut into parts, and each pair of
+   parts is a list of its own.
+4. Lists give families: sets joined by chains of pairs that may link.  A list yields a spanning
+   forest of its likely pairs (the rest of them follows from it), and every doubtful pair that
+   crosses its trees, which longer signatures then decide.  Every link is inside a family.
+5. A family is joined exactly, in pairs of blocks of bounded size.  The overlaps of one set with
+   a block are counted by the block's lists; those of every other set are derived from them, by
+   the lists of the few shingles in which the two sets differ (answer-level skipping).  A pair
+   of blocks gives the number of links of each set and a spanning forest of the links.
+6. Components by alternating star contraction over these forests.
 
 Cases: a null or wordless text has n_shingles 0 and is its own component; a null id links with
-nothing and has a null component; rows that share an id are one node; repeated rows give a row
-each; other columns are ignored.
+nothing and has a null component; rows that share an id are one document for components, also
+with different texts; repeated rows give a row each; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,7 +35,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .base import LOWER_BYTES, chunks, drop, store, text_buffer
@@ -43,6 +47,14 @@ COUNTED = 61
 MARKS = 1 << 23
 BITS = 4  # 64-bit words of a signature
 BLOCK = 256
+#: A pair whose short signatures differ in so many bits at most surely has much in common: two random long sets differ in 128 (deviation 8).
+STRONG = 80
+#: Entries of a part of a long list; the heaviest LONG lists are cut, so any other holds at most a LONG-th of all entries.
+PART, LONG = 4096, 1 << 20
+#: Sets and shingles of a block of a family.
+MEMBERS, VOLUME = 256, 1 << 20
+#: Bytes of index entries that a task gathers before it sends them.
+GATHER = 16 << 20
 _rng = np.random.default_rng(20240607)
 _BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
 _BASE = 0x9E3779B97F4A7C15
@@ -151,11 +163,19 @@ def fold(sig: np.ndarray, bits: int) -> np.ndarray:
     return sig if len(sig) == bits else (sig.reshape(bits, -1).sum(1) & 1).astype(np.uint8)
 
 
-ENTRY = "doc_id long, n long, f1 long, f2 long, sig array<long>, wide binary, keys array<long>"
+ENTRY = "doc_id long, n long, f1 long, f2 long, sig binary, wide binary, keys binary"
+ITEM = np.dtype([("list", "<u8"), ("node", "<i8"), ("n", "<i4"), ("pos", "<i4"), ("sig", "<u8", (BITS,))])
+
+
+def fingerprints(s: np.ndarray) -> tuple[int, int]:
+    """Two 64-bit numbers that tell sets of one size apart."""
+    m = mix(s ^ U(0xA5A5A5A5A5A5A5A5))
+    both = np.array([np.bitwise_xor.reduce(m) if len(s) else 0, m.sum(dtype=np.uint64)], np.uint64).view(np.int64)
+    return int(both[0]), int(both[1])
 
 
 def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int) -> DataFrame:
-    """Per document: size, two fingerprints of the set, its signature and its index entries in the global order."""
+    """Per document: size, two fingerprints of the set, its signatures (the long one where it is longer) and its index keys in the global order."""
     sent = docs.sparkSession.sparkContext.broadcast(levels)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -163,148 +183,227 @@ def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int)
         for b in batches:
             data, off = text_buffer(b.column("text"))
             for i, j in chunks(off):
-                n, f1, f2, sig, wide, keys = [], [], [], [], [], []
+                n, prints, sig, wide, keys = [], [], [], [], []
                 for s in sets(data, off, i, j, width):
                     n.append(len(s))
-                    m = mix(s ^ U(0xA5A5A5A5A5A5A5A5))
-                    f1.append(int(np.bitwise_xor.reduce(m)) if len(s) else 0)
-                    f2.append(int(m.sum(dtype=np.uint64)))
+                    prints.append(fingerprints(s))
                     parity = signature(s)
-                    sig.append(np.packbits(fold(parity, BITS * 64)).view(np.int64))
-                    wide.append(np.packbits(parity).tobytes())
+                    sig.append(np.packbits(fold(parity, BITS * 64)).tobytes())
+                    wide.append(np.packbits(parity).tobytes() if len(parity) > BITS * 64 else None)
                     key = (np.where(s < U(1 << COUNTED), level[(s & U(SLOTS - 1)).astype(np.int64)], U(0)) << U(58)) | (s >> U(6))
                     k = len(s) - int(-(-percent * len(s) // 100)) + 1 if len(s) else 0
-                    keys.append(np.sort(np.partition(key, k - 1)[:k] if 0 < k < len(key) else key).view(np.int64))
-                signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array(n, pa.int64()), signed(f1), signed(f2), pa.array(sig, pa.list_(pa.int64())), pa.array(wide, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "n", "f1", "f2", "sig", "wide", "keys"])
+                    keys.append(np.sort(np.partition(key, k - 1)[:k] if 0 < k < len(key) else key).tobytes())
+                f1, f2 = zip(*prints)
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), *(pa.array(x, pa.binary()) for x in (sig, wide, keys))], names=["doc_id", "n", "f1", "f2", "sig", "wide", "keys"])
 
     return docs.mapInArrow(run, ENTRY)
 
 
+def exploded(b: pa.RecordBatch) -> Iterator[np.ndarray]:
+    """Index entries of a batch of nodes, a bounded number of bytes at a time."""
+    node, n = b.column("node").to_numpy(), b.column("n").to_numpy()
+    keys, off = bytes_of(b.column("keys"))
+    sig, _ = bytes_of(b.column("sig"))
+    sig = sig.view(np.uint64).reshape(-1, BITS)
+    for i, j in chunks(off, GATHER * 8 // ITEM.itemsize):
+        count = np.diff(off[i : j + 1]) // 8
+        out = np.empty(int(count.sum()), ITEM)
+        out["list"] = keys[off[i] : off[j]].view(np.uint64)
+        row = np.repeat(np.arange(i, j), count)
+        out["node"], out["n"], out["sig"] = node[row], n[row], sig[row]
+        out["pos"] = np.arange(len(out)) - np.repeat(np.cumsum(count) - count, count)
+        yield out
+
+
+def bytes_of(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    col = col.cast(pa.large_binary())
+    off = np.frombuffer(col.buffers()[1], np.int64)[col.offset : col.offset + len(col) + 1]
+    return np.frombuffer(col.buffers()[2], np.uint8)[off[0] : off[-1]].copy(), off - off[0]
+
+
+def long_lists(nodes: DataFrame, least: int = PART // 64) -> tuple[np.ndarray, np.ndarray]:
+    """The keys of the heaviest lists of more than PART entries and the number of their parts; tasks report what is heavy in them."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = [bytes_of(b.column("keys"))[0].view(np.uint64) for b in batches if b.num_rows]
+        key, n = np.unique(np.concatenate(own), return_counts=True) if own else (np.zeros(0, np.uint64), np.zeros(0, int))
+        yield pa.RecordBatch.from_arrays([pa.array(key[n >= least].view(np.int64)), pa.array(n[n >= least], pa.int64())], names=["key", "n"])
+
+    found = nodes.select("keys").mapInArrow(count, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).filter(F.col("n") > PART).orderBy(F.desc("n"), "key").limit(LONG).toPandas()  # LONG rows at most
+    key, parts = found["key"].to_numpy(np.int64).view(np.uint64), -(-found["n"].to_numpy(np.int64) // PART)
+    rank = np.argsort(key)
+    return key[rank], parts[rank]
+
+
+def dealt(e: np.ndarray, long: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """Entries of long lists go to one list for each pair of parts that theirs is in."""
+    if not len(long[0]) or not len(e):
+        return e
+    at = np.minimum(np.searchsorted(long[0], e["list"]), len(long[0]) - 1)
+    hot = long[0][at] == e["list"]
+    if not hot.any():
+        return e
+    parts = long[1][at[hot]]
+    own = np.repeat(e[hot], parts)
+    other = np.arange(len(own)) - np.repeat(np.cumsum(parts) - parts, parts)
+    part = (mix(own["node"].view(np.uint64)) % np.repeat(parts, parts).astype(np.uint64)).astype(np.int64)
+    lo, hi = np.minimum(part, other), np.maximum(part, other)
+    own["list"] = mix(own["list"] + mix((lo * (1 << 31) + hi + 1).astype(np.uint64)))
+    return np.concatenate([e[~hot], own])
+
+
 class Lists:
-    """Candidate pairs of index lists that arrive sorted by (key, n, node)."""
+    """Pairs of index lists that may link: (a, b, strong)."""
 
-    def __init__(self, percent: int, forest: bool):
-        self.percent, self.forest, self.seen = percent, forest, set()
+    def __init__(self, percent: int):
+        self.percent, self.seen = percent, set()
 
-    def near(self, e: dict, i, j) -> np.ndarray:
-        """Whether entries i and j (arrays) can be linked: sizes, positions, signatures."""
-        n, m = e["n"][i], e["n"][j]
+    def apart(self, e: np.ndarray, i, j) -> np.ndarray:
+        """Bits in which the signatures of entries i and j (arrays) differ; -1 if sizes, positions or these bits exclude a link."""
+        n, m = e["n"][i].astype(np.int64), e["n"][j].astype(np.int64)
         need = least_overlap(n, m, self.percent)
         ok = (100 * np.minimum(n, m) >= self.percent * np.maximum(n, m)) & (np.minimum(n - e["pos"][i], m - e["pos"][j]) >= need)
-        apart = np.bitwise_count(e["sig"][i] ^ e["sig"][j]).sum(-1, dtype=np.int64)
-        return ok & (apart <= n + m - 2 * need) & (e["part"][i] != e["part"][j])
+        bits = np.bitwise_count(e["sig"][i] ^ e["sig"][j]).sum(-1, dtype=np.int64)
+        return np.where(ok & (bits <= n + m - 2 * need), bits, -1)
 
-    def small(self, e: dict, first: np.ndarray, size: np.ndarray) -> list[np.ndarray]:
+    def small(self, e: np.ndarray, first: np.ndarray, size: np.ndarray) -> list[tuple]:
         """All pairs of lists of a few entries, for all lists at once."""
-        out, most = [], int(size.max(initial=0))
-        left = np.repeat(size, size) - 1 - (np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size))
-        row = np.repeat(first, size) + (np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size))
-        for gap in range(1, most):
+        out = []
+        at = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+        left, row = np.repeat(size, size) - 1 - at, np.repeat(first, size) + at
+        for gap in range(1, int(size.max(initial=0))):
             i = row[left >= gap]
-            i = i[self.near(e, i, i + gap)]
-            out.append(np.stack([e["node"][i], e["node"][i + gap]], 1))
+            d = self.apart(e, i, i + gap)
+            out.append((e["node"][i[d >= 0]], e["node"][i[d >= 0] + gap], d[d >= 0] <= STRONG))
         return out
 
-    def large(self, e: dict, lo: int, hi: int) -> list[np.ndarray]:
-        n, pos = e["n"][lo:hi], e["pos"][lo:hi]
-        part = np.unique(e["part"][lo:hi], return_inverse=True)[1]
-        out = []
-        starts = np.arange(0, hi - lo, BLOCK)
-        top, low = np.maximum.reduceat(n, starts), np.minimum.reduceat(pos, starts)
-        for i in range(1, hi - lo):
-            # Blocks whose largest set is too small, or whose first position leaves too little.
-            need = np.minimum(least_overlap(n[i], top, self.percent), least_overlap(n[i], n[i] * self.percent // 100, self.percent))
-            live = (100 * top >= self.percent * n[i]) & (np.minimum(n[i] - pos[i], top - low) >= need) & (starts < i)
+    def large(self, e: np.ndarray) -> list[tuple]:
+        """A spanning forest of the strong pairs of a list sorted by size, and the other pairs that cross its trees."""
+        n, pos, out, weak = e["n"].astype(np.int64), e["pos"].astype(np.int64), [], []
+        starts = np.arange(0, len(e), BLOCK)
+        top, low, least = np.maximum.reduceat(n, starts), np.minimum.reduceat(n, starts), np.minimum.reduceat(pos, starts)
+        part, tested = np.arange(len(e)), np.zeros(len(e), bool)
+
+        def look(i: int, fresh: bool) -> None:
+            """Entry i against those of other trees: all of them, or (fresh) those of which none was compared yet."""
+            # Blocks whose sizes are out of reach, or whose first position leaves too little.
+            need = least_overlap(n[i], np.maximum(low, n[i] * self.percent // 100), self.percent)
+            live = (100 * top >= self.percent * n[i]) & (100 * n[i] >= self.percent * low) & (np.minimum(n[i] - pos[i], top - least) >= need)
             j = (np.flatnonzero(live)[:, None] * BLOCK + np.arange(BLOCK)).ravel()
-            j = j[j < i]
-            if self.forest:
-                j = j[part[j] != part[i]]
-            if len(j):
-                j = j[self.near(e, lo + i, lo + j)]
-            if len(j) and e["no"][lo + i] is not None:
-                j = j[~np.isin(e["node"][lo + j], e["no"][lo + i])]
+            j = j[j < len(e)]
+            j = j[~tested[j] & (part[j] != part[i])] if fresh else j[part[j] != part[i]]
+            d = self.apart(e, i, j)
+            j, d = j[d >= 0], d[d >= 0]
+            strong = d <= STRONG
+            if (~strong).any():
+                weak.append((np.full((~strong).sum(), i), j[~strong]))
+            j = j[strong]
             if not len(j):
-                continue
-            if self.forest:
-                # A signature is sharp while its slots are well above the differences allowed; only such pairs stand for others, by the likest of each part.
-                sharp = n[i] + n[j] - 2 * least_overlap(n[i], n[j], self.percent) <= BITS * 20
-                s = j[sharp]
-                s = s[np.lexsort((np.bitwise_count(e["sig"][lo + i] ^ e["sig"][lo + s]).sum(-1, dtype=np.int64), part[s]))]
-                own, at = np.unique(part[s], return_index=True)
-                j = np.concatenate([s[at], j[~sharp]])
+                return
+            if fresh:  # a star
+                part[j], tested[j] = part[i], True
+            else:
+                own, at = np.unique(part[j], return_index=True)
+                j = j[at]
                 part[np.isin(part, own)] = part[i]
-            out.append(np.stack([np.full(len(j), e["node"][lo + i]), e["node"][lo + j]], 1))
+            out.append((np.full(len(j), e["node"][i]), e["node"][j], np.ones(len(j), bool)))
+
+        order = np.argsort(e["node"], kind="stable")  # the same centres in every list
+        for i in order.tolist():
+            if not tested[i]:
+                look(i, True)
+        member = tested.copy()
+        for i in order.tolist():
+            if member[i] and (part != part[i]).any():
+                look(i, False)
+        if weak:
+            i, j = (np.concatenate(x) for x in zip(*weak))
+            i, j = i[part[i] != part[j]], j[part[i] != part[j]]
+            out.append((e["node"][i], e["node"][j], np.zeros(len(i), bool)))
         return out
 
-    def pairs(self, e: dict) -> np.ndarray:
-        cut = np.flatnonzero(np.diff(e["key"])) + 1
-        first, end = np.concatenate([[0], cut]), np.concatenate([cut, [len(e["key"])]])
+    def pairs(self, e: np.ndarray) -> np.ndarray:
+        """Of all lists in e: rows a < b, strong; none twice in a task, as far as memory for that goes."""
+        e = e[np.lexsort((e["node"], e["n"], e["list"]))]
+        cut = np.flatnonzero(np.diff(e["list"])) + 1
+        first, end = np.concatenate([[0], cut]), np.concatenate([cut, [len(e)]])
         size = end - first
         few = (size > 1) & (size <= 8)
         out = self.small(e, first[few], size[few])
         for k in np.flatnonzero(size > 8):
-            out += self.large(e, int(first[k]), int(end[k]))
-        p = np.concatenate(out) if out else np.zeros((0, 2), np.int64)
-        p = np.unique(np.sort(p[p[:, 0] != p[:, 1]], 1), axis=0)
+            out += self.large(e[first[k] : end[k]])
+        p = np.concatenate([np.stack([np.minimum(a, b), np.maximum(a, b), s], 1) for a, b, s in out]) if out else np.zeros((0, 3), np.int64)
+        p = np.unique(p[p[:, 0] != p[:, 1]], axis=0)
         fresh = [x for x in map(tuple, p.tolist()) if x not in self.seen]
         if len(self.seen) < 500_000:  # only saves repeats
             self.seen.update(fresh)
-        return np.array(fresh, np.int64).reshape(-1, 2)
+        return np.array(fresh, np.int64).reshape(-1, 3)
 
 
-def candidates(entries: DataFrame, percent: int, forest: bool) -> DataFrame:
-    """entries: node, n, part, sig, keys and no (nodes it is known not to link with, or null).
-    Pairs a < b of nodes of different parts that share an index list and can be linked."""
-    lists = entries.select("node", "n", "part", "no", *[F.col("sig")[k].alias(f"s{k}") for k in range(BITS)], F.posexplode("keys").alias("pos", "key"))
-    lists = lists.repartition("key").sortWithinPartitions("key", "n", "node")
-    names = ["key", "n", "node", "pos", "part"]
+def candidates(nodes: DataFrame, percent: int) -> DataFrame:
+    """nodes: node, n, sig, keys.  Pairs a < b that connect every two nodes which may link, with ``strong``."""
+    spark = nodes.sparkSession
+    sent = spark.sparkContext.broadcast(long_lists(nodes))
+    buckets = 8 * int(spark.conf.get("spark.sql.shuffle.partitions"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        work, rest = Lists(percent, forest), None
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, size = [], 0
+
+        def send() -> pa.RecordBatch:
+            e = np.concatenate(own)
+            bucket = (mix(e["list"]) >> U(16)) % U(buckets)
+            e = e[np.argsort(bucket, kind="stable")]
+            got, n = np.unique(bucket, return_counts=True)
+            at = np.concatenate([[0], np.cumsum(n)])
+            return pa.RecordBatch.from_arrays([pa.array(got.astype(np.int64)), pa.array([e[x:y].tobytes() for x, y in zip(at, at[1:])], pa.binary())], names=["bucket", "entries"])
 
-        def emit(e: dict) -> Iterator[pa.RecordBatch]:
-            p = work.pairs(e)
+        for b in batches:
+            for e in exploded(b) if b.num_rows else ():
+                own.append(dealt(e, sent.value))
+                size += own[-1].nbytes
+                if size > GATHER:
+                    yield send()
+                    own, size = [], 0
+        if size:
+            yield send()
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        work, own, last = Lists(percent), [], None
+
+        def found() -> Iterator[pa.RecordBatch]:
+            p = work.pairs(np.concatenate(own)) if own else ()
             if len(p):
-                yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], names=["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1]), pa.array(p[:, 2] > 0)], names=["a", "b", "strong"])
 
         for b in batches:
-            e = {c: b.column(c).to_numpy().astype(np.int64) for c in names}
-            e["no"] = np.empty(b.num_rows, object)
-            e["no"][:] = b.column("no").to_pylist()
-            e["sig"] = np.stack([b.column(f"s{k}").to_numpy() for k in range(BITS)], 1).view(np.uint64)
-            alone = np.ones(len(e["key"]), bool)
-            if rest is not None:
-                e = {c: np.concatenate([rest[c], e[c]]) for c in e}
-            if e["key"][0] == e["key"][-1]:
-                rest = e
-                continue
-            cut = int(np.searchsorted(e["key"], e["key"][-1]))
-            done, rest = {c: x[:cut] for c, x in e.items()}, {c: x[cut:] for c, x in e.items()}
-            same = done["key"][1:] == done["key"][:-1]
-            alone = ~(np.append(same, False) | np.append(False, same))
-            yield from emit({c: x[~alone] for c, x in done.items()}) if not alone.all() else ()
-        if rest is not None:
-            yield from emit(rest)
-
-    return lists.mapInArrow(run, "a long, b long").distinct()
-
-
-def sharpened(pairs: DataFrame, entries: DataFrame, percent: int) -> DataFrame:
-    """The pairs with ``likely``: whether the signatures of full length leave them."""
-    side = lambda c: entries.select(F.col("node").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(f"w{c}"))
+            for k, x in zip(b.column("bucket").to_pylist(), b.column("entries")):
+                if k != last:
+                    yield from found()
+                    own, last = [], k
+                own.append(np.frombuffer(x.as_buffer(), ITEM))
+        yield from found()
+
+    packed = nodes.select("node", "n", "sig", "keys").mapInArrow(pack, "bucket long, entries binary").repartition("bucket").sortWithinPartitions("bucket")
+    return packed.mapInArrow(search, "a long, b long, strong boolean").distinct()
+
+
+def sharpened(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) that the signatures of full length leave."""
+    long = nodes.filter("wide is not null")
+    side = lambda c: long.select(F.col("node").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(f"w{c}"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             keep = np.ones(b.num_rows, bool)
             for k, (n, m, x, y) in enumerate(zip(*(b.column(c).to_pylist() for c in ("na", "nb", "wa", "wb")))):
-                bits = 8 * min(len(x), len(y))
-                apart = fold(np.unpackbits(np.frombuffer(x, np.uint8)), bits) != fold(np.unpackbits(np.frombuffer(y, np.uint8)), bits)
-                keep[k] = int(apart.sum()) <= n + m - 2 * least_overlap(n, m, percent)
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(keep)], names=["a", "b", "likely"])
+                if x and y:
+                    bits = 8 * min(len(x), len(y))
+                    apart = fold(np.unpackbits(np.frombuffer(x, np.uint8)), bits) != fold(np.unpackbits(np.frombuffer(y, np.uint8)), bits)
+                    keep[k] = int(apart.sum()) <= n + m - 2 * least_overlap(n, m, percent)
+            yield b.select(["a", "b"]).filter(pa.array(keep))
 
-    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(run, "a long, b long, likely boolean")
-    return store(both.groupBy("a", "b").agg(F.max("likely").alias("likely")))
+    both = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left").select("a", "b", "na", "nb", "wa", "wb")
+    return both.mapInArrow(run, "a long, b long")
 
 
 def presence(nodes: DataFrame) -> np.ndarray:
@@ -333,45 +432,122 @@ def slot_of(node: np.ndarray) -> np.ndarray:
     return (mix(node.astype(np.int64).view(np.uint64)) & U(MARKS - 1)).astype(np.int64)
 
 
-def texts_of(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """node, text of the nodes in the pairs.  Most other documents are dropped where they are read, by the filter of presence()."""
-    nodes = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    sent = docs.sparkSession.sparkContext.broadcast(presence(nodes))
+def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
+    """wanted: node, with the columns doc, n, f1, f2 of a document that has its set.  node, members (sorted shingles, 8 bytes each).
 
-    def likely(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    Most other documents are dropped where they are read, by the filter of presence()."""
+    sent = docs.sparkSession.sparkContext.broadcast(presence(wanted.select(F.col("doc").alias("node"))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = np.unpackbits(sent.value).astype(bool)
         for b in batches:
             b = b.filter(b.column("doc_id").is_valid())
             b = b.filter(pa.array(bits[slot_of(b.column("doc_id").to_numpy())]))
-            if b.num_rows:
-                yield b
-
-    few = docs.mapInArrow(likely, docs.schema)
-    return store(few.join(nodes, few["doc_id"] == nodes["node"]).select("node", "text"))
-
-
-def verified(pairs: DataFrame, own: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs with ``ok``: whether their whole sets link.  own: texts_of() the nodes."""
+            data, off = text_buffer(b.column("text"))
+            for i, j in chunks(off):
+                own = list(sets(data, off, i, j, width))
+                f1, f2 = zip(*map(fingerprints, own))
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array([len(s) for s in own], pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array([s.tobytes() for s in own], pa.binary())], names=["doc", "n", "f1", "f2", "members"])
+
+    few = docs.mapInArrow(run, "doc long, n long, f1 long, f2 long, members binary")
+    return few.join(wanted.select("node", "doc", "n", "f1", "f2"), ["doc", "n", "f1", "f2"]).select("node", "members")
+
+
+def answers(rows: list[np.ndarray], cols: list[np.ndarray], percent: int) -> Iterator[np.ndarray]:
+    """For each set of rows, the numbers of the sets of cols that link with it.
+
+    The overlaps of the first set are counted by the lists of its shingles; those of another
+    set follow from them by the lists of the shingles that only one of the two has."""
+    m, size = len(cols), np.array([len(s) for s in cols])
+    words, ids = np.unique(np.concatenate(cols), return_inverse=True)
+    owner = np.repeat(np.arange(m), size)[np.argsort(ids, kind="stable")]
+    at = np.concatenate([[0], np.cumsum(np.bincount(ids, minlength=len(words)))])
+
+    def overlaps(x: np.ndarray) -> np.ndarray:
+        n = at[x + 1] - at[x]
+        return np.bincount(owner[np.repeat(at[x] - np.cumsum(n) + n, n) + np.arange(n.sum())], minlength=m)
+
+    def known(s: np.ndarray) -> np.ndarray:
+        x = np.minimum(np.searchsorted(words, s), len(words) - 1)
+        return x[words[x] == s]
+
+    base = known(rows[0])
+    of_base, in_base, own = overlaps(base), np.zeros(len(words), bool), np.zeros(len(words), bool)
+    in_base[base] = True
+    for s in rows:
+        x = known(s)
+        own[x] = True
+        more, less = x[~in_base[x]], base[~own[base]]
+        own[x] = False
+        both = of_base + overlaps(more) - overlaps(less) if len(more) + len(less) < len(x) else overlaps(x)
+        yield np.flatnonzero(100 * both >= percent * (len(s) + size - both))
+
+
+def block_links(node: np.ndarray, right: np.ndarray, weight: np.ndarray, own: list[np.ndarray], percent: int, crossed: bool) -> tuple[np.ndarray, list[tuple[int, int]]]:
+    """Links of every set with those of the other block (crossed) or of the same one, by weight, and a spanning forest of them."""
+    count, edges, label = np.zeros(len(node), np.int64), [], np.arange(len(node))
+    cols = np.flatnonzero(right) if crossed else np.arange(len(node))
+    rows = np.flatnonzero(~right) if crossed else cols
+    if not len(rows) or not len(cols):
+        return count, edges
+    for x, linked in zip(rows.tolist(), answers([own[k] for k in rows], [own[k] for k in cols], percent)):
+        y = cols[linked]
+        y = y[y != x]
+        count[x] += weight[y].sum()
+        if crossed:
+            count[y] += weight[x]
+        fresh, first = np.unique(label[y], return_index=True)
+        for k in y[first[fresh != label[x]]].tolist():
+            edges.append((int(node[x]), int(node[k])))
+        label[np.isin(label, fresh)] = label[x]
+    return count, edges
+
+
+def links_within(families: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
+    """families: node, family, doc, n, f1, f2, weight.  Rows (a, null, links) that add up to the number of links of a node, and rows (a, b, null): a forest of the links of each pair of blocks."""
+    size = families.groupBy("family").agg(F.greatest(F.ceil(F.count("*") / MEMBERS), F.ceil(F.sum("n") / VOLUME)).alias("blocks"))
+    dealt = families.join(size, "family").withColumn("block", F.pmod(F.xxhash64("node", F.lit(7)), "blocks"))
+    dealt = store(dealt.join(sets_of(docs, families, width), "node").select("family", "blocks", "block", "node", "weight", "members"))
+    each = dealt.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    each = each.select("family", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "weight", "members")
 
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, last = [], None
+
+        def found() -> list[tuple]:
+            got = sorted({r[0]: r for r in own}.values())  # a repeated document comes once
+            if len(got) < 2:
+                return []
+            node, block, weight, members = zip(*got)
+            sets_ = [np.frombuffer(x, np.uint64) for x in members]
+            if len(got) == 2 and (last[1] == last[2] or block[0] != block[1]):
+                both = len(np.intersect1d(*sets_, assume_unique=True))
+                if 100 * both < percent * (len(sets_[0]) + len(sets_[1]) - both):
+                    return []
+                return [(node[0], None, weight[1]), (node[1], None, weight[0]), (node[0], node[1], None)]
+            node, right = np.array(node), np.array(block) == last[2]
+            count, edges = block_links(node, right, np.array(weight), sets_, percent, last[1] != last[2])
+            return [(int(x), None, int(c)) for x, c in zip(node, count) if c] + [(x, y, None) for x, y in edges]
+
+        def sent(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], names=["a", "b", "links"])
+
+        rows: list[tuple] = []
         for b in batches:
-            ok = np.zeros(b.num_rows, bool)
-            left, right = text_buffer(b.column("x")), text_buffer(b.column("y"))
-            for i, j in chunks(left[1] + right[1]):
-                for k, (x, y) in enumerate(zip(sets(*left, i, j, width), sets(*right, i, j, width)), i):
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                    ok[k] = 100 * both >= percent * (len(x) + len(y) - both)
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(ok)], names=["a", "b", "ok"])
-
-    both = pairs.join(own.select(F.col("node").alias("a"), F.col("text").alias("x")), "a").join(own.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
-    return store(both.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long, ok boolean").groupBy("a", "b").agg(F.max("ok").alias("ok")))
-
+            for f, i, j, *r in zip(*(b.column(c).to_pylist() for c in ("family", "i", "j", "node", "block", "weight", "members"))):
+                if (f, i, j) != last:
+                    rows += found()
+                    own, last = [], (f, i, j)
+                own.append(tuple(r))
+            if len(rows) > 10_000:
+                yield from sent(rows)
+                rows = []
+        yield from sent(rows + found())
 
-def between(pairs: DataFrame, parts: DataFrame) -> DataFrame:
-    """The pairs whose ends are in different parts."""
-    side = lambda c: parts.select(F.col("node").alias(c), F.col("part").alias(f"p{c}"))
-    both = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left")
-    return both.filter(F.coalesce("pa", "a") != F.coalesce("pb", "b")).select("a", "b")
+    out = store(each.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j").mapInArrow(run, "a long, b long, links long"))
+    drop(dealt)
+    return out
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
@@ -397,61 +573,53 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
 
 
 def join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 3, percent: int = 90) -> DataFrame:
-    """doc_id, n_shingles, component_id of every document."""
+    """doc_id, n_shingles, component_id and n_links (other rows that link with it) of every document."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    same = ["n", "f1", "f2"]
     levels = frequency_levels(docs.select("text"), width)
     entries = store(index_entries(docs, levels, width, percent))
-    folded = entries.filter("n > 0 and doc_id is not null").groupBy("n", "f1", "f2").agg(F.min(F.struct("doc_id", "sig", "wide", "keys")).alias("x"))
-    nodes = store(folded.select(F.col("x.doc_id").alias("node"), F.col("x.doc_id").alias("part"), F.lit(None).cast("array<long>").alias("no"), "n", "f1", "f2", "x.sig", "x.wide", "x.keys"))
-    pairs = sharpened(candidates(nodes, percent, forest=True), nodes, percent)
-    likely = pairs.filter("likely").select("a", "b")
-    own = texts_of(likely, docs)
-    # First one pair for each node, then those that still join different parts.
-    first = verified(likely.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), own, width, percent)
-    parts = components(first.filter("ok"))
-    second = verified(between(likely, parts).join(first, ["a", "b"], "left_anti"), own, width, percent)
-    drop(own)
-    unlike = lambda x: x.filter("not likely").select("a", "b", F.lit(False).alias("ok"))
-    links, groups = first.unionByName(second).unionByName(unlike(pairs)), None
-    if not second.filter("ok").isEmpty():
-        parts = components(links.filter("ok"))
-    for last in (False, False, True):
-        # Candidate groups that fell into several parts are searched again: first for the likest
-        # pairs between the parts, known failures left out, in the end for all pairs.
-        if links.filter("not ok").isEmpty():
-            break
-        groups = store(components(pairs).withColumnRenamed("part", "grp")) if groups is None else groups
-        state = groups.join(parts, "node", "left").select("node", "grp", F.coalesce("part", "node").alias("part"))
-        torn = state.groupBy("grp").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).filter("lo <> hi").select("grp")
-        bad = links.filter("not ok").select("a", "b")
-        bad = bad.unionByName(bad.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.collect_list("b").alias("no"))
-        again = store(state.join(torn, "grp").select("node", "part").join(bad, "node", "left"))
-        if again.isEmpty():
-            break
-        more = candidates(nodes.drop("part", "no").join(again, "node"), percent, forest=not last)
-        more = sharpened(more.join(links, ["a", "b"], "left_anti"), nodes, percent)
-        own = texts_of(more.filter("likely"), docs)
-        new = store(verified(more.filter("likely").select("a", "b"), own, width, percent).unionByName(unlike(more)))
-        drop(own)
-        links = store(links.unionByName(new))
-        if new.isEmpty():
-            break
-        if not new.filter("ok").isEmpty():
-            parts = components(links.filter("ok"))
-    classes = nodes.select("n", "f1", "f2", "node").join(parts, "node", "left").select("n", "f1", "f2", F.coalesce("part", "node").alias("component"))
-    if nodes.groupBy("node").count().filter("count > 1").isEmpty():
-        classes = store(classes)
-    else:  # rows of one id with different texts: one node
-        classes = store(classes.groupBy("n", "f1", "f2").agg(F.min("component").alias("component")))
-    out = entries.select("doc_id", "n", "f1", "f2").join(classes, ["n", "f1", "f2"], "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), None).otherwise(F.coalesce("component", "doc_id")).cast("long").alias("component_id"))
+    sets_ = entries.filter("n > 0 and doc_id is not null").withColumn("rid", F.col("doc_id"))
+    # Ids that stand beside several sets; their rows get numbers of their own, and edges for the id.
+    torn = store(sets_.groupBy("doc_id").agg(F.min(F.struct(*same)).alias("lo"), F.max(F.struct(*same)).alias("hi")).filter("lo <> hi").select("doc_id"))
+    clash = not torn.isEmpty()
+    if clash:
+        sets_ = sets_.join(torn.withColumn("torn", F.lit(True)), "doc_id", "left").withColumn("rid", F.when(F.col("torn"), F.xxhash64("doc_id", *same)).otherwise(F.col("doc_id")))
+    folded = sets_.groupBy(*same).agg(F.min(F.struct("rid", "doc_id", "sig", "wide", "keys")).alias("x"), F.min("doc_id").alias("least"), F.count("*").alias("weight"))
+    nodes = store(folded.select(F.col("x.rid").alias("node"), F.col("x.doc_id").alias("doc"), *same, "least", "weight", "x.sig", "x.wide", "x.keys"))
+    pairs = store(candidates(nodes, percent))
+    may = store(pairs.filter("strong").select("a", "b").unionByName(sharpened(pairs.filter("not strong").select("a", "b"), nodes, percent)))
+    families = store(components(may).join(nodes.select("node", "doc", *same, "weight"), "node").withColumnRenamed("part", "family"))
+    found = links_within(families, docs, width, percent)
+    edges = found.filter("b is not null").select("a", "b")
+    who = nodes.select(*same, "node", "least", "weight")
+    if clash:
+        ids = sets_.filter("torn").join(who.select(*same, "node"), same).select("doc_id", "node")
+        edges = edges.unionByName(ids.join(ids.groupBy("doc_id").agg(F.min("node").alias("b")), "doc_id").select(F.col("node").alias("a"), "b"))
+    parts = store(components(edges))
+    label = parts.join(who.select("node", "least"), "node").groupBy("part").agg(F.min("least").alias("component"))
+    links = found.filter("b is null").groupBy(F.col("a").alias("node")).agg(F.sum("links").alias("links"))
+    classes = who.join(parts.join(label, "part"), "node", "left").join(links, "node", "left")
+    classes = store(classes.select(*same, F.coalesce("component", "least").alias("component"), (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("links")))
+    for t in (pairs, may, families, found, parts, nodes):
+        drop(t)
+    out = entries.select("doc_id", *same).join(classes, same, "left")
+    no_id = F.col("doc_id").isNull()
+    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(no_id, None).otherwise(F.coalesce("component", "doc_id")).cast("long").alias("component_id"), F.when(no_id, 0).otherwise(F.coalesce("links", F.lit(0))).cast("long").alias("n_links"))
 
 
 def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """The documents with the least id of each component, once each, with all their columns; rows with a null id stay."""
-    first = join(docs, id_col=id_col, text_col=text_col, **how).filter("doc_id = component_id").select(F.col("doc_id").alias("__keep")).distinct()
-    kept = docs.join(first, docs[id_col] == F.col("__keep"), "left_semi").dropDuplicates([id_col])
-    return kept.unionByName(docs.filter(docs[id_col].isNull()))
+    """The documents with the least id of each component, once each (of an id's rows the one with the first text), with all their columns; rows with a null id stay."""
+    found = store(join(docs, id_col=id_col, text_col=text_col, **how))
+    ids = found.groupBy("doc_id").agg(F.min("component_id").alias("c"), F.count("*").alias("rows")).filter("doc_id = c")
+    once = ids.select(F.col("doc_id").alias("__keep"), F.col("rows").alias("__rows"))
+    kept = docs.join(once, docs[id_col] == F.col("__keep")).drop("__keep")
+    many = store(ids.filter("rows > 1"))
+    if not many.isEmpty():
+        others = [F.col(f"`{c}`") for c in docs.columns if c not in (id_col, text_col)]
+        order = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last(), *[F.xxhash64(c) for c in others])
+        twice = kept.filter("__rows > 1").withColumn("__rank", F.row_number().over(order)).filter("__rank = 1").drop("__rank")
+        kept = kept.filter("__rows = 1").unionByName(twice)
+    return kept.drop("__rows").unionByName(docs.filter(docs[id_col].isNull()))
 
 
 ORACLE = r"""
@@ -459,12 +627,13 @@ WITH RECURSIVE w AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(
 s AS (SELECT doc_id, list_distinct(CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < 3 THEN [array_to_string(ws, ' ')]
              ELSE list_transform(range(1, len(ws) - 1), lambda i: ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) END) AS sh FROM w),
 t AS (SELECT doc_id, len(sh) AS n, md5(array_to_string(list_sort(sh), chr(10))) AS k, sh FROM s),
-u AS (SELECT min(doc_id) AS node, n, k, any_value(sh) AS sh FROM t WHERE n > 0 GROUP BY n, k),
+u AS (SELECT min(doc_id) AS node, count(*) AS weight, n, k, any_value(sh) AS sh FROM t WHERE n > 0 GROUP BY n, k),
 x AS (SELECT node, n, unnest(sh) AS g FROM u),
 p AS (SELECT a.node AS a, b.node AS b FROM x a JOIN x b ON a.g = b.g AND a.node < b.node GROUP BY a.node, b.node, a.n, b.n HAVING 100 * count(*) >= 90 * (a.n + b.n - count(*))),
 e AS (SELECT a, b FROM p UNION ALL SELECT b, a FROM p),
 r(node, root) AS (SELECT node, node FROM u UNION SELECT e.b, r.root FROM r JOIN e ON e.a = r.node WHERE r.root < e.b),
-c AS (SELECT node, min(root) AS root FROM r GROUP BY node)
-SELECT t.doc_id, CAST(t.n AS BIGINT) AS n_shingles, coalesce(c.root, t.doc_id) AS component_id
-FROM t LEFT JOIN u ON u.n = t.n AND u.k = t.k LEFT JOIN c ON c.node = u.node
+c AS (SELECT node, min(root) AS root FROM r GROUP BY node),
+l AS (SELECT e.a AS node, sum(u.weight) AS links FROM e JOIN u ON u.node = e.b GROUP BY e.a)
+SELECT t.doc_id, CAST(t.n AS BIGINT) AS n_shingles, coalesce(c.root, t.doc_id) AS component_id, CAST(coalesce(l.links, 0) + coalesce(u.weight, 1) - 1 AS BIGINT) AS n_links
+FROM t LEFT JOIN u ON u.n = t.n AND u.k = t.k LEFT JOIN c ON c.node = u.node LEFT JOIN l ON l.node = u.node
 """
