@@ -51,21 +51,36 @@ def symbol_classes(table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarra
     return table[:, first[order]], cls, np.bincount(cls)
 
 
-def similarity(rows: np.ndarray, mult: np.ndarray, u, v, chunk: int = 1 << 16) -> np.ndarray:
+def shared(a: np.ndarray, b: np.ndarray, mult: np.ndarray) -> np.ndarray:
+    """Symbols on which rows a and b agree, by one product; single precision holds every such number."""
+    return ((a == b).astype(np.float32) @ mult.astype(np.float32)).astype(np.int32)
+
+
+def similarity(rows: np.ndarray, mult: np.ndarray, u, v, chunk: int = 1 << 13) -> np.ndarray:
     u, v = np.asarray(u), np.asarray(v)
     out = np.empty(len(u), np.int32)
     for i in range(0, len(u), chunk):
-        out[i : i + chunk] = (rows[u[i : i + chunk]] == rows[v[i : i + chunk]]) @ mult
+        out[i : i + chunk] = shared(rows[u[i : i + chunk]], rows[v[i : i + chunk]], mult)
     return out
 
 
 def one_to_all(rows: np.ndarray, mult: np.ndarray, u: int) -> np.ndarray:
-    return (rows == rows[u]) @ mult
+    return shared(rows, rows[u], mult)
 
 
 def edge_order(w: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
-    """Indices from the best edge to the worst; u < v."""
-    return np.lexsort((v, u, -w))
+    """Indices from the best edge to the worst; u < v.  Edges that come in order of (u, v) are sorted by weight alone."""
+    du = np.diff(u)
+    if not ((du > 0) | (du == 0) & (np.diff(v) >= 0)).all():
+        return np.lexsort((v, u, -w))
+    small = w.max(initial=0) < 1 << 15 and w.min(initial=0) > -(1 << 15)
+    return np.argsort((-w).astype(np.int16) if small else -w, kind="stable")
+
+
+def distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted distinct values (by sorting: the hash table of np.unique is far slower on long arrays)."""
+    x = np.sort(x)
+    return x[np.concatenate([[True], x[1:] != x[:-1]])] if len(x) else x
 
 
 # Sampled candidates
@@ -123,9 +138,31 @@ def proposals(rows, cls, sigma, *, k, r, seed, sampler="distinct", pairing="unif
         yield partners(bucket_key(rows, cls, x, seed, i, sampler), seed, i, pairing)
 
 
+class EdgeSet:
+    """Distinct undirected edges, gathered round by round; sorted anew only when the fresh ones outnumber the rest."""
+
+    def __init__(self, n: int):
+        self.n, self.kept, self.fresh, self.size = n, np.zeros(0, np.int64), [], 0
+
+    def add(self, u: np.ndarray, v: np.ndarray) -> None:
+        self.fresh.append(np.minimum(u, v).astype(np.int64) * self.n + np.maximum(u, v))
+        self.size += len(u)
+        if self.size > max(1 << 21, len(self.kept)):
+            self.merge()
+
+    def merge(self) -> None:
+        self.kept, self.fresh, self.size = distinct(np.concatenate([self.kept, *self.fresh])), [], 0
+
+    def edges(self) -> tuple[np.ndarray, np.ndarray]:
+        self.merge()
+        u = self.kept // self.n
+        return u, self.kept - u * self.n
+
+
 def unique_edges(u: np.ndarray, v: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    e = np.unique(np.minimum(u, v).astype(np.int64) * n + np.maximum(u, v))
-    return e // n, e % n
+    e = EdgeSet(n)
+    e.add(u, v)
+    return e.edges()
 
 
 def star(n: int, start: int) -> tuple[np.ndarray, np.ndarray]:
@@ -133,17 +170,31 @@ def star(n: int, start: int) -> tuple[np.ndarray, np.ndarray]:
     return np.minimum(v, start), np.maximum(v, start)
 
 
-def sampled_graph(rows, cls, mult, start, *, k=8, r=512, seed=42, sampler="distinct", pairing="uniform", with_star=True, forest=False, batch=32):
-    """Edges u < v with weights.  forest: keep only the maximum spanning forest between batches of rounds (the same tree in the end)."""
-    n, kept = len(rows), None
-    eu, ev = star(n, start) if with_star else (np.zeros(0, np.int64),) * 2
+def sampled_graph(rows, cls, mult, start, *, k=8, r=512, seed=42, sampler="distinct", pairing="uniform", with_star=True, forest=False, batch=32, patience=0, eps=0.0):
+    """Edges u < v with weights.
+
+    forest: keep only the maximum spanning forest between batches of rounds (the same tree in
+    the end).  patience (with forest): stop after so many batches in a row that raise the
+    forest's value by a share of ``eps`` at most; 0 runs all rounds."""
+    n, all_ = len(rows), EdgeSet(len(rows))
+    if with_star:
+        all_.add(*star(n, start))
+    value, idle = -1, 0
     for b in range(0, max(r, 1), batch):
-        got = list(proposals(rows, cls, len(cls), k=k, r=min(batch, r - b), seed=seed, sampler=sampler, pairing=pairing, first_round=b)) if r else []
-        eu, ev = unique_edges(np.concatenate([eu, *(x for x, _ in got)]), np.concatenate([ev, *(y for _, y in got)]), n)
+        for x, y in proposals(rows, cls, len(cls), k=k, r=min(batch, r - b), seed=seed, sampler=sampler, pairing=pairing, first_round=b) if r else ():
+            all_.add(x, y)
         if forest:
+            eu, ev = all_.edges()
             w = similarity(rows, mult, eu, ev)
             kept = max_spanning_forest(n, eu, ev, w)
-            eu, ev = eu[kept], ev[kept]
+            all_ = EdgeSet(n)
+            all_.add(eu[kept], ev[kept])
+            now = int(w[kept].sum())
+            idle = idle + 1 if value >= 0 and now - value <= eps * max(value, 1) else 0
+            value = now
+            if patience and idle >= patience:
+                break
+    eu, ev = all_.edges()
     return eu, ev, similarity(rows, mult, eu, ev)
 
 
@@ -177,7 +228,7 @@ def max_spanning_forest(n: int, u: np.ndarray, v: np.ndarray, w: np.ndarray) ->
         best = np.full(n, len(u), np.int64)
         np.minimum.at(best, a, rank[alive])
         np.minimum.at(best, b, rank[alive])
-        pick = np.unique(order[best[best < len(u)]])
+        pick = distinct(order[best[best < len(u)]])
         chosen.append(pick)
         parent = np.arange(n)
         # Each component points over its best edge; of the two-cycles the lesser end is the root.
@@ -257,7 +308,7 @@ def centres(n, u, v) -> np.ndarray:
         if np.array_equal(m, comp):
             break
         comp = m
-    first = np.unique(comp)
+    first = distinct(comp)
 
     def farthest(dist, root):
         order = np.lexsort((np.arange(n), -dist, root))
@@ -482,7 +533,7 @@ def bfs_depth(rows: np.ndarray, start: int) -> np.ndarray:
     front, d = np.array([start]), 0
     while len(front):
         depth[front] = d
-        nxt = np.unique(rows[front])
+        nxt = distinct(rows[front].ravel())
         front, d = nxt[depth[nxt] < 0], d + 1
     return depth
 
