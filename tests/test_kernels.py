@@ -154,6 +154,45 @@ def test_batched_forest_is_the_forest():
     assert set(zip(u[keep], v[keep])) == set(zip(a, b)) and w[keep].sum() == c.sum()
 
 
+def plain_growth(n, w, start, penalty):
+    """Growth by rounds, over a table of weights (missing pairs are no edges)."""
+    level, parent = {start: 0}, {}
+    while True:
+        best = {}
+        for t in set(range(n)) - set(level):
+            offers = [(w[min(x, t), max(x, t)] - {"pow2": 2 ** (level[x] + 1), "none": 0, "linear": level[x] + 1}[penalty], -x) for x in level if (min(x, t), max(x, t)) in w]
+            if offers:
+                best[t] = max(offers)
+        if not best:
+            return parent, level
+        top = max(v for v, _ in best.values())
+        new = {t: -x for t, (v, x) in best.items() if v == top}
+        parent |= new
+        level |= {t: level[x] + 1 for t, x in new.items()}
+
+
+@pytest.mark.parametrize("penalty", ["pow2", "none", "linear"])
+@pytest.mark.parametrize("seed", range(6))
+def test_growth_against_brute_force(seed, penalty):
+    t = random_table(30, 9, seed)
+    rows, cls, mult = K.symbol_classes(t)
+    for u, v, w in (K.sampled_graph(rows, cls, mult, 0, k=2, r=6), [np.concatenate(x) for x in zip(*K.dense_graph(rows, mult))]):
+        parent, level, weight = K.shallow_tree(30, u, v, w, 3, penalty)
+        table = dict(zip(zip(u.tolist(), v.tolist()), w.tolist()))
+        want, at = plain_growth(30, table, 3, penalty)
+        assert {i: p for i, p in enumerate(parent.tolist()) if p >= 0} == want and level.tolist() == [at[i] for i in range(30)]
+        assert all(weight[i] == table[min(i, p), max(i, p)] for i, p in want.items())
+    same = K.dense_shallow_tree(rows, mult, 3, penalty)
+    assert all((a == b).all() for a, b in zip(same, (parent, level, weight)))
+
+
+def test_early_stop_keeps_the_star_and_the_bound():
+    rows, cls, mult = K.symbol_classes(random_table(50, 10, 2))
+    every = K.sampled_graph(rows, cls, mult, 0, k=2, r=400, forest=True, batch=4)
+    early = K.sampled_graph(rows, cls, mult, 0, k=2, r=400, forest=True, batch=4, patience=3)
+    assert len(early[0]) == 49 and early[2].sum() <= every[2].sum()
+
+
 @pytest.mark.parametrize("sampler", ["distinct", "replacement", "rotating", "minhash1", "minhashk"])
 def test_samplers_collide_as_often_as_they_should(sampler):
     from math import comb

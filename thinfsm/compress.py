@@ -20,7 +20,7 @@ DENSE_MOST = 20_000
 FOREST = "automaton_id string, state long, default long, w int, level int, root long"
 
 
-def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, start: int = 0, depth: np.ndarray | None = None, L: int = 2, k: int = 8, r: int = 512, seed: int = 42, sampler: str = "distinct", pairing: str = "uniform", star: bool = True, cut: str = "fewest", min_depth_drop: int = 1, min_gain: int = 0, root: str = "centre", penalty: str = "pow2", fallback_start: bool = False, batch: int = 32) -> tuple[np.ndarray, dict]:
+def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, start: int = 0, depth: np.ndarray | None = None, L: int = 2, k: int = 8, r: int = 512, seed: int = 42, sampler: str = "distinct", pairing: str = "uniform", star: bool = True, cut: str = "fewest", min_depth_drop: int = 1, min_gain: int = 0, root: str = "centre", penalty: str = "pow2", fallback_start: bool = False, batch: int | None = None, patience: int = 0, eps: float = 0.0, grow_most: int = 5000) -> tuple[np.ndarray, dict]:
     """Defaults (-1: none) of an automaton given as a full table, and what was measured on the way."""
     rows, cls, mult = kernels.symbol_classes(table)
     n, info = len(rows), {"edges": 0, "tree_value": 0, "cuts": 0}
@@ -29,6 +29,8 @@ def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, sta
         raise ValueError(f"{graph}_{variant}")
     if graph == "dense" and n > DENSE_MOST:
         raise ValueError(f"dense graph of {n} states, at most {DENSE_MOST}")
+    if variant == "grow" and n > grow_most:
+        raise ValueError(f"bounded merging is quadratic: {n} states, at most {grow_most}")
     if variant == "depth":
         d = kernels.bfs_depth(rows, start) if depth is None else depth
         if graph == "dense":
@@ -40,12 +42,12 @@ def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, sta
         info["edges"] = n * (n - 1) // 2
         u, v, w = kernels.dense_tree(rows, mult) if variant != "grow" else (np.concatenate(x) for x in zip(*kernels.dense_graph(rows, mult)))
     else:
-        u, v, w = kernels.sampled_graph(rows, cls, mult, start, with_star=star, forest=variant == "tree", batch=batch, **sample)
+        u, v, w = kernels.sampled_graph(rows, cls, mult, start, with_star=star, forest=variant == "tree", batch=batch, patience=patience if variant == "tree" else 0, eps=eps, **sample)
         info["edges"] = len(u)
         if variant == "tree":
             info["edges"] = None  # only the forest is kept between batches
     if variant == "grow":
-        keep = kernels.grow_forest(n, u, v, w, L)
+        keep = kernels.grow_forest(n, u, v, w, L, grow_most)
     elif graph == "dense" and variant in ("tree", "cut"):
         keep = np.arange(len(u))
     else:
