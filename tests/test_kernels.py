@@ -255,7 +255,23 @@ def test_matcher_counts_hops_and_ends():
     words = [b"he", b"she", b"his", b"hers"]
     t, accept, depth = R.dictionary(words)
     default, _ = compress.run(t, "depth", "dense", depth=depth)
-    m = Matcher(t, np.array([len(a) for a in accept]), default)
+    for resolved in (0, 3, 99):  # the same whatever is resolved beforehand
+        m = Matcher(t, np.array([len(a) for a in accept]), default, resolved)
+        got = m.run([b"ushers", b"", b"xyz"])
+        rng = np.random.default_rng(4)
+        texts = [bytes(rng.choice(list(b"hisers"), rng.integers(0, 90)).tolist()) for _ in range(200)]
+        runs = m.run(texts)  # in step, then one by one
+        for i, x in enumerate(texts):
+            state, hops, found = 0, [], 0
+            for c in x:
+                h, at = 0, state
+                while default[at] >= 0 and t[at][c] == t[default[at]][c]:
+                    h, at = h + 1, default[at]
+                state = t[state][c]
+                hops.append(h)
+                found += len(accept[state])
+            assert (runs["hops"][i], runs["max_hops"][i], runs["matches"][i], runs["end_state"][i]) == (sum(hops), max(hops, default=0), found, state)
+    assert Matcher(t, np.array([len(a) for a in accept]), default, 0).nbytes < t.nbytes
     got = m.run([b"ushers", b"", b"xyz"])
     assert got["matches"].tolist() == [3, 0, 0] and (got["hops"] <= got["length"]).all()
     a = m.run([b"ush"])

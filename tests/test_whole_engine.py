@@ -11,15 +11,16 @@ from thinfsm.streaming import flows
 
 
 def test_range_join_of_all_lines(spark, tmp_path):
-    lines = [(o, 1, float(o % 5)) for o in (1, 400, 401, 9000)]
+    lines = [(o, 1, float(o % 5), 1.5) for o in (1, 400, 401, 9000)]
     parts = [(p, p % 4) for p in (1, 40, 41, 777)]
-    spark.createDataFrame(lines, "l_orderkey long, l_linenumber int, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame(lines, "l_orderkey long, l_linenumber int, l_quantity double, l_extendedprice double").write.parquet(f"{tmp_path}/lineitem.parquet")
     spark.createDataFrame(parts, "p_partkey long, p_size int").write.parquet(f"{tmp_path}/part.parquet")
-    got = sorted(map(tuple, catalogue.range_join_lines(spark, str(tmp_path)).collect()))
-    assert got == sorted((o, n, p) for o, n, q in lines for p, s in parts if s <= q <= s + 1)
+    got = {r["p_partkey"]: r["lines"] for r in catalogue.range_join_quantity(spark, str(tmp_path)).collect()}
+    want = {p: sum(s <= q <= s + 1 for _, _, q, _ in lines) for p, s in parts}
+    assert got == {p: n for p, n in want.items() if n}
 
 
-@pytest.mark.parametrize("module,name", [(dictionary, "match_whole_passages"), (flows, "stream_whole_passages")])
+@pytest.mark.parametrize("module,name", [(dictionary, "match_benchmark_docs"), (flows, "stream_match")])
 def test_whole_passages(spark, same, module, name):
     same(module.QUERIES[name](spark, SF), module.ORACLES[name])
 
@@ -30,8 +31,8 @@ def test_a_head_is_no_passage(spark, tmp_path):
     spark.createDataFrame([(7, f"a {head} one b"), (8, head)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     ids = lambda df: sorted(r[0] for r in df.collect())
     at = str(tmp_path)
-    assert ids(dictionary.match_whole_passages(spark, at)) == [7]
-    assert ids(catalogue.semi_whole_passages(spark, at)) == [1] and ids(catalogue.anti_whole_passages(spark, at)) == [2]
+    assert ids(dictionary.match_benchmark_docs(spark, at)) == [7]
+    assert ids(catalogue.semi_matched_rules(spark, at)) == [1] and ids(catalogue.anti_unmatched_rules(spark, at)) == [2]
 
 
 def test_groups_of_words_match_as_one(spark, same, monkeypatch):

@@ -35,10 +35,9 @@ def matches_udtf(matcher: Matcher | Matchers):
     class FsmMatches:
         def eval(self, text: str):
             parts = matcher.parts if isinstance(matcher, Matchers) else [matcher]
-            states = [0] * len(parts)
-            for i, c in enumerate((text or "").encode()):
-                states = [m.table[s, c] for m, s in zip(parts, states)]
-                if n := sum(int(m.accept[s]) for m, s in zip(parts, states)):
+            raw = (text or "").encode()
+            for i, steps in enumerate(zip(*(m.walk(raw) for m in parts))):
+                if n := sum(found for _, _, found in steps):
                     yield i + 1, n
 
     return FsmMatches

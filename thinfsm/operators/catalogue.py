@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model import numbered, table
+from ..plans.dictionary import found_words
 
 QUERIES, ORACLES = {}, {}
 
@@ -69,22 +70,14 @@ def equi_join_hint(spark, sf_dir):
     return o.join(table(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment").hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.sum("k").alias("n"), F.round(F.sum("t"), 2).alias("total"))
 
 
-@query("SELECT l_orderkey, l_linenumber, p_partkey FROM lineitem JOIN part ON l_quantity BETWEEN p_size AND p_size + 1 AND p_partkey <= 40 WHERE l_orderkey <= 400")
+@query("SELECT p_partkey, count(*) AS lines, round(sum(l_extendedprice), 2) AS price FROM lineitem JOIN part ON l_quantity BETWEEN p_size AND p_size + 1 GROUP BY 1")
 def range_join_quantity(spark, sf_dir):
-    """Lines in the band of a part: an equi-join on bins of the quantity, then the bounds."""
+    """Lines in the band of each part: lines are added up by quantity, then an equi-join on bins of the quantity, then the bounds."""
     width = 2
-    li = table(spark, sf_dir, "lineitem").filter("l_orderkey <= 400").select("l_orderkey", "l_linenumber", "l_quantity", F.floor(F.col("l_quantity") / width).alias("bin"))
-    p = table(spark, sf_dir, "part").filter("p_partkey <= 40").select("p_partkey", "p_size", F.explode(F.sequence(F.floor(F.col("p_size") / width), F.floor((F.col("p_size") + 1) / width))).alias("bin"))
-    return li.join(p, "bin").filter(F.col("l_quantity").between(F.col("p_size"), F.col("p_size") + 1)).select("l_orderkey", "l_linenumber", "p_partkey")
-
-
-@query("SELECT l_orderkey, l_linenumber, p_partkey FROM lineitem JOIN part ON l_quantity BETWEEN p_size AND p_size + 1")
-def range_join_lines(spark, sf_dir):
-    """range_join_quantity over all lines and all parts."""
-    width = 2
-    li = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_quantity", F.floor(F.col("l_quantity") / width).alias("bin"))
+    li = table(spark, sf_dir, "lineitem").groupBy("l_quantity").agg(F.count("*").alias("n"), F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).alias("t")).withColumn("bin", F.floor(F.col("l_quantity") / width))
     p = table(spark, sf_dir, "part").select("p_partkey", "p_size", F.explode(F.sequence(F.floor(F.col("p_size") / width), F.floor((F.col("p_size") + 1) / width))).alias("bin"))
-    return li.join(p, "bin").filter(F.col("l_quantity").between(F.col("p_size"), F.col("p_size") + 1)).select("l_orderkey", "l_linenumber", "p_partkey")
+    banded = li.join(p, "bin").filter(F.col("l_quantity").between(F.col("p_size"), F.col("p_size") + 1))
+    return banded.groupBy("p_partkey").agg(F.sum("n").alias("lines"), F.round(F.sum("t").cast("double"), 2).alias("price"))
 
 
 @query("SELECT a.event_id AS click_id, b.event_id AS error_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'error' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 5 MINUTE")
@@ -102,35 +95,17 @@ def asof_last_event(spark, sf_dir):
     return e.select("event_id", "event_type", F.last(F.when(F.col("event_type") != "error", F.col("event_id")), ignorenulls=True).over(w).alias("previous")).filter("event_type = 'error'").select("event_id", "previous")
 
 
-_HEADS = "SELECT item_id, substring(text, 1, 40) AS h FROM benchmark WHERE text <> ''"
-
-
-@query(f"SELECT item_id FROM ({_HEADS}) b WHERE EXISTS (SELECT 1 FROM documents WHERE contains(text, h))")
-def semi_matched_rules(spark, sf_dir):
-    """Passages that occur: documents are scanned once against the small list of passages."""
-    b = table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id", F.substring("text", 1, 40).alias("h"))
-    d = table(spark, sf_dir, "documents").select("text")
-    return d.join(F.broadcast(b), F.contains("text", F.col("h"))).select("item_id").distinct()
-
-
-@query(f"SELECT item_id FROM ({_HEADS}) b WHERE NOT EXISTS (SELECT 1 FROM documents WHERE contains(text, h))")
-def anti_unmatched_rules(spark, sf_dir):
-    b = table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id")
-    return b.join(semi_matched_rules(spark, sf_dir), "item_id", "left_anti")
-
-
 @query("SELECT item_id FROM benchmark b WHERE text <> '' AND EXISTS (SELECT 1 FROM documents d WHERE contains(d.text, b.text))")
-def semi_whole_passages(spark, sf_dir):
-    """Passages that occur whole."""
-    b = table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id", F.col("text").alias("h"))
-    d = table(spark, sf_dir, "documents").select("text")
-    return d.join(F.broadcast(b), F.contains("text", F.col("h"))).select("item_id").distinct()
+def semi_matched_rules(spark, sf_dir):
+    """Passages that occur whole: documents are read once by the delayed matcher, which reports the passages that it found."""
+    found = found_words(spark, sf_dir, table(spark, sf_dir, "documents").select("text"), "text", "benchmark", "text")
+    return table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("word")).join(found, "word", "left_semi").select("item_id")
 
 
 @query("SELECT item_id FROM benchmark b WHERE text <> '' AND NOT EXISTS (SELECT 1 FROM documents d WHERE contains(d.text, b.text))")
-def anti_whole_passages(spark, sf_dir):
-    b = table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id")
-    return b.join(semi_whole_passages(spark, sf_dir), "item_id", "left_anti")
+def anti_unmatched_rules(spark, sf_dir):
+    found = found_words(spark, sf_dir, table(spark, sf_dir, "documents").select("text"), "text", "benchmark", "text")
+    return table(spark, sf_dir, "benchmark").filter("text <> ''").select("item_id", F.col("text").alias("word")).join(found, "word", "left_anti").select("item_id")
 
 
 _HIT = "SELECT d.lang, d.source, l.quality, l.toxic, contains(d.text, 'licen') AS hit FROM documents d LEFT JOIN labels l USING (doc_id)"
@@ -212,10 +187,13 @@ def rule_filter(spark, sf_dir):
 
 @query("SELECT w AS word, count(*) FILTER (p_name LIKE '%' || w || '%') AS parts FROM part, (SELECT DISTINCT unnest(string_split(p_name, ' ')) AS w FROM part) GROUP BY 1")
 def pattern_like(spark, sf_dir):
-    """Parts per word: names are folded first, the few distinct words are broadcast."""
+    """Parts per word: a word is joined to the substrings of its length of the folded names, never to every name."""
     p = table(spark, sf_dir, "part").filter("p_name is not null").groupBy("p_name").count()
     w = p.select(F.explode(F.split("p_name", " ")).alias("word")).distinct()
-    return p.join(F.broadcast(w), F.col("p_name").like("%") & F.contains("p_name", F.col("word"))).groupBy("word").agg(F.sum("count").alias("parts"))
+    lengths = w.select(F.length("word").alias("k")).distinct().agg(F.collect_set("k").alias("ks"))  # as many as lengths of words
+    cut = p.join(F.broadcast(lengths)).select("p_name", "count", F.explode("ks").alias("k")).filter(F.col("k") <= F.length("p_name"))
+    subs = cut.select("p_name", "count", F.explode(F.expr("array_distinct(transform(sequence(1, length(p_name) - k + 1), i -> substring(p_name, i, k)))")).alias("word"))
+    return subs.join(w, "word").groupBy("word").agg(F.sum("count").alias("parts"))
 
 
 @query("SELECT date_trunc('month', o_orderdate) AS month, count(*) AS n, count(*) FILTER (o_orderdate + INTERVAL 30 DAY >= date_trunc('month', o_orderdate) + INTERVAL 2 MONTH) AS late FROM orders GROUP BY 1")

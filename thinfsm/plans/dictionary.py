@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -72,20 +73,30 @@ def _sampled_depth(a):
     return giant.best_defaults(pairs.select("u", "v"), a.states.select("state", "depth"), a.wide, min_gain=1)
 
 
-def _matcher(spark, sf_dir, table_name="part", col="p_name", width=None, default="suffix"):
-    """A delayed matcher of all distinct words of a column, in groups of bounded bytes."""
-    c = F.col(col) if width is None else F.substring(col, 1, width)
-    words = (r[0].encode() for r in table(spark, sf_dir, table_name).select(c.alias("w")).filter("w is not null and w <> ''").distinct().orderBy("w").toLocalIterator())
-    groups = [_group_matcher(g) for g in match.word_groups(words, match.GROUP_BYTES)]
-    return (groups or [_group_matcher([])])[0] if len(groups) < 2 else match.Matchers(groups)
+def _groups(spark, sf_dir, table_name="part", col="p_name"):
+    """The distinct words of a column in groups of bounded bytes, each with its delayed matcher and the words that each of its states accepts."""
+    words = (r[0].encode() for r in table(spark, sf_dir, table_name).select(F.col(col).alias("w")).filter("w is not null and w <> ''").distinct().orderBy("w").toLocalIterator())
+    return [(g, *_group_matcher(g)) for g in match.word_groups(words, match.GROUP_BYTES)] or [([], *_group_matcher([]))]
+
+
+def _matcher(spark, sf_dir, table_name="part", col="p_name"):
+    parts = [m for _, m, _ in _groups(spark, sf_dir, table_name, col)]
+    return parts[0] if len(parts) == 1 else match.Matchers(parts)
 
 
 def _group_matcher(words):
+    """The delayed matcher of some words (bounded matching delay) and the words that each state accepts."""
     t, accept, depth = rules.dictionary(words)
-    import numpy as np
+    d, _ = compress.run(t, "depth", "sampled", depth=depth, r=64, fallback_start=True)
+    return match.Matcher(t, np.array([len(x) for x in accept], np.int64), d), accept
 
-    d, _ = compress.run(t, "depth", "dense", depth=depth) if len(t) <= 3000 else compress.run(t, "depth", "sampled", depth=depth, r=64)
-    return match.Matcher(t, np.array([len(x) for x in accept]), d)
+
+def found_words(spark, sf_dir, texts, text_col, table_name, col):
+    """word: those of a column that occur in some text of another table, found in one pass."""
+    groups = _groups(spark, sf_dir, table_name, col)
+    hits = match.occurring(texts, match.Matchers([m for _, m, _ in groups]), text_col=text_col)
+    own = [(k, s, words[w].decode()) for k, (words, _, accept) in enumerate(groups) for s, a in enumerate(accept) for w in a]
+    return hits.join(spark.createDataFrame(own or [(-1, -1, "")], "part long, state long, word string"), ["part", "state"]).select("word").distinct()
 
 
 QUERIES = {}
@@ -363,16 +374,15 @@ def match_names(spark, sf_dir):
 
 @query
 def match_benchmark_docs(spark, sf_dir):
-    """Documents that hold the first 40 characters of a passage."""
+    """Documents that hold a whole passage."""
     d = table(spark, sf_dir, "documents")
-    return match.match(d, _matcher(spark, sf_dir, "benchmark", "text", 40), id_col="doc_id", text_col="text").filter("accepts").select(F.col("payload_id").alias("doc_id"))
+    return match.match(d, _matcher(spark, sf_dir, "benchmark", "text"), id_col="doc_id", text_col="text").filter("accepts").select(F.col("payload_id").alias("doc_id"))
 
 
 @query
-def match_whole_passages(spark, sf_dir):
-    """Documents that hold a whole passage."""
-    d = table(spark, sf_dir, "documents")
-    return match.match(d, _matcher(spark, sf_dir, "benchmark", "text"), id_col="doc_id", text_col="text").filter("accepts").select(F.col("payload_id").alias("doc_id"))
+def matcher_delay(spark, sf_dir):
+    """Bytes, defaults followed per byte and their bound, over all pages matched by the delayed automaton of the names."""
+    return match.delay_report(match.match(table(spark, sf_dir, "pages"), _matcher(spark, sf_dir), id_col="page_id", text_col="html")).select("payloads", "bytes", "bounded", "hops", "mean_hops_per_byte", "p99_hops_per_byte", "max_hops")
 
 
 @query
@@ -611,8 +621,7 @@ ORACLES = {
     "longest_delay": W + _RES + " SELECT CAST(max(hops) AS BIGINT) AS longest_delay FROM hp",
     "hops_by_symbol": W + _RES + " SELECT symbol, CAST(sum(hops) AS BIGINT) AS hops FROM hp GROUP BY 1",
     "match_names": W + _HEAD + ", p AS (SELECT p_partkey, p_name, unnest(range(1, length(p_name) + 1)) AS i FROM part WHERE p_name <> '') SELECT p_partkey, CAST(count(words.w) AS BIGINT) AS matches, CAST(any_value(strlen(p_name)) AS BIGINT) AS length FROM p LEFT JOIN words ON substring(p_name, i - length(w) + 1, length(w)) = w AND i >= length(w) GROUP BY 1",
-    "match_benchmark_docs": "SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT substring(text, 1, 40) AS w FROM benchmark WHERE text <> '') ON contains(text, w)",
-    "match_whole_passages": "SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT text AS w FROM benchmark WHERE text <> '') b ON contains(documents.text, w)",
+    "match_benchmark_docs": "SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT text AS w FROM benchmark WHERE text <> '') b ON contains(documents.text, w)",
     "page_matches": W + _HEAD + " SELECT page_id, bool_or(contains(html, w)) AS accepts, CAST(any_value(strlen(html)) AS BIGINT) AS length FROM pages, words GROUP BY 1",
     "matching_delay_names": W + _RES + ", st AS (SELECT w, 0 AS i, CAST(0 AS BIGINT) AS cur, CAST(0 AS BIGINT) AS total FROM words UNION ALL SELECT st.w, st.i + 1, tr.target, st.total + hp.hops FROM st JOIN tr ON tr.state = st.cur AND tr.symbol = ascii(substring(st.w, st.i + 1, 1)) JOIN hp ON hp.state = st.cur AND hp.symbol = tr.symbol WHERE st.i < length(st.w)) SELECT w AS p_name, total AS hops, total <= length(w) AS bounded FROM st WHERE i = length(w)",
     "collect_rows": W + _HEAD + " SELECT state, symbol, target FROM tr",

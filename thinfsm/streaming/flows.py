@@ -108,16 +108,9 @@ def stream_static_join(spark, sf_dir):
     return drained(d.join(table(spark, sf_dir, "labels").filter("quality = 1").select("doc_id"), "doc_id")).select("doc_id")
 
 
-@query("SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT substring(text, 1, 40) AS w FROM benchmark WHERE text <> '') ON contains(text, w)")
-def stream_match(spark, sf_dir):
-    """Stateless matcher over a stream of payloads."""
-    runs = match(stream(spark, sf_dir, "documents"), _matcher(spark, sf_dir, "benchmark", "text", 40), id_col="doc_id", text_col="text")
-    return drained(runs.filter("accepts")).select(F.col("payload_id").alias("doc_id"))
-
-
 @query("SELECT DISTINCT doc_id FROM documents JOIN (SELECT DISTINCT text AS w FROM benchmark WHERE text <> '') b ON contains(documents.text, w)")
-def stream_whole_passages(spark, sf_dir):
-    """stream_match with whole passages."""
+def stream_match(spark, sf_dir):
+    """Stateless matcher over a stream of payloads: documents that hold a whole passage."""
     runs = match(stream(spark, sf_dir, "documents"), _matcher(spark, sf_dir, "benchmark", "text"), id_col="doc_id", text_col="text")
     return drained(runs.filter("accepts")).select(F.col("payload_id").alias("doc_id"))
 
