@@ -1,21 +1,25 @@
 """Exact top-k by integer inner product, with block-at-a-time pruning.
 
-Vectors are cut into blocks: ranges of an order that puts vectors of like signs side by side.
-A block keeps a forward index (its whole vectors) and, for each term (dimension), the greatest
-and the least value in it.  For a query the bound of a block is the sum over the terms of the
-query's value times the greatest or the least one, whichever gives more.  Each query first
-scores its ``first`` best-bounded blocks of each shard of block summaries; the k-th best score found there is its threshold.
-Then every other block whose bound reaches the threshold is scored; the rest is skipped.  Ties
-go to the lesser id, so a block whose bound equals the threshold is scored too.
-
-Queries and blocks both grow with the data, so neither is broadcast: blocks of queries meet
-chunks of block maxima for the bounds, and (block, query block) work lists meet the forward
-indexes by a join on the block.  Candidates leave a task as at most k rows per query and
-block, and ranks are taken after a partial top k.
-
-Cases: null vectors and vectors with null or non-finite components, or of another length than
-the commonest, take no part; nor do null ids.  Rows that repeat an id are all candidates, and
-a query never returns its own id.  Fewer than k candidates: all of them.  An empty table: none.
+Vectors are put in order of their nearest pivot (a bounded sample of vectors), cut into shards
+of bounded size, and each shard into blocks of like vectors, by halving it along the term
+(dimension) of greatest spread.  A block keeps a forward index (its whole vectors) and, for each
+term, the greatest and the least value in it.  For a query the bound of a block is the sum over
+the terms of the query's value times the greatest or the least one, whichever gives more.
+
+Queries go in groups of bounded size, in the same order as the shards.  A group meets its home
+shard first, then ever wider rings of shards around it; between the rings its thresholds (each
+query's k-th best score so far) are drawn together.  In a shard the group visits the blocks in
+descending order of the bounds; a query scores a block only if the bound reaches its threshold,
+which rises as it goes.  Ties go to the lesser id, so a bound equal to the threshold is scored too.
+
+A task holds one shard while groups stream past it, and sends at most k rows per query, only
+those that reach the threshold.  Neither queries nor vectors are broadcast.
+
+Cases: null vectors and vectors with null or non-finite components take no part, nor do null
+ids.  Vectors of different lengths have no inner product: only those of the commonest length
+take part (of equal counts the least length).  Rows that repeat an id are all candidates, and a
+query never returns its own id; of a query that repeats an id the first vector in order asks.
+Fewer than k candidates: all of them.  An empty table: none.
 """
 
 from __future__ import annotations
@@ -23,12 +27,17 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .base import store
+from ..model import numbered
+from .base import drop, store
+
+#: Vectors in the sample that gives the order.
+PIVOTS = 1024
+LOWEST = np.iinfo(np.int64).min
+FOUND = "query_id long, vec_id long, score long, scored long, pairs long"
 
 
 def quantised(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
@@ -39,47 +48,15 @@ def quantised(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     return rows.select("id", F.transform(v, lambda x: F.floor(x * 256).cast("long")).alias("v"))
 
 
-def order_key(v: Column, bits: int = 16) -> Column:
-    """Signs of the first terms as one number: like vectors get like keys."""
-    return F.aggregate(F.slice(v, 1, bits), F.lit(0), lambda s, x: s * 2 + (x >= 0).cast("int"))
-
-
-def blocks_of(rows: DataFrame, size: int) -> DataFrame:
-    """block, ids, vectors (little-endian int64), hi, lo.  A range partition is cut into blocks of ``size`` rows."""
-    ordered = rows.withColumn("o", order_key(F.col("v"))).repartitionByRange("o", "id").sortWithinPartitions("o", "id").withColumn("p", F.spark_partition_id())
-
-    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest, n = None, 0
-
-        def emit(t: pa.Table) -> pa.RecordBatch:
-            nonlocal n
-            m = np.stack([np.array(x, np.int64) for x in t.column("v").to_pylist()])
-            n += 1
-            return pa.RecordBatch.from_arrays(
-                [pa.array([t.column("p")[0].as_py() * (1 << 32) + n]), pa.array([t.column("id").to_numpy().astype(np.int64).tobytes()], pa.binary()), pa.array([m.tobytes()], pa.binary()), pa.array([m.max(0).tobytes()], pa.binary()), pa.array([m.min(0).tobytes()], pa.binary())],
-                names=["block", "ids", "v", "hi", "lo"],
-            )
-
-        for b in batches:
-            t = pa.Table.from_batches([b])
-            rest = t if rest is None else pa.concat_tables([rest, t])
-            while rest.num_rows >= size:
-                yield emit(rest.slice(0, size))
-                rest = rest.slice(size)
-        if rest is not None and rest.num_rows:
-            yield emit(rest)
-
-    return ordered.select("p", "id", "v").mapInArrow(cut, "block long, ids binary, v binary, hi binary, lo binary")
-
-
-def query_blocks(queries: DataFrame, size: int) -> DataFrame:
-    return blocks_of(queries, size).select(F.col("block").alias("qblock"), F.col("ids").alias("qids"), F.col("v").alias("qv"))
-
-
 def matrix(raw: bytes, rows: int) -> np.ndarray:
     return np.frombuffer(raw, np.int64).reshape(rows, -1)
 
 
+def listed(col: pa.Array) -> np.ndarray:
+    """A column of lists of one length as a matrix."""
+    return col.flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(len(col), -1)
+
+
 def product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Exact a @ b: in doubles while they hold every sum, else in integers."""
     if float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * a.shape[1] < 2**52:
@@ -87,52 +64,121 @@ def product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return a @ b
 
 
-def plan(queries: DataFrame, blocks: DataFrame, first: int, shards: int) -> DataFrame:
-    """For each query block and block: the bounds of its queries, and the queries that begin with it.
+def with_cells(rows: DataFrame, pivots: np.ndarray) -> DataFrame:
+    """Adds the number of the pivot with the greatest cosine; only the order of rows depends on it."""
+    sent = rows.sparkSession.sparkContext.broadcast(pivots / np.maximum(np.linalg.norm(pivots, axis=1, keepdims=True), 1e-9))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                cell = (listed(b.column("v")).astype(np.float64) @ sent.value.T).argmax(1)
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(cell, pa.int32())], names=["id", "v", "cell"])
 
-    Summaries are dealt to shards of a bounded size; every query block meets every shard once
-    (its bounds against the shard's maxima are one matrix product).  A query begins with its
-    ``first`` best-bounded blocks of each shard."""
-    heads = blocks.select("block", "hi", "lo").withColumn("shard", F.pmod(F.xxhash64("block"), F.lit(shards)))
-    wide = queries.withColumn("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))))
+    return rows.select("id", "v").mapInArrow(run, "id long, v array<long>, cell int")
 
-    def bound(key, q: pd.DataFrame, h: pd.DataFrame) -> pd.DataFrame:
-        if q.empty or h.empty:
-            return pd.DataFrame({"qblock": [], "block": [], "bounds": [], "rows": []})
-        h = h.sort_values("block")
-        hi, lo = (np.stack([np.frombuffer(x, np.int64) for x in h[c]]).T for c in ("hi", "lo"))
-        out = []
-        for k, ids, v in zip(q["qblock"], q["qids"], q["qv"]):
-            m = matrix(v, len(ids) // 8)
-            b = product(np.maximum(m, 0), hi) + product(np.minimum(m, 0), lo)
-            top = np.argsort(-b, axis=1, kind="stable")[:, :first]
-            own = [np.flatnonzero((top == c).any(1)).astype(np.int32).tobytes() for c in range(b.shape[1])]
-            out.append(pd.DataFrame({"qblock": k, "block": h["block"].to_numpy(), "bounds": [x.tobytes() for x in np.ascontiguousarray(b.T)], "rows": own}))
-        return pd.concat(out)
 
-    return wide.groupBy("shard").cogroup(heads.groupBy("shard")).applyInPandas(bound, "qblock long, block long, bounds binary, rows binary")
+def cut(rows: DataFrame, size: int) -> DataFrame:
+    """at (number in order), ids, v (little-endian int64): runs of at most ``size`` rows in order of cell and id."""
+    ordered = rows.repartitionByRange("cell", "id").sortWithinPartitions("cell", "id").withColumn("p", F.spark_partition_id())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, vs, n, held = [], [], 0, 0
 
+        def emit(p: int) -> pa.RecordBatch:
+            nonlocal ids, vs, held, n
+            i, v = np.concatenate(ids), np.concatenate(vs)
+            ids, vs, held, n = [i[size:]], [v[size:]], max(0, held - size), n + 1
+            return pa.RecordBatch.from_arrays([pa.array([p * (1 << 32) + n]), pa.array([i[:size].tobytes()], pa.binary()), pa.array([v[:size].tobytes()], pa.binary())], names=["o", "ids", "v"])
 
-def scored(work: DataFrame, queries: DataFrame, blocks: DataFrame, k: int) -> DataFrame:
-    """work: qblock, block, rows (numbers of queries, int32).  The k best of each block for each query."""
-    full = work.join(blocks.select("block", "ids", "v"), "block").join(queries, "qblock").select("ids", "v", "qids", "qv", "rows")
+        p = 0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            p = b.column("p")[0].as_py()
+            ids.append(b.column("id").to_numpy().astype(np.int64))
+            vs.append(listed(b.column("v")))
+            held += b.num_rows
+            while held >= size:
+                yield emit(p)
+        if held:
+            yield emit(p)
+
+    return numbered(store(ordered.select("p", "id", "v").mapInArrow(run, "o long, ids binary, v binary")), ["o"], "at").drop("o")
+
+
+def halved(v: np.ndarray, size: int) -> list[np.ndarray]:
+    """Row numbers in blocks of at most ``size`` rows, by halving along the term of greatest spread."""
+    out, todo = [], [np.arange(len(v))]
+    while todo:
+        rows = todo.pop()
+        if len(rows) <= size:
+            out.append(rows)
+            continue
+        own = v[rows]
+        rows = rows[np.argsort(own[:, int(own.std(0).argmax())], kind="stable")]
+        todo += [rows[: len(rows) // 2], rows[len(rows) // 2 :]]
+    return out
+
+
+class Shard:
+    """The blocks of a shard: forward indexes, and greatest and least values by term."""
+
+    def __init__(self, ids: np.ndarray, v: np.ndarray, block: int):
+        parts = halved(v, block)
+        self.ids, self.v = [ids[p] for p in parts], [v[p] for p in parts]
+        self.hi, self.lo = np.stack([x.max(0) for x in self.v]), np.stack([x.min(0) for x in self.v])
+
+    def search(self, qids: np.ndarray, q: np.ndarray, cut: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+        """Query numbers, ids and scores of at most k rows per query that reach the thresholds; pairs of query and block scored."""
+        bound = product(np.maximum(q, 0), self.hi.T) + product(np.minimum(q, 0), self.lo.T)
+        cut, scored = cut.copy(), 0
+        who, ids, score = (np.zeros(0, np.int64) for _ in range(3))
+        for b in np.argsort(-bound.max(0), kind="stable"):
+            rows = np.flatnonzero(bound[:, b] >= cut)
+            if not len(rows):
+                continue
+            scored += len(rows)
+            s = product(q[rows], self.v[b].T)
+            r, c = np.nonzero((s >= cut[rows, None]) & (self.ids[b][None, :] != qids[rows, None]))
+            if not len(r):
+                continue
+            who, ids, score = np.concatenate([who, rows[r]]), np.concatenate([ids, self.ids[b][c]]), np.concatenate([score, s[r, c]])
+            order = np.lexsort((ids, -score, who))
+            who, ids, score = who[order], ids[order], score[order]
+            first = np.concatenate([[True], who[1:] != who[:-1]])
+            rank = np.arange(len(who)) - np.maximum.accumulate(np.where(first, np.arange(len(who)), 0))
+            keep = rank < k
+            who, ids, score, rank = who[keep], ids[keep], score[keep], rank[keep]
+            last = rank == k - 1
+            cut[who[last]] = np.maximum(cut[who[last]], score[last])
+        keep = score >= cut[who]
+        return who[keep], ids[keep], score[keep], scored
+
+
+def meet(groups: DataFrame, shards: DataFrame, k: int, block: int) -> DataFrame:
+    """groups: at of a shard, qids, qv, cut (each with its thresholds), once for every shard they are to meet.  FOUND rows.
+
+    A shard and its groups come to one task in a row: the shard is held, the groups stream."""
+    none = F.lit(None).cast("binary")
+    first = shards.select("at", F.lit(0).alias("kind"), "ids", "v", none.alias("cut"))
+    rest = groups.select("at", F.lit(1).alias("kind"), F.col("qids").alias("ids"), F.col("qv").alias("v"), "cut")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shard, n = None, 0
         for b in batches:
-            for r in b.to_pylist():
-                ids, qids = np.frombuffer(r["ids"], np.int64), np.frombuffer(r["qids"], np.int64)
-                at = np.frombuffer(r["rows"], np.int32)
-                s = product(matrix(r["qv"], len(qids))[at], matrix(r["v"], len(ids)).T)
-                rank = np.argsort(ids, kind="stable")
-                ids, s = ids[rank], s[:, rank]
-                own = qids[at][:, None] == ids[None, :]
-                s = np.where(own, np.iinfo(np.int64).min, s)
-                top = np.argsort(-s.astype(np.float64) if np.abs(s[~own]).max(initial=0) < 2**52 else -(s + 1), axis=1, kind="stable")[:, : k + 1]
-                q, v, c = np.repeat(qids[at], top.shape[1]), ids[top].ravel(), np.take_along_axis(s, top, 1).ravel()
-                ok = c != np.iinfo(np.int64).min
-                yield pa.RecordBatch.from_arrays([pa.array(q[ok]), pa.array(v[ok]), pa.array(c[ok])], names=["query_id", "vec_id", "score"])
-
-    return full.mapInArrow(run, "query_id long, vec_id long, score long")
+            for kind, ids, v, cuts in zip(*(b.column(c) for c in ("kind", "ids", "v", "cut"))):
+                ids = np.frombuffer(ids.as_buffer(), np.int64)
+                v = matrix(v.as_buffer(), len(ids))
+                if not kind.as_py():
+                    shard, n = Shard(ids, v, block), 0
+                    continue
+                who, found, score, scored = shard.search(ids, v, np.frombuffer(cuts.as_buffer(), np.int64), k)
+                pad = lambda x, y: pa.array(np.append(x, y), mask=np.append(np.zeros(len(x), bool), True))
+                yield pa.RecordBatch.from_arrays(
+                    [pad(ids[who], 0), pad(found, 0), pad(score, 0), pa.array(np.append(np.zeros(len(who), np.int64), scored)), pa.array(np.append(np.zeros(len(who), np.int64), len(ids) * len(shard.ids)))], names=["query_id", "vec_id", "score", "scored", "pairs"]
+                )
+
+    return first.unionByName(rest).repartition("at").sortWithinPartitions("at", "kind").mapInArrow(run, FOUND)
 
 
 def best(found: DataFrame, k: int) -> DataFrame:
@@ -140,49 +186,71 @@ def best(found: DataFrame, k: int) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
-def search(vectors: DataFrame, queries: Column | DataFrame, *, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5, block: int = 128, query_block: int = 512, first: int = 1) -> DataFrame:
-    """query_id, rank, vec_id, score.  queries: a condition on id ``id``, or a table like the vectors."""
+def thresholds(asked: DataFrame, top: DataFrame | None, k: int) -> DataFrame:
+    """asked (q, qids, qv) with cut: each query's k-th best score so far, or the least number."""
+    lowest = lambda b: pa.array([np.full(len(x) // 8, LOWEST).tobytes() for x in b.column("qids").to_pylist()], pa.binary())
+    schema = "q long, qids binary, qv binary, cut binary"
+    if top is None:
+        return asked.mapInArrow(lambda it: (pa.RecordBatch.from_arrays([b.column("q"), b.column("qids"), b.column("qv"), lowest(b)], names=["q", "qids", "qv", "cut"]) for b in it), schema)
+    cut = top.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).alias("cut")).filter("cut is not null")
+
+    def unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for q, raw in zip(b.column("q").to_pylist(), b.column("qids").to_pylist()):
+                ids = np.frombuffer(raw, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), q)), pa.array(ids)], names=["q", "query_id"])
+
+    def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            cuts = []
+            for raw, known in zip(b.column("qids").to_pylist(), b.column("cuts").to_pylist()):
+                own = {c["query_id"]: c["cut"] for c in known or ()}
+                cuts.append(np.array([own.get(i, LOWEST) for i in np.frombuffer(raw, np.int64).tolist()], np.int64).tobytes())
+            yield pa.RecordBatch.from_arrays([b.column("q"), b.column("qids"), b.column("qv"), pa.array(cuts, pa.binary())], names=["q", "qids", "qv", "cut"])
+
+    known = asked.select("q", "qids").mapInArrow(unpacked, "q long, query_id long").join(cut, "query_id").groupBy("q").agg(F.collect_list(F.struct("query_id", "cut")).alias("cuts"))  # a group's queries at most
+    return asked.join(known, "q", "left").select("q", "qids", "qv", "cuts").mapInArrow(packed, schema)
+
+
+def search(vectors: DataFrame, queries: Column | DataFrame, *, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5, block: int = 64, shard: int = 4096, group: int = 512, report: bool = False) -> DataFrame:
+    """query_id, rank, vec_id, score.  queries: a condition on id ``id``, or a table like the vectors.
+
+    report: instead, by ring, the pairs of query and block, and those that were scored."""
+    spark = vectors.sparkSession
     rows = quantised(vectors, id_col, vec_col)
+    empty = spark.createDataFrame([], "ring int, pairs long, scored long" if report else "query_id long, rank int, vec_id long, score long")
     width = rows.groupBy(F.size("v").alias("w")).count().orderBy(F.desc("count"), "w").first()
     if width is None:
-        return rows.select(F.col("id").alias("query_id"), F.lit(0).alias("rank"), F.col("id").alias("vec_id"), F.col("id").alias("score")).limit(0)
+        return empty
     rows = rows.filter(F.size("v") == width[0])
-    asked = quantised(queries, id_col, vec_col).filter(F.size("v") == width[0]) if isinstance(queries, DataFrame) else rows.filter(queries)
-    asked = asked.dropDuplicates(["id"])
-    data, ask = store(blocks_of(rows, block)), store(query_blocks(asked, query_block))
-    shards = max(1, min(4096, data.count() // 256 + 1))
-    bounds = store(plan(ask, data, first, shards))
-    early = store(scored(bounds.filter(F.length("rows") > 0).select("qblock", "block", "rows"), ask, data, k))
-    # The k-th score so far; without k candidates everything has to be looked at.
-    cut = best(early, k).groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).alias("cut"))
-    cuts = ask.select("qblock", "qids").mapInArrow(_unpacked, "qblock long, query_id long").join(cut, "query_id").groupBy("qblock").agg(F.collect_list(F.struct("query_id", "cut")).alias("cuts"))  # query_block at most
-    left = bounds.join(ask.select("qblock", "qids"), "qblock").join(cuts, "qblock", "left")
-
-    def rest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            out = []
-            for r in b.to_pylist():
-                ids, bound = np.frombuffer(r["qids"], np.int64), np.frombuffer(r["bounds"], np.int64)
-                own = {c["query_id"]: c["cut"] for c in r["cuts"] or ()}
-                cut = np.array([own.get(i) if own.get(i) is not None else np.iinfo(np.int64).min for i in ids.tolist()])
-                need = bound >= cut
-                need[np.frombuffer(r["rows"], np.int32)] = False
-                at = np.flatnonzero(need).astype(np.int32)
-                if len(at):
-                    out.append((r["qblock"], r["block"], at.tobytes()))
-            if out:
-                q, d, a = zip(*out)
-                yield pa.RecordBatch.from_arrays([pa.array(q, pa.int64()), pa.array(d, pa.int64()), pa.array(a, pa.binary())], names=["qblock", "block", "rows"])
-
-    later = scored(left.mapInArrow(rest, "qblock long, block long, rows binary"), ask, data, k)
-    return best(early.unionByName(later), k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
-
-
-def _unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        for k, raw in zip(b.column("qblock").to_pylist(), b.column("qids").to_pylist()):
-            ids = np.frombuffer(raw, np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), k)), pa.array(ids)], names=["qblock", "query_id"])
+    pivots = np.array([r[0] for r in rows.orderBy(F.xxhash64("id"), "id", "v").limit(PIVOTS).select("v").collect()], np.float64)  # PIVOTS vectors
+    rows = store(with_cells(rows, pivots))
+    asked = with_cells(quantised(queries, id_col, vec_col).filter(F.size("v") == width[0]), pivots) if isinstance(queries, DataFrame) else rows.filter(queries)
+    asked = asked.groupBy("id").agg(F.min(F.struct("v", "cell")).alias("x")).select("id", "x.v", "x.cell")
+    shards = store(cut(rows, shard))
+    asked = store(cut(asked, group).select(F.col("at").alias("q"), F.col("ids").alias("qids"), F.col("v").alias("qv")))
+    n, m = shards.count(), asked.count()
+    if not m:
+        return empty
+    home = F.floor((F.col("q") + 0.5) * n / m).cast("long")
+    top, rings, lo, hi = None, [], 0, 0
+    while lo < n:
+        near = F.sequence(F.greatest(home - hi, F.lit(0)), F.least(home + hi, F.lit(n - 1)))
+        out = F.filter(near, lambda x: F.abs(x - home) >= lo)
+        ring = thresholds(asked, top, k).withColumn("at", F.explode(out))
+        found = store(meet(ring, shards, k, block))
+        rings.append(found.groupBy(F.lit(len(rings)).alias("ring")).agg(F.sum("pairs").alias("pairs"), F.sum("scored").alias("scored")))
+        found = found.filter("query_id is not null").select("query_id", "vec_id", "score")
+        old, top = top, store(best(found if top is None else top.unionByName(found), k).select("query_id", "vec_id", "score"))
+        if old is not None:
+            drop(old)
+        lo, hi = hi + 1, 4 * hi + 4
+    if report:
+        out = rings[0]
+        for r in rings[1:]:
+            out = out.unionByName(r)
+        return out
+    return best(top, k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 ORACLE = """
