@@ -72,6 +72,6 @@ def test_threads_follow_replies(spark):
 
 
 def test_thread_query_keeps_every_message(spark):
-    got = queries.op4_threads(spark, "/root/testdata/sf0.001").toPandas()
+    got = queries.op4_quotation(spark, "/root/testdata/sf0.001").toPandas()
     assert len(got) == spark.read.parquet("/root/testdata/sf0.001/conversations.parquet").count()
     assert got.groupby(["thread_conv", "thread_turn"])["position"].apply(lambda x: sorted(x) == list(range(len(x)))).all()

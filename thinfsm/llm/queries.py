@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import decontaminate, fixity, langid, mixing, pii, quality, quotes, setjoin, topk, toxicity
-from .base import store, table
+from .base import table
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,12 +24,7 @@ def op3_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_quotation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quotes.link(quotes.as_mail(table(spark, sf_dir, "conversations")))
-
-
-def op4_threads(spark: SparkSession, sf_dir: str) -> DataFrame:
-    linked = store(quotes.link(quotes.as_mail(table(spark, sf_dir, "conversations"))))
-    return quotes.thread_order(linked).select("conv_id", "turn", "thread_conv", "thread_turn", "position", "reply_conv", "reply_turn", "own_text")
+    return quotes.converse(quotes.as_mail(table(spark, sf_dir, "conversations")))
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -56,5 +51,5 @@ def op10_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(pii.find(table(spark, sf_dir, "documents"), keep=("doc_id",)))
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_fixity, op3_top_k, op4_quotation, op4_threads, op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_fixity, op3_top_k, op4_quotation, op5_toxicity, op6_decontamination, op7_language, op8_set_join, op9_quality, op10_personal_data)}
 ORACLES = {"op2_fixity": fixity.ORACLE, "op4_quotation": quotes.ORACLE, "op3_top_k": topk.ORACLE, "op6_decontamination": decontaminate.ORACLE, "op8_set_join": setjoin.ORACLE}

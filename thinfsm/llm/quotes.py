@@ -9,7 +9,8 @@ the latest).  Its own text is what is left without quoted lines and without the
 ("... wrote:") right before them.
 
 The same-conversation link is a window over (conversation, line hash), the other a join with one
-row per line hash, so neither grows with the square of a common line's count.
+row per line hash, so neither grows with the square of a common line's count.  Threads follow
+the reply links to a root, across conversations, and order messages by a walk below it.
 
 Cases: null text is empty; a null conversation or turn has no earlier messages but may link
 elsewhere; messages with the same conversation and turn are one message for links; empty lines
@@ -44,7 +45,9 @@ def links(own: DataFrame) -> DataFrame:
     near = marked.withColumn("near", F.max(F.when(~F.col("quoted"), F.col("turn"))).over(w)).filter("quoted")
     near = near.withColumn("near", F.when(F.col("conv").isNotNull() & F.col("turn").isNotNull(), F.col("near")))
     first = marked.filter("not quoted").groupBy("hash").agg(F.min(F.struct("conv", "turn")).alias("far"))
-    both = near.join(first, "hash", "left")
+    # Only lines without a near match look elsewhere; the others get a key of their own, so a common line doesn't gather them in one task.
+    near = near.withColumn("key", F.when(F.col("near").isNull(), F.col("hash")).otherwise(F.xxhash64("conv", "turn", "hash")))
+    both = near.join(first.withColumnRenamed("hash", "key"), "key", "left")
     here = F.col("near").isNotNull()
     far = F.when(~(F.col("far.conv").eqNullSafe(F.col("conv")) & F.coalesce(F.col("far.turn") >= F.col("turn"), F.lit(False))), F.col("far"))
     out = both.select("conv", "turn", "level", "n", F.when(here, F.col("conv")).otherwise(far["conv"]).alias("to_conv"), F.when(here, F.col("near")).otherwise(far["turn"]).alias("to_turn"))
@@ -66,6 +69,11 @@ def link(messages: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "tur
     return out.select("conv_id", "turn", "reply_conv", "reply_turn", "n_quoted", F.coalesce("n_linked", F.lit(0)).cast("long").alias("n_linked"), F.col("depth").cast("int").alias("depth"), "own_text")
 
 
+def converse(messages: DataFrame, **how) -> DataFrame:
+    """link() with the thread of every message and its position there: reply-ordered conversations without quotes."""
+    return thread_order(store(link(messages, **how)))
+
+
 def key(conv: str, turn: str) -> Column:
     """A message's conversation and turn as one text, also where they are null."""
     return F.concat_ws(":", *[F.coalesce(F.col(c).cast("string"), F.lit("-")) for c in (conv, turn)])
@@ -135,7 +143,7 @@ def as_mail(messages: DataFrame) -> DataFrame:
 
 
 ORACLE = """
-WITH m AS (SELECT conv_id, turn, text, lag(turn) OVER w AS p, lag(turn, 2) OVER w AS pp, lag(text) OVER w AS pt, lag(text, 2) OVER w AS ppt FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)),
+WITH RECURSIVE m AS (SELECT conv_id, turn, text, lag(turn) OVER w AS p, lag(turn, 2) OVER w AS pp, lag(text) OVER w AS pt, lag(text, 2) OVER w AS ppt FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)),
 l AS (SELECT conv_id, turn, unnest(string_split(text, chr(10))) AS line FROM conversations),
 o AS (SELECT conv_id, turn, lower(trim(regexp_replace(line, '\\s+', ' ', 'g'))) AS norm FROM l WHERE trim(line) <> ''),
 q AS (SELECT conv_id, turn, 1 AS level, unnest(string_split(pt, chr(10))) AS line FROM m WHERE p IS NOT NULL
@@ -147,8 +155,11 @@ h AS (SELECT n.conv_id, n.turn, n.norm, n.level, n.n, max(i.turn) AS t FROM n LE
 f AS (SELECT norm, min(struct_pack(conv_id := conv_id, turn := turn)) AS f FROM i GROUP BY norm),
 k AS (SELECT h.conv_id, h.turn, h.level, h.n, CASE WHEN t IS NOT NULL THEN h.conv_id WHEN NOT (f.f.conv_id = h.conv_id AND f.f.turn >= h.turn) THEN f.f.conv_id END AS c, CASE WHEN t IS NOT NULL THEN t WHEN NOT (f.f.conv_id = h.conv_id AND f.f.turn >= h.turn) THEN f.f.turn END AS tt FROM h LEFT JOIN f USING (norm)),
 g AS (SELECT conv_id, turn, c, tt, min(level) AS level, sum(n) AS n FROM k WHERE tt IS NOT NULL GROUP BY 1, 2, 3, 4),
-b AS (SELECT conv_id, turn, max(struct_pack(a := -level, n := n, t := tt, c := c)) AS b, sum(n) AS n_linked FROM g GROUP BY 1, 2)
-SELECT m.conv_id, m.turn, b.b.c AS reply_conv, b.b.t AS reply_turn, CAST(coalesce(len(string_split(pt, chr(10))), 0) + CASE WHEN pp IS NULL THEN 0 ELSE 1 + len(string_split(ppt, chr(10))) END AS BIGINT) AS n_quoted,
+b AS (SELECT conv_id, turn, max(struct_pack(a := -level, n := n, t := tt, c := c)) AS b, sum(n) AS n_linked FROM g GROUP BY 1, 2),
+lk AS (SELECT m.conv_id, m.turn, b.b.c AS reply_conv, b.b.t AS reply_turn, CAST(coalesce(len(string_split(pt, chr(10))), 0) + CASE WHEN pp IS NULL THEN 0 ELSE 1 + len(string_split(ppt, chr(10))) END AS BIGINT) AS n_quoted,
   CAST(coalesce(n_linked, 0) AS BIGINT) AS n_linked, CAST(CASE WHEN pp IS NOT NULL THEN 2 WHEN p IS NOT NULL THEN 1 ELSE 0 END AS INTEGER) AS depth, trim(text, ' ') AS own_text
-FROM m LEFT JOIN b USING (conv_id, turn)
+  FROM m LEFT JOIN b USING (conv_id, turn)),
+rt AS (SELECT conv_id, turn, conv_id AS thread_conv, turn AS thread_turn, [struct_pack(away := false, c := conv_id, t := turn)] AS path FROM lk WHERE reply_turn IS NULL
+  UNION ALL SELECT lk.conv_id, lk.turn, rt.thread_conv, rt.thread_turn, list_append(path, struct_pack(away := lk.conv_id <> rt.conv_id, c := lk.conv_id, t := lk.turn)) FROM lk JOIN rt ON lk.reply_conv = rt.conv_id AND lk.reply_turn = rt.turn)
+SELECT lk.*, thread_conv, thread_turn, row_number() OVER (PARTITION BY thread_conv, thread_turn ORDER BY path) - 1 AS position FROM lk JOIN rt USING (conv_id, turn)
 """
