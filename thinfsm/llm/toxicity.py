@@ -3,7 +3,9 @@ inverted index.
 
 Terms are chosen on the labelled sample: those that depend on the label.  The chance of a term
 without bearing to divide as it does is at most exp(-rows * divergence from the label's
-share); it has to be below ``risk`` over the number of terms tested (``terms`` at most).  Vectors hold (1 + log tf) * idf of the chosen terms of
+share); it has to be below ``risk`` over the number of terms tested.  Every term that passes is
+kept; the others say nothing about the label and would drown those that do (a cosine over all
+words finds texts of one subject, not of one tone).  Vectors hold (1 + log tf) * idf of the chosen terms of
 the whole text, idf counted over all documents, and have length 1.  The labelled examples form
 an inverted index cut into ranges of ``block`` examples; each term knows its greatest weight
 in each range.  For a document the ranges are visited in descending order of the summed
@@ -42,18 +44,39 @@ def words(raw: bytes) -> list[bytes]:
 
 @dataclass
 class Index:
-    """Unit vectors of the examples by term, in ranges of ``block`` examples."""
+    """Postings of the examples' unit vectors by term, cut into ranges of ``block`` examples, with the greatest weight of each term in each range."""
 
     ids: np.ndarray
     labels: np.ndarray
-    weights: np.ndarray  # terms x examples
+    vectors: list[tuple[np.ndarray, np.ndarray]]  # terms and weights of each example
+    terms: int
     block: int
+    owner: np.ndarray = field(init=False)  # examples, by term and number
+    weight: np.ndarray = field(init=False)
+    cut: np.ndarray = field(init=False)  # terms x (ranges + 1): where a term's postings of a range begin
     most: np.ndarray = field(init=False)  # terms x ranges
 
     def __post_init__(self):
-        pad = -len(self.ids) % self.block
-        w = np.pad(self.weights, ((0, 0), (0, pad)))
-        self.most = w.reshape(len(w), -1, self.block).max(2) if w.size else np.zeros((len(w), 0))
+        term = np.concatenate([np.zeros(0, int), *(t for t, _ in self.vectors)])
+        owner = np.repeat(np.arange(len(self.vectors)), [len(t) for t, _ in self.vectors])
+        weight = np.concatenate([np.zeros(0), *(w for _, w in self.vectors)])
+        order = np.lexsort((owner, term))
+        term, self.owner, self.weight, self.vectors = term[order], owner[order], weight[order], []
+        ranges = -(-len(self.ids) // self.block)
+        place = term * ranges + self.owner // self.block
+        count = np.bincount(place, minlength=self.terms * ranges).reshape(self.terms, ranges)
+        ends = np.cumsum(count).reshape(count.shape)
+        self.cut = np.concatenate([(ends - count)[:, :1], ends], 1) if ranges else np.zeros((self.terms, 1), int)
+        self.most = np.zeros(self.terms * ranges)
+        np.maximum.at(self.most, place, self.weight)
+        self.most = self.most.reshape(self.terms, ranges)
+
+    def cosines(self, terms: np.ndarray, q: np.ndarray, r: int) -> np.ndarray:
+        """Cosines of a range's examples."""
+        lo = r * self.block
+        n = self.cut[terms, r + 1] - self.cut[terms, r]
+        at = np.repeat(self.cut[terms, r] - np.cumsum(n) + n, n) + np.arange(n.sum())
+        return np.round(np.bincount(self.owner[at] - lo, weights=np.repeat(q, n) * self.weight[at], minlength=min(self.block, len(self.ids) - lo)), 12)
 
     def nearest(self, terms: np.ndarray, q: np.ndarray, k: int, but: int = -1) -> tuple[np.ndarray, np.ndarray, int]:
         """Positions and cosines of the k nearest examples with a shared term, and ranges visited.  ``but``: a position to leave out."""
@@ -63,9 +86,9 @@ class Index:
             if bound[r] <= 0 or len(at) == k and bound[r] < cos[-1] - 1e-12:
                 break
             seen += 1
-            lo, hi = r * self.block, min((r + 1) * self.block, len(self.ids))
-            c = np.round(q @ self.weights[terms, lo:hi], 12)
-            own = np.flatnonzero(c > 0) if but < lo or but >= hi else np.setdiff1d(np.flatnonzero(c > 0), [but - lo])
+            lo, c = r * self.block, self.cosines(terms, q, r)
+            own = np.flatnonzero(c > 0)
+            own = own[own != but - lo]
             at, cos = np.concatenate([at, own + lo]), np.concatenate([cos, c[own]])
             best = np.lexsort((self.ids[at], -cos))[:k]
             at, cos = at[best], cos[best]
@@ -96,7 +119,7 @@ class Model:
         return self.prior if vote is None else float(1 / (1 + np.exp(-np.clip(self.a * vote + self.b, -40, 40))))
 
 
-def choose_terms(rows: DataFrame, most: int, risk: float) -> tuple[dict[bytes, int], int, int]:
+def choose_terms(rows: DataFrame, risk: float) -> tuple[dict[bytes, int], int, int]:
     """Terms of the sample that depend on the label; numbers of toxic and other rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -115,12 +138,12 @@ def choose_terms(rows: DataFrame, most: int, risk: float) -> tuple[dict[bytes, i
     if not n1 or not n0:
         return {}, n1, n0
     found = rows.mapInArrow(run, "term binary, label int, n long").groupBy("term").agg(*[F.sum(F.when(F.col("label") == y, F.col("n")).otherwise(0)).cast("double").alias(c) for c, y in (("a", 1), ("b", 0))])
-    found = found.filter("a + b >= 3").persist()
+    found = found.persist()
     p, n = n1 / (n1 + n0), F.col("a") + F.col("b")
     part = lambda x, share: F.when(x > 0, x * F.log(x / (n * share))).otherwise(0.0)
     gain = part(F.col("a"), p) + part(F.col("b"), 1 - p)
     least = float(np.log(max(1, found.count()) / risk))
-    best = found.withColumn("gain", gain).filter(F.col("gain") >= least).orderBy(F.desc("gain"), "term").limit(most)
+    best = found.withColumn("gain", gain).filter(F.col("gain") >= least).orderBy(F.desc("gain"), "term")  # terms of the bounded sample
     terms = {bytes(r[0]): k for k, r in enumerate(best.select("term").collect())}
     found.unpersist()
     return terms, n1, n0
@@ -149,10 +172,10 @@ def corpus_frequencies(docs: DataFrame, terms: dict[bytes, int]) -> tuple[np.nda
     return np.array([got.get(t, 0) for t in range(len(terms))], float), int(got.get(-1, 0))
 
 
-def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held: int = 0, sample_rows: int = 4000, terms: int = 512, risk: float = 0.05, k: int = 15, block: int = 64) -> Model:
+def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held: int = 0, sample_rows: int = 4000, risk: float = 0.05, k: int = 15, block: int = 64) -> Model:
     rows = labelled(docs, labels, id_col=id_col, text_col=text_col, label_col=label_col, folds=folds, held=held, sample_rows=sample_rows).persist()
-    chosen, n1, n0 = choose_terms(rows, terms, risk)
-    none = Index(np.zeros(0, int), np.zeros(0), np.zeros((len(chosen), 0)), block)
+    chosen, n1, n0 = choose_terms(rows, risk)
+    none = Index(np.zeros(0, int), np.zeros(0), [], len(chosen), block)
     if not chosen:
         rows.unpersist()
         return Model({}, np.zeros(0), none, k, n1 / (n1 + n0) if n1 + n0 else 0.5)
@@ -171,11 +194,7 @@ def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_co
     empty = [r[1] for r in got if not r[2]]
     own = [(r[0], r[1], Counter(dict(zip(r[2], r[3])))) for r in got if r[2]]
     model = Model(chosen, idf, none, k, (sum(empty) + 0.5 * n1 / (n1 + n0)) / (len(empty) + 0.5))
-    w = np.zeros((len(chosen), len(own)))
-    for e, (_, _, c) in enumerate(own):
-        t, q = model.vector(c)
-        w[t, e] = q
-    model.index = Index(np.array([o[0] for o in own], np.int64), np.array([o[1] for o in own], float), w, block)
+    model.index = Index(np.array([o[0] for o in own], np.int64), np.array([o[1] for o in own], float), [model.vector(c) for _, _, c in own], len(chosen), block)
     votes = [(model.vote(c, e)[0], y) for e, (_, y, c) in enumerate(own)]
     v = np.array([[x, y] for x, y in votes if x is not None]).reshape(-1, 2)
     model.a, model.b = calibrate(v[:, 0], v[:, 1])
