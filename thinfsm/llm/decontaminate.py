@@ -17,6 +17,7 @@ a document are merged, so memory is bounded whatever the benchmark's size.
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 
 import numpy as np
@@ -76,10 +77,15 @@ def scan(raw: bytes, a) -> tuple[int, list[int], list[str], list[dict]]:
         edge[last - k] += 1
         edge[last] -= 1
     hit = np.flatnonzero(np.cumsum(edge[:-1]) > 0)
+    return n, hit.tolist(), sorted(items), hit_spans(raw, hit)
+
+
+def hit_spans(raw: bytes, hit: np.ndarray) -> list[dict]:
+    """Runs of hit words as code point offsets in the text as given."""
     first = hit[np.concatenate([[True], np.diff(hit) > 1])]
     last = hit[np.concatenate([np.diff(hit) > 1, [True]])]
     at = word_spans(raw)
-    return n, hit.tolist(), sorted(items), [{"start": int(at[x][0]), "end": int(at[y][1])} for x, y in zip(first, last)]
+    return [{"start": int(at[x][0]), "end": int(at[y][1])} for x, y in zip(first, last)]
 
 
 def groups_of(bench: DataFrame, id_col: str, text_col: str, width: int, group_bytes: int) -> Iterator[dict[bytes, list[str]]]:
@@ -118,16 +124,25 @@ def find_leaks(docs: DataFrame, bench: DataFrame, *, id_col: str = "doc_id", tex
 
         return source.mapInArrow(run, SCHEMA)
 
-    groups = list(groups_of(bench, item_col, item_text_col, width, group_bytes)) or [{}]
-    if len(groups) == 1:
-        return scanned(groups[0], docs)
-    # Several automata: rows get a number that joins their hits again.
+    groups = groups_of(bench, item_col, item_text_col, width, group_bytes)
+    first = next(groups, {})
+    second = next(groups, None)
+    if second is None:
+        return scanned(first, docs)
+    # Several automata, made one at a time: rows get a number that joins their hits again, and spans follow from all hits of a text.
     docs = store(docs.withColumn("__row", F.monotonically_increasing_id()))
     parts = None
-    for g in groups:
+    for g in itertools.chain([first, second], groups):
         one = scanned(g, docs.select(F.col("__row").alias("doc_id"), "text")).filter(F.size("hits") > 0)
         parts = one if parts is None else parts.unionByName(one)
-    merged = parts.groupBy(F.col("doc_id").alias("__row")).agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("hits")))).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("spans")))).alias("spans"))
+    merged = parts.groupBy(F.col("doc_id").alias("__row")).agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("hits")))).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+
+    def spanned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            spans = [hit_spans(t.encode(), np.array(h)) for t, h in zip(b.column("text").to_pylist(), b.column("hits").to_pylist())]
+            yield pa.RecordBatch.from_arrays([b.column(c) for c in ("__row", "hits", "items")] + [pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))], names=["__row", "hits", "items", "spans"])
+
+    merged = docs.select("__row", "text").join(merged, "__row").select("__row", "text", "hits", "items").mapInArrow(spanned, "__row long, hits array<int>, items array<string>, spans array<struct<start:int,end:int>>")
     words = scanned({}, docs.select(F.col("__row").alias("doc_id"), "text")).select(F.col("doc_id").alias("__row"), "n_words")
     none = lambda c, kind: F.coalesce(F.col(c), F.array().cast(kind)).alias(c)
     return docs.select("__row", "doc_id").join(words, "__row").join(merged, "__row", "left").select("doc_id", "n_words", none("hits", "array<int>"), none("items", "array<string>"), none("spans", "array<struct<start:int,end:int>>"))
@@ -144,10 +159,21 @@ def report(leaks: DataFrame) -> DataFrame:
     )
 
 
-def remove_contaminated(docs: DataFrame, bench: DataFrame, **how) -> DataFrame:
-    """The documents without a hit, with all their columns; rows with a null id stay (they can't be told apart)."""
-    bad = find_leaks(docs, bench, **how).filter(F.size("hits") > 0).select(F.col("doc_id").alias("__bad")).filter("__bad is not null").distinct()
-    return docs.join(bad, docs[how.get("id_col", "doc_id")] == F.col("__bad"), "left_anti")
+def remove_contaminated(docs: DataFrame, bench: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", width: int = 10, group_bytes: int = 64 << 20) -> DataFrame:
+    """The documents without a hit, with all their columns: rows are dropped where they are read, by one scan for each group of patterns."""
+    out = docs
+    for patterns in groups_of(bench, item_col, item_text_col, width, group_bytes):
+        sent = docs.sparkSession.sparkContext.broadcast(list(patterns))
+
+        def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            a = automaton(dict.fromkeys(sent.value, ()))
+            for b in batches:
+                data, off = text_buffer(b.column(text_col).cast(pa.string()))
+                clean = [next(a.iter(f" {normal(t).decode('latin-1')} "), None) is None for i, j in chunks(off) for t in rows_of(data, off, i, j)]
+                yield b.filter(pa.array(clean, pa.bool_()))
+
+        out = out.mapInArrow(run, docs.schema)
+    return out
 
 
 _UP, _LOW = "".join(map(chr, range(65, 91))), "".join(map(chr, range(97, 123)))
