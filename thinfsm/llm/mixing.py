@@ -17,7 +17,7 @@ document whole.
 Cases: null and empty texts have no tokens: they have the posteriors of an empty text and the
 rate that follows from them; without labelled rows there is one domain, "all"; domains
 without a target get target 0, targets without a domain are ignored; no documents give no
-rows; repeated rows get equal rates; other columns are kept.
+rows; repeated rows get equal rates; of the columns to keep those with the name of a result give way to it.
 """
 
 from __future__ import annotations
@@ -34,6 +34,7 @@ from pyspark.sql import types as T
 from .base import chunks, drop, rows_of, sample_ids, store, text_buffer, trigram_counts, unit_roots
 from .quality import N_FEATURES, features
 
+RESULT = ("n_tokens", "posteriors", "domain", "rate")
 #: Target token shares by domain of the labels: the production mix of the registered query.
 TARGETS = {"plain": 0.9, "low": 0.05, "toxic": 0.05}
 
@@ -154,9 +155,13 @@ def fit_rates(members: DataFrame, target: np.ndarray, *, ridge: float = 0.003, r
                 w = b.column("n").to_numpy() / total
                 r, v = past.replay(p)
                 m += np.concatenate([(w * v) @ p, (w * r) @ p])
-            yield pa.RecordBatch.from_arrays([pa.array([m.tolist()], pa.list_(pa.float64()))], names=["m"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(2 * k)), pa.array(m)], names=["d", "m"])
 
-        m = np.sum([r[0] for r in members.mapInArrow(run, "m array<double>").collect()], 0)  # a few numbers per task
+        # Added up as decimals, so the sum doesn't depend on the order of the tasks.
+        parts = members.mapInArrow(run, "d long, m double").groupBy("d").agg(F.sum(F.col("m").cast("decimal(38,24)")).cast("double").alias("m"))
+        m = np.zeros(2 * k)
+        for d, x in parts.collect():  # two numbers for each domain
+            m[d] = x
         ahead, now = m[:k], m[k:]
         if past.gradients and np.abs(now - last).max() < tolerance:
             break
@@ -174,6 +179,7 @@ def mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float], *, id_c
     model = model or train(docs, labelled, id_col=id_col, text_col=text_col)
     whole = sum(targets.get(d, 0.0) for d in model.domains) or 1.0
     target = np.array([targets.get(d, 0.0) / whole * tokens for d in model.domains])
+    keep = [c for c in keep if c not in RESULT]
     kept = [F.col(f"`{c}`").alias(f"__k{i}") for i, c in enumerate(keep)]
     rows = docs.select(*kept, F.col(text_col).cast("string").alias("__text"))
     sent = docs.sparkSession.sparkContext.broadcast(model)
@@ -203,4 +209,4 @@ def mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float], *, id_c
     drop(members)
     schema = rows.drop("__text").schema.add("n_tokens", "long").add("posteriors", T.ArrayType(T.DoubleType())).add("domain", "string").add("rate", "double")
     out = rows.mapInArrow(run(rates), schema)
-    return out.select(*[F.col(f"__k{i}").alias(c) for i, c in enumerate(keep)], *[F.col(c) for c in ("n_tokens", "posteriors", "domain", "rate") if c not in keep])
+    return out.select(*[F.col(f"__k{i}").alias(c) for i, c in enumerate(keep)], *RESULT)
