@@ -46,7 +46,7 @@ def test_spanning_forest_equals_kernel(spark, auto):
     parent, level, _ = K.orient(30, u, v)
     got = {r[0]: r[1] for r in giant.orient(spark.createDataFrame(list(zip(u.tolist(), v.tolist())), "u long, v long"), a.states).collect()}
     assert got == {i: (None if p < 0 else p) for i, p in enumerate(parent.tolist())}
-    tree = compress.levels(giant.orient(spark.createDataFrame(list(zip(u.tolist(), v.tolist())), "u long, v long"), a.states))
+    tree = giant.levels(giant.orient(spark.createDataFrame(list(zip(u.tolist(), v.tolist())), "u long, v long"), a.states))
     for L in (1, 2):
         assert sorted(r[0] for r in giant.cut_fewest(tree, L).collect()) == K.cut_fewest(parent, level, L).tolist()
 
@@ -61,15 +61,34 @@ def test_giant_bucket_positions(spark):
     assert giant.ring(b, 1, parts=3).filter("u = v").isEmpty()
 
 
-@pytest.mark.parametrize("variant", ["tree", "depth", "cut"])
-def test_giant_tier_keeps_the_language(spark, auto, variant):
-    t, rows, a = auto
-    d = compress.compress(a, variant, "sampled", exec="giant", k=2, r=4, batch=2, parts=2, L=1)
-    full = giant.resolve(a.states, d.labelled, d.defaults, a.transitions.select("symbol").distinct())
-    got = sorted(map(tuple, full.select("state", "symbol", "target").collect()))
-    assert got == sorted(map(tuple, a.transitions.select("state", "symbol", "target").collect()))
-    if variant == "cut":
-        assert full.agg(F.max("hops")).first()[0] <= 1
+@pytest.mark.parametrize("variant,how", [("tree", {"batch": 3}), ("tree", {"sampler": "replacement", "pairing": "ring", "star": False}), ("depth", {"sampler": "minhashk", "fallback_start": True}), ("cut", {"sampler": "rotating", "root": "degree", "penalty": "linear", "min_gain": 2, "L": 1})])
+def test_tiers_give_the_same_defaults(spark, variant, how):
+    """Two automata with the same state numbers, each by its own."""
+    tables = {"a": random_table(12, 6, 3), "b": random_table(9, 6, 4)}
+    rows = spark.createDataFrame([(x, i, r.tolist()) for x, t in tables.items() for i, r in enumerate(t)], "automaton_id string, state long, row array<int>").repartition(3)
+    states = rows.select("automaton_id", "state", (F.col("state") == 0).alias("is_start"), F.lit(False).alias("is_accept"), F.lit(0).alias("depth"))
+    a = Automaton(states, to_long(rows))
+    how = {"k": 2, "r": 5, **how}
+    got = compress.compress(a, variant, "sampled", exec="giant", parts=3, **how)
+    for name, t in tables.items():
+        default, _ = compress.run(t, variant, "sampled", **how)
+        own = {r["state"]: r["default"] for r in got.defaults.filter(F.col("automaton_id") == name).collect()}
+        assert own == {i: (None if d < 0 else d) for i, d in enumerate(default.tolist())}
+        r, _, mult = K.symbol_classes(t)
+        assert got.labelled.filter(F.col("automaton_id") == name).count() == K.measure(r, mult, default)["labelled"]
+
+
+def test_auto_splits_by_size(spark):
+    tables = {"big": random_table(30, 6, 3), "small": random_table(10, 6, 4)}
+    rows = spark.createDataFrame([(x, i, r.tolist()) for x, t in tables.items() for i, r in enumerate(t)], "automaton_id string, state long, row array<int>")
+    a = Automaton(rows.select("automaton_id", "state"), to_long(rows))
+    got = compress.compress(a, "depth", "sampled", task_bytes=10 * 6 * 4, k=2, r=4)
+    for name, t in tables.items():
+        default, _ = compress.run(t, "depth", "sampled", k=2, r=4)
+        assert {r["state"]: r["default"] for r in got.defaults.filter(F.col("automaton_id") == name).collect()} == {i: (None if d < 0 else d) for i, d in enumerate(default.tolist())}
+    for bad in ({"variant": "grow"}, {"graph": "dense"}, {"variant": "cut", "cut": "lightest"}):
+        with pytest.raises(ValueError):
+            compress.compress(a, **{"variant": "tree", "graph": "sampled", "exec": "giant"} | bad)
 
 
 def test_local_tier_and_round_trip(spark, auto, tmp_path):

@@ -2,7 +2,8 @@
 
 Automata are grouped by id and each is compressed by array kernels in one task (``exec
 'local'``); an automaton whose rows exceed ``task_bytes`` goes to the relational tier
-(``giant``), where variant ``tree`` and ``depth`` are exact for the same choices of symbols.
+(``giant``), which draws the same symbols and partners and gives the same defaults.  All-pairs
+graphs and bounded merging are quadratic by nature and exist in the first tier only.
 """
 
 from __future__ import annotations
@@ -13,7 +14,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import giant, kernels
-from .model import Automaton, DelayedAutomaton
+from .model import Automaton, DelayedAutomaton, to_wide
+from .scratch import store
 
 ALGORITHMS = tuple(f"{g}_{v}" for v in ("tree", "grow", "cut", "depth") for g in ("dense", "sampled"))
 DENSE_MOST = 20_000
@@ -23,7 +25,7 @@ FOREST = "automaton_id string, state long, default long, w int, level int, root
 def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, start: int = 0, depth: np.ndarray | None = None, L: int = 2, k: int = 8, r: int = 512, seed: int = 42, sampler: str = "distinct", pairing: str = "uniform", star: bool = True, cut: str = "fewest", min_depth_drop: int = 1, min_gain: int = 0, root: str = "centre", penalty: str = "pow2", fallback_start: bool = False, batch: int | None = None, patience: int = 0, eps: float = 0.0, grow_most: int = 5000) -> tuple[np.ndarray, dict]:
     """Defaults (-1: none) of an automaton given as a full table, and what was measured on the way."""
     rows, cls, mult = kernels.symbol_classes(table)
-    n, info = len(rows), {"edges": 0, "tree_value": 0, "cuts": 0}
+    n, info = len(rows), {"edges": 0, "tree_value": 0, "cuts": 0, "cut_similarity": 0}
     sample = {"k": k, "r": r, "seed": seed, "sampler": sampler, "pairing": pairing}
     if graph not in ("dense", "sampled") or variant not in ("tree", "grow", "cut", "depth"):
         raise ValueError(f"{graph}_{variant}")
@@ -67,7 +69,7 @@ def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, sta
     else:
         parent, level, weight = kernels.shallow_tree(n, u, v, w, at, penalty)
     gone = kernels.cut_fewest(parent, level, L) if cut == "fewest" else kernels.cut_lightest(parent, level, weight, L)
-    info["cuts"] = len(gone)
+    info["cuts"], info["cut_similarity"] = len(gone), int(weight[gone].sum())
     parent = parent.copy()
     parent[gone] = -1
     kept = np.flatnonzero(parent >= 0)
@@ -104,7 +106,7 @@ def defaults_of(rows: DataFrame, algorithm: str, **params) -> DataFrame:
 
 
 def measures_of(rows: DataFrame, algorithms: tuple[str, ...] = ALGORITHMS, **params) -> DataFrame:
-    """One row per automaton and algorithm: size, delays, graph, time.  Pairs of automaton and algorithm are dealt out, so that a task runs one."""
+    """One row per automaton and algorithm: size, delays, graph, cells given back wrongly (none), seconds of the construction alone.  Pairs of automaton and algorithm are dealt out, so that a task runs one."""
     import time
 
     todo = rows.join(rows.sparkSession.createDataFrame([(a,) for a in algorithms], "algorithm string").hint("broadcast"))
@@ -122,11 +124,11 @@ def measures_of(rows: DataFrame, algorithms: tuple[str, ...] = ALGORITHMS, **par
             return pd.DataFrame([head | {"n": len(table), "status": f"skipped: {e}"}])
         seconds = time.perf_counter() - t
         rows_, _, mult = kernels.symbol_classes(table)
-        return pd.DataFrame([head | kernels.measure(rows_, mult, default) | info | {"seconds": seconds, "status": "done"}])
+        return pd.DataFrame([head | kernels.measure(rows_, mult, default) | info | {"different": kernels.differing(rows_, default), "seconds": seconds, "status": "done"}])
 
-    schema = "automaton_id string, algorithm string, n long, sigma long, t_in long, t_out long, labelled long, defaults long, size_pct double, longest_delay long, longest_chain long, edges long, tree_value long, cuts long, seconds double, status string"
+    schema = "automaton_id string, algorithm string, n long, sigma long, t_in long, t_out long, labelled long, defaults long, size_pct double, longest_delay long, longest_chain long, edges long, tree_value long, cuts long, cut_similarity long, different long, seconds double, status string"
     names = [x.split()[0] for x in schema.split(", ")]
-    whole = {"n", "sigma", "t_in", "t_out", "labelled", "defaults", "longest_delay", "longest_chain", "edges", "tree_value", "cuts"}
+    whole = {"n", "sigma", "t_in", "t_out", "labelled", "defaults", "longest_delay", "longest_chain", "edges", "tree_value", "cuts", "cut_similarity", "different"}
 
     def typed(pdf: pd.DataFrame) -> pd.DataFrame:
         out = go(pdf).reindex(columns=names)
@@ -136,16 +138,19 @@ def measures_of(rows: DataFrame, algorithms: tuple[str, ...] = ALGORITHMS, **par
 
 
 def compress(a: Automaton, variant: str = "tree", graph: str = "sampled", *, exec: str = "auto", task_bytes: int = 1 << 30, **params) -> DelayedAutomaton:
-    """The delayed automaton.  exec 'auto' sends automata of more than ``task_bytes`` to the relational tier."""
-    if exec == "auto":
-        most = a.transitions.groupBy("automaton_id").count().agg(F.max("count")).first()[0] or 0
-        exec = "giant" if most * 4 > task_bytes else "local"
-    rows = a.rows()
-    if exec == "local":
-        d = defaults_of(rows, f"{graph}_{variant}", **params)
-        labelled = emit(a.transitions, d)
-        return DelayedAutomaton(a.states, labelled, d)
-    return compress_giant(a, rows, variant, graph, **params)
+    """The delayed automata.  'local' compresses each in one task, 'giant' each by DataFrame plans;
+    'auto' sends those whose rows exceed ``task_bytes`` to the second and the rest to the first.
+    Both draw the same partners and give the same defaults."""
+    ids = a.transitions.groupBy("automaton_id").agg((F.count("*") * 4).alias("bytes"))
+    large = [] if exec == "local" else [r[0] for r in (ids if exec == "giant" else ids.filter(F.col("bytes") > task_bytes)).select("automaton_id").collect()]  # each of them takes a plan of its own
+    out = None
+    if exec != "giant":
+        out = defaults_of(a.rows().filter(~F.col("automaton_id").isin(large)) if large else a.rows(), f"{graph}_{variant}", **params)
+    for name in large:
+        own = F.col("automaton_id") == name
+        d = giant_defaults(a.states.filter(own), a.transitions.filter(own), variant, graph, **params).select(F.lit(name).alias("automaton_id"), "state", "default")
+        out = d if out is None else out.unionByName(d)
+    return DelayedAutomaton(a.states, emit(a.transitions, out), out)
 
 
 def emit(transitions: DataFrame, defaults: DataFrame) -> DataFrame:
@@ -156,52 +161,64 @@ def emit(transitions: DataFrame, defaults: DataFrame) -> DataFrame:
     return joined.filter(F.col("default").isNull() | (F.col("target") != F.col("given"))).select("automaton_id", "state", "symbol", "target")
 
 
-def compress_giant(a: Automaton, rows: DataFrame, variant: str, graph: str, *, k: int = 8, r: int = 512, seed: int = 42, start: int = 0, L: int = 2, batch: int = 32, parts: int = 64, min_depth_drop: int = 1, min_gain: int = 0) -> DelayedAutomaton:
-    """One automaton that fits no task: sampled tree, cut of that tree, and depth; rounds in batches, only the forest (or the best default) kept in between."""
+def giant_defaults(states: DataFrame, transitions: DataFrame, variant: str = "tree", graph: str = "sampled", *, k: int = 8, r: int = 512, seed: int = 42, start: int = 0, depth: DataFrame | None = None, L: int = 2, sampler: str = "distinct", pairing: str = "uniform", star: bool = True, cut: str = "fewest", root: str = "centre", penalty: str = "pow2", fallback_start: bool = False, batch: int | None = None, parts: int = 64, min_depth_drop: int = 1, min_gain: int = 0) -> DataFrame:
+    """state, default of one automaton that fits no task; equal to what run() gives for the same parameters.
+
+    Rounds go in batches; between them only the forest (tree) or each state's best default
+    (depth) is kept, and all edges where the growth needs them (cut)."""
     if graph != "sampled" or variant == "grow":
         raise ValueError(f"{graph}_{variant} compares all pairs or merges one edge at a time: automata of one task only")
-    rows, pairs_of = rows.select("state", "row"), None
-    depth = giant.bfs_depth(a.transitions, start) if variant == "depth" else None
-    kept = giant.pair_similarity(rows, giant.star_edges(a.states, start)) if variant != "depth" else None
-    best = None
-    symbols = a.transitions.select("symbol").distinct()
-    sample = giant.store(giant.sample_symbols(symbols, k, r, seed))
+    if cut != "fewest":
+        raise ValueError(f"cut {cut!r}: automata of one task only")
+    spark, states = states.sparkSession, states.select("state")
+    rows = store(to_wide(transitions).select("state", "row"))
+    n, sigma = states.count(), transitions.select("symbol").distinct().count()
+    drawn = kernels.sample_symbols(sigma, k, range(r), seed, "distinct" if sampler.startswith("minhash") else sampler) if r else []
+    batch = batch or max(8, (1 << 28) // max(n, 1))
+    pairs, best, kept, every = None, None, None, None
+    if variant == "depth":
+        depth = store(giant.bfs_depth(transitions, start) if depth is None else depth)
+    if star and variant != "depth":
+        every = store(giant.pair_similarity(rows, giant.undirected(giant.star_edges(states, start))))
+        kept = every
+    if fallback_start and variant == "depth":
+        best = store(giant.best_defaults(states.filter(F.col("state") != start).select(F.col("state").alias("u"), F.lit(start).cast("long").alias("v")), depth, rows, drop_by=min_depth_drop, min_gain=1))
     for b in range(0, r, batch):
-        part = sample.filter((F.col("round") >= b) & (F.col("round") < b + batch))
-        pairs_of = giant.propose(giant.bucket_keys(a.transitions, part), seed, parts=parts).select("u", "v").distinct()
+        sample = spark.createDataFrame([(i, [int(x) for x in drawn[i]]) for i in range(b, min(b + batch, r))], "round long, at array<int>")
+        pairs = giant.fast_proposals(giant.fast_buckets(rows, sample, seed, sampler), seed, n, pairing=pairing, parts=parts).select("u", "v").distinct()
         if variant == "depth":
-            new = giant.best_defaults(pairs_of, depth, rows, drop_by=min_depth_drop, min_gain=max(1, min_gain))
+            new = giant.best_defaults(pairs, depth, rows, drop_by=min_depth_drop, min_gain=1)
             both = new if best is None else best.unionByName(new)
-            best = giant.store(both.groupBy("state").agg(F.max(F.struct("w", (-F.col("default")).alias("d"))).alias("b")).select("state", (-F.col("b.d")).alias("default"), F.col("b.w").alias("w")))
-        else:
-            new = giant.pair_similarity(rows, giant.undirected(pairs_of))
-            kept = giant.spanning_forest(kept.unionByName(new).dropDuplicates(["u", "v"]))
+            best = store(both.groupBy("state").agg(F.max(F.struct("w", (-F.col("default")).alias("d"))).alias("b")).select("state", (-F.col("b.d")).alias("default"), F.col("b.w").alias("w")))
+            continue
+        new = giant.undirected(pairs)
+        new = new if kept is None else new.join(kept.select("u", "v"), ["u", "v"], "left_anti")
+        new = store(giant.pair_similarity(rows, new))
+        if variant == "cut":
+            every = new if every is None else store(every.unionByName(new).dropDuplicates(["u", "v"]))
+        kept = giant.spanning_forest(new if kept is None else kept.unionByName(new))
     if variant == "depth":
-        d = a.states.select("automaton_id", "state").join(best.select("state", "default"), "state", "left")
+        out = states if best is None else states.join(best.filter(F.col("w") >= min_gain), "state", "left")
+        return out.select("state", "default") if best is not None else out.withColumn("default", F.lit(None).cast("long"))
+    if kept is None:
+        return states.withColumn("default", F.lit(None).cast("long"))
+    if variant == "tree":
+        tree = giant.orient(kept, states)
     else:
-        tree = giant.orient(kept, a.states)
-        if variant == "cut":
-            tree = recut(tree, kept, a.states, L)
-        d = a.states.select("automaton_id", "state").join(tree.withColumnRenamed("parent", "default"), "state", "left")
-    d = d.select("automaton_id", "state", "default")
-    return DelayedAutomaton(a.states, emit(a.transitions, d), d)
-
-
-def recut(tree: DataFrame, edges: DataFrame, states: DataFrame, L: int) -> DataFrame:
-    """Cuts the oriented tree to diameter 2L and turns every piece to its centre.  (The penalised growth is sequential; at this size the similarity tree itself is cut.)"""
-    level = levels(tree)
-    gone = giant.cut_fewest(level, L)
-    keep = tree.join(gone, "state", "left_anti").filter("parent is not null").select(F.least("state", "parent").alias("u"), F.greatest("state", "parent").alias("v"))
-    return giant.orient(keep, states)
-
-
-def levels(tree: DataFrame, most: int = 100_000) -> DataFrame:
-    """state, parent, level by stepping down from the root."""
-    front = giant.store(tree.filter("parent is null").withColumn("level", F.lit(0)))
-    out = front
-    for d in range(1, most):
-        front = giant.store(tree.join(front.select(F.col("state").alias("parent")), "parent").select("state", "parent").withColumn("level", F.lit(d)))
-        if front.isEmpty():
-            return out
-        out = out.unionByName(front)
-    raise RuntimeError("levels: no end")
+        if root == "initial":
+            at = start
+        elif root == "centre":
+            at = giant.orient(kept, states).filter("parent is null").agg(F.min("state")).first()[0]
+        else:
+            ends = kept.select(F.col("u").alias("s")).unionByName(kept.select(F.col("v").alias("s")))
+            at = ends.groupBy("s").count().orderBy(F.desc("count"), "s").first()[0]
+        grown = store(giant.levels(giant.grow_penalised(every, states, at, penalty)))
+        gone = giant.cut_fewest(grown, L)
+        keep = grown.join(gone, "state", "left_anti").filter("parent is not null").select(F.least("state", "parent").alias("u"), F.greatest("state", "parent").alias("v"))
+        tree = giant.orient(keep, states)
+    d = tree.withColumnRenamed("parent", "default")
+    if min_gain:
+        pairs = d.filter("default is not null").select(F.col("state").alias("u"), F.col("default").alias("v"))
+        weak = giant.pair_similarity(rows, pairs).filter(F.col("w") < min_gain).select(F.col("u").alias("state"), F.lit(True).alias("weak"))
+        d = d.join(weak, "state", "left").select("state", F.when(F.col("weak").isNull(), F.col("default")).alias("default"))
+    return d.select("state", "default")

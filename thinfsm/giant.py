@@ -1,8 +1,9 @@
 """Relational forms of the methods, for automata whose rows don't fit one task.
 
 Every step is a DataFrame plan; iterations cut lineage by tables in the shared folder.  Choices
-are keyed hashes: ``fast`` is xxhash64 of (seed, round, id), the same as the array kernels use;
-``portable`` is md5 of the ids' text, which any SQL engine computes alike.
+are keyed hashes: ``fast_*`` take xxhash64 of (seed, round, id), as the array kernels do, so both
+tiers draw the same partners; the others are ``portable``, md5 of the ids' text, which any SQL
+engine computes alike.
 """
 
 from __future__ import annotations
@@ -142,6 +143,37 @@ def ring(buckets: DataFrame, seed: int, parts: int = 1) -> DataFrame:
     return salted.select("round", F.col("state").alias("u"), F.coalesce(F.lead("state").over(w), first).alias("v")).filter("u <> v")
 
 
+def fast_buckets(rows: DataFrame, samples: DataFrame, seed: int, sampler: str = "distinct") -> DataFrame:
+    """round, state, key of wide rows: one expression per row and round, no aggregation.  samples: round, at (positions in the row); small and broadcast."""
+    each = rows.select("state", "row").join(F.broadcast(samples))
+    if not sampler.startswith("minhash"):
+        return each.select("round", "state", F.xxhash64(F.transform("at", lambda x: F.get("row", x))).alias("key"))
+    pair = F.transform("row", lambda t, i: t.cast("long") + F.shiftleft(i.cast("long"), 40))
+    least = lambda j: F.array_min(F.transform(pair, lambda x: F.xxhash64(F.lit(seed).cast("long"), "round", j.cast("long"), x)))
+    k = F.lit(1) if sampler == "minhash1" else F.size("at")
+    return each.select("round", "state", F.xxhash64(F.transform(F.sequence(F.lit(0), k - 1), least)).alias("key"))
+
+
+def fast_proposals(buckets: DataFrame, seed: int, n: int, *, pairing: str = "uniform", parts: int = 64) -> DataFrame:
+    """u, v (directed), round: the partners that the array kernels draw.
+
+    States stand in a bucket in order of their number (ring: of their hash).  A giant bucket is
+    numbered in ``parts`` ranges of that order, whose offsets come from a small aggregate; the
+    join key (round, key, position) is unique."""
+    hashed = F.xxhash64(F.lit(seed).cast("long"), "round", "state")
+    order = hashed if pairing == "ring" else F.col("state")
+    part = F.floor((F.shiftright(order, 33) + (1 << 30)) * parts / (1 << 31)) if pairing == "ring" else F.floor(F.col("state") * parts / max(n, 1))
+    b = buckets.withColumn("o", order).withColumn("part", part.cast("long"))
+    sizes = b.groupBy("round", "key", "part").agg(F.count("*").alias("own"))
+    w = Window.partitionBy("round", "key").orderBy("part")
+    sizes = sizes.withColumn("offset", F.sum("own").over(w) - F.col("own")).withColumn("size", F.sum("own").over(Window.partitionBy("round", "key")))
+    local = b.withColumn("r", F.row_number().over(Window.partitionBy("round", "key", "part").orderBy("o", "state")) - 1)
+    at = local.join(sizes.filter("size > 1"), ["round", "key", "part"]).select("round", "key", "state", (F.col("r") + F.col("offset")).alias("pos"), "size")
+    step = F.lit(0) if pairing == "ring" else F.pmod(hashed, F.greatest(F.col("size") - 1, F.lit(1)))
+    mate = at.select("round", "key", F.col("pos").alias("to"), F.col("state").alias("v"))
+    return at.withColumn("to", (F.col("pos") + 1 + step) % F.col("size")).join(mate, ["round", "key", "to"]).select("round", F.col("state").alias("u"), "v")
+
+
 def undirected(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
 
@@ -212,6 +244,45 @@ def orient(edges: DataFrame, states: DataFrame, most: int = 100_000) -> DataFram
     return every.join(done, "state", "left") if done is not None else every.withColumn("parent", F.lit(None).cast("long"))
 
 
+def levels(tree: DataFrame, most: int = 64) -> DataFrame:
+    """state, parent, level: every state's pointer is doubled until it is at a root, so rounds are as the logarithm of the height."""
+    now = store(tree.select("state", "parent", F.coalesce("parent", "state").alias("up"), F.col("parent").isNotNull().cast("int").alias("level")))
+    for _ in range(most):
+        above = now.select(F.col("state").alias("up"), F.col("up").alias("next"), F.col("level").alias("more"))
+        nxt = store(now.join(above, "up").select("state", "parent", F.col("next").alias("up"), (F.col("level") + F.col("more")).alias("level"), (F.col("more") > 0).alias("moved")))
+        drop(now)
+        now = nxt.select("state", "parent", "up", "level")
+        now._thinfsm_path = nxt._thinfsm_path
+        if nxt.filter("moved").isEmpty():
+            return now.select("state", "parent", "level")
+    raise RuntimeError("levels: a cycle")
+
+
+def grow_penalised(edges: DataFrame, states: DataFrame, start: int, penalty: str = "pow2", most: int = 100_000) -> DataFrame:
+    """state, parent, level: the tree that kernels.Growth grows, a round at a time.
+
+    Of each open state only its best offer (greatest value, least parent) is kept between rounds."""
+    ends = store(edges.select(F.col("u").alias("x"), F.col("v").alias("t"), "w").unionByName(edges.select(F.col("v").alias("x"), F.col("u").alias("t"), "w")))
+    new = store(states.sparkSession.createDataFrame([(start, None, 0)], "state long, parent long, level int"))
+    tree, best = new, None
+    for k in range(most):
+        deeper = F.col("level") + 1
+        lost = {"pow2": F.pow(F.lit(2.0), F.least(deeper, F.lit(40))).cast("long"), "none": F.lit(0).cast("long"), "linear": deeper.cast("long")}[penalty]
+        offers = ends.join(new.select(F.col("state").alias("x"), "level"), "x").select("t", F.struct((F.col("w") - lost).alias("value"), (-F.col("x")).alias("x"), deeper.alias("level")).alias("o"))
+        every = offers if best is None else offers.unionByName(best)
+        old, best = best, store(every.join(tree.select(F.col("state").alias("t")), "t", "left_anti").groupBy("t").agg(F.max("o").alias("o")))
+        if old is not None:
+            drop(old)
+        top = best.agg(F.max("o.value")).first()[0]
+        if top is None:
+            return tree
+        new = store(best.filter(F.col("o.value") == top).select(F.col("t").alias("state"), (-F.col("o.x")).alias("parent"), "o.level"))
+        tree = tree.unionByName(new)
+        if k % 8 == 7:
+            tree = store(tree)
+    raise RuntimeError("grow_penalised: no end")
+
+
 def cut_fewest(tree: DataFrame, L: int) -> DataFrame:
     """tree: state, parent, level.  The states whose edge to the parent is cut, level by level from the deepest.
 
@@ -278,6 +349,55 @@ def resolve(states: DataFrame, labelled: DataFrame, defaults: DataFrame, alphabe
     raise ValueError("a cycle of defaults without an exit")
 
 
+def redundant(transitions: DataFrame, defaults: DataFrame) -> DataFrame:
+    """state, symbol: transitions that the state's default gives as well."""
+    d = defaults.filter("default is not null").select("state", "default")
+    given = transitions.select(F.col("state").alias("default"), "symbol", "target")
+    return transitions.join(d, "state").join(given, ["default", "symbol", "target"]).select("state", "symbol")
+
+
+def ill_defined(states: DataFrame, labelled: DataFrame, defaults: DataFrame, alphabet: DataFrame, most: int = 64) -> DataFrame:
+    """state, symbol, fault of every cell that has no target: its defaults run in a cycle, or end at a state without the label.
+
+    Pointers over the default links are doubled for all symbols at once, so rounds are as the
+    logarithm of the longest chain."""
+    cells = states.select("state").crossJoin(F.broadcast(alphabet.select("symbol")))  # states x alphabet: the size of a full table
+    own = labelled.select("state", "symbol", F.lit(True).alias("here"))
+    links = defaults.filter("default is not null").select("state", "default")
+    now = store(cells.join(own, ["state", "symbol"], "left").join(links, "state", "left").select("state", "symbol", F.when(F.col("here").isNull(), F.col("default")).alias("up"), F.coalesce("here", F.lit(False)).alias("found")))
+    n = states.count()
+    for k in range(most):
+        open_ = now.filter("not found and up is not null")
+        if (1 << k) > n or open_.isEmpty():
+            return now.filter("not found").select("state", "symbol", F.when(F.col("up").isNull(), "no target").otherwise("cycle").alias("fault"))
+        above = now.select(F.col("state").alias("up"), "symbol", F.col("up").alias("next"), F.col("found").alias("there"))
+        moved = open_.select("state", "symbol", "up").join(above, ["up", "symbol"]).select("state", "symbol", "next", "there")
+        nxt = store(now.filter("found or up is null").unionByName(moved.select("state", "symbol", F.col("next").alias("up"), F.col("there").alias("found"))))
+        drop(now)
+        now = nxt
+    raise RuntimeError("ill_defined: no end")
+
+
+def unequal(transitions: DataFrame, accepting: DataFrame, other: DataFrame, other_accepting: DataFrame, start: int = 0, other_start: int = 0, most: int = 100_000) -> DataFrame:
+    """state, twin: pairs of states that some text reaches in the two automata and of which one accepts (state, label) and the other doesn't; none if both are equivalent.
+
+    The automata may number their states differently: the walk goes over pairs of states, a frontier at a time."""
+    a = transitions.select("state", "symbol", "target")
+    b = other.select(F.col("state").alias("twin"), "symbol", F.col("target").alias("twin_target"))
+    seen = front = store(a.sparkSession.createDataFrame([(start, other_start)], "state long, twin long"))
+    for k in range(most):
+        nxt = front.join(a, "state").join(b, ["twin", "symbol"]).select(F.col("target").alias("state"), F.col("twin_target").alias("twin")).distinct()
+        front = store(nxt.join(seen, ["state", "twin"], "left_anti"))
+        if front.isEmpty():
+            break
+        seen = seen.unionByName(front)
+        if k % 8 == 7:
+            seen = store(seen)
+    sets = lambda t, c: t.groupBy(F.col("state").alias(c)).agg(F.array_sort(F.collect_set("label")).alias(f"{c}_labels"))  # noqa: E731  the rules of one state
+    both = seen.join(sets(accepting, "state"), "state", "left").join(sets(other_accepting, "twin"), "twin", "left")
+    return both.filter(~F.col("state_labels").eqNullSafe(F.col("twin_labels"))).select("state", "twin")
+
+
 def size_report(transitions: DataFrame, labelled: DataFrame, defaults: DataFrame) -> DataFrame:
     t = transitions.agg(F.count("*").alias("t_in"))
     a = labelled.agg(F.count("*").alias("labelled"))

@@ -613,6 +613,19 @@ def chain(default: np.ndarray) -> np.ndarray:
     raise ValueError("a cycle of defaults")
 
 
+def differing(table: np.ndarray, default: np.ndarray) -> int:
+    """Cells that the delayed automaton, run from its labelled transitions and defaults alone, gives back wrongly or not at all."""
+    level = chain(default)
+    has = default >= 0
+    labelled = np.ones(table.shape, bool)
+    labelled[has] = table[has] != table[default[has]]
+    back = np.where(labelled, table, -1)
+    for d in range(1, int(level.max(initial=0)) + 1):
+        x = np.flatnonzero(level == d)
+        back[x] = np.where(labelled[x], back[x], back[default[x]])
+    return int((back != table).sum())
+
+
 def longest_delay(rows: np.ndarray, default: np.ndarray, levels: np.ndarray) -> int:
     """Most defaults that any state follows on any symbol."""
     hops = np.zeros(rows.shape, np.int64)

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .. import compress, giant, match, rules
-from ..model import Automaton, DelayedAutomaton, table, to_long, to_wide, validate
+from ..model import Automaton, numbered, table, to_long, to_wide, validate
 from ..scratch import store
 
 K, R, SEED = 3, 8, 42
@@ -15,10 +15,11 @@ _made: dict = {}
 
 
 def base(spark: SparkSession, sf_dir: str) -> Automaton:
-    """States, total transitions and rows of the dictionary, made once per session."""
-    key = (spark.sparkContext.applicationId, sf_dir)
+    """States, total transitions and rows of the dictionary, made once per session and content of the table."""
+    words = table(spark, sf_dir, "part").select(F.col("p_name").alias("word")).distinct()
+    key = (spark.sparkContext.applicationId, sf_dir, *words.agg(F.count("*"), F.sum(F.xxhash64("word").cast("decimal(38,0)"))).first())
     if key not in _made:
-        states = store(giant.dictionary_states(table(spark, sf_dir, "part").select(F.col("p_name").alias("word"))))
+        states = store(giant.dictionary_states(words))
         trans = store(giant.dictionary_transitions(states))
         a = Automaton(states, trans)
         a.wide = store(to_wide(trans))
@@ -76,6 +77,11 @@ def _sampled_depth(a):
 def _groups(spark, sf_dir, table_name="part", col="p_name"):
     """The distinct words of a column in groups of bounded bytes, each with its delayed matcher and the words that each of its states accepts."""
     words = (r[0].encode() for r in table(spark, sf_dir, table_name).select(F.col(col).alias("w")).filter("w is not null and w <> ''").distinct().orderBy("w").toLocalIterator())
+    return word_matchers(words)
+
+
+def word_matchers(words):
+    """Words in order, in groups of bounded bytes: words, matcher, and words by state, of each."""
     return [(g, *_group_matcher(g)) for g in match.word_groups(words, match.GROUP_BYTES)] or [([], *_group_matcher([]))]
 
 
@@ -254,9 +260,12 @@ def tree_overlap(spark, sf_dir):
 
 @query
 def running_tree_value(spark, sf_dir):
-    """Sum of the weights of this and all better edges.  The order is global; the edges are as many as states."""
-    w = Window.orderBy(F.desc("w"), "u", "v").rowsBetween(Window.unboundedPreceding, 0)
-    return _tree(base(spark, sf_dir), "dense").select("u", "v", "w", F.sum("w").over(w).alias("running"))
+    """Sum of the weights of this and all better edges: sums over the weights above (as many as the alphabet), and within a weight by ranges of u."""
+    e = _tree(base(spark, sf_dir), "dense").select("u", "v", "w").withColumn("part", F.floor(F.col("u") / 4096))
+    parts = e.groupBy("w", "part").agg(F.sum("w").alias("own"))
+    before = parts.select("w", "part", (F.sum("own").over(Window.orderBy(F.desc("w"), "part")) - F.col("own")).alias("before"))  # a row for each weight and 4,096 states
+    local = Window.partitionBy("w", "part").orderBy("u", "v").rowsBetween(Window.unboundedPreceding, 0)
+    return e.join(before, ["w", "part"]).select("u", "v", "w", (F.col("before") + F.sum("w").over(local)).alias("running"))
 
 
 @query
@@ -324,10 +333,15 @@ def suffix_size(spark, sf_dir):
 
 @query
 def rank_states(spark, sf_dir):
-    """States by the transitions that their default saves."""
-    d = _depth_defaults(base(spark, sf_dir)).select("state", (F.col("w") - 1).alias("saved"))
-    w = Window.orderBy(F.desc("saved"), "state")
-    return d.select("state", "saved", F.rank().over(Window.orderBy(F.desc("saved"))).alias("rank"), F.dense_rank().over(Window.orderBy(F.desc("saved"))).alias("dense_rank"), F.ntile(4).over(w).alias("quarter"))
+    """States by the transitions that their default saves: ranks from counts by value (as many as the alphabet), quarters from a distributed numbering."""
+    d = store(_depth_defaults(base(spark, sf_dir)).select("state", (F.col("w") - 1).alias("saved"), (-F.col("w")).alias("o")))
+    above = Window.orderBy(F.desc("saved"))
+    by = d.groupBy("saved").agg(F.count("*").alias("own"))  # a row for each value
+    by = by.select("saved", (F.sum("own").over(above.rowsBetween(Window.unboundedPreceding, 0)) - F.col("own") + 1).cast("int").alias("rank"), F.row_number().over(above).alias("dense_rank"))
+    n = d.agg(F.count("*").alias("n"))
+    at = numbered(d, ["o", "state"], "i").join(F.broadcast(n)).withColumn("q", F.floor(F.col("n") / 4)).withColumn("wide", (F.col("n") % 4) * (F.col("q") + 1))
+    quarter = F.when(F.col("i") < F.col("wide"), F.floor(F.col("i") / (F.col("q") + 1))).otherwise(F.col("n") % 4 + F.floor((F.col("i") - F.col("wide")) / F.greatest(F.col("q"), F.lit(1)))) + 1
+    return at.join(F.broadcast(by), "saved").select("state", "saved", "rank", "dense_rank", quarter.cast("int").alias("quarter"))
 
 
 @query
@@ -397,13 +411,13 @@ def matching_delay_names(spark, sf_dir):
     """Defaults followed while matching each distinct part name, character by character, from the relational tables."""
     a = base(spark, sf_dir)
     d = _depth_defaults(a)
-    full = giant.resolve(a.states, giant.emit_labelled(a.transitions, d), d, a.transitions.select("symbol").distinct()).select(F.col("state").alias("at"), F.ascii(F.lit("a")).alias("x"), "symbol", "target", "hops").drop("x")
+    full = store(giant.resolve(a.states, giant.emit_labelled(a.transitions, d), d, a.transitions.select("symbol").distinct()).select(F.col("state").alias("at"), "symbol", "target", "hops"))
     names = table(spark, sf_dir, "part").select("p_name").filter("p_name is not null").distinct()
     most = names.agg(F.max(F.length("p_name"))).first()[0] or 0
     cur = names.select("p_name", F.lit(0).cast("long").alias("at"), F.lit(0).cast("long").alias("total"))
     for i in range(most):  # as many steps as the longest name has characters
         step = cur.withColumn("symbol", F.when(F.length("p_name") > i, F.ascii(F.expr(f"substring(p_name, {i + 1}, 1)"))))
-        cur = step.join(F.broadcast(full), ["at", "symbol"], "left").select("p_name", F.coalesce("target", "at").alias("at"), (F.col("total") + F.coalesce("hops", F.lit(0))).alias("total"))
+        cur = step.join(full, ["at", "symbol"], "left").select("p_name", F.coalesce("target", "at").alias("at"), (F.col("total") + F.coalesce("hops", F.lit(0))).alias("total"))
         if i % 8 == 7:
             cur = store(cur)
     return cur.select("p_name", F.col("total").alias("hops"), (F.col("total") <= F.length("p_name")).alias("bounded"))
@@ -517,9 +531,53 @@ def collision_probability(spark, sf_dir):
 
 @query
 def giant_equals_local(spark, sf_dir):
-    """Tree value and size by the array kernels, to be those of the relational tier."""
-    m = compress.measures_of(base(spark, sf_dir).wide, ("dense_tree", "dense_depth"), min_gain=1)
-    return m.select("algorithm", "n", "t_in", "t_out", "labelled", "defaults", "tree_value")
+    """States whose default the two tiers set differently, by algorithm: none."""
+    a, out = base(spark, sf_dir), None
+    whole = Automaton(a.states, to_long(a.wide))
+    for variant in ("tree", "depth"):
+        how = {"k": K, "r": R, "seed": SEED}
+        local = compress.defaults_of(a.wide, f"sampled_{variant}", **how).select("state", F.col("default").alias("own"))
+        other = compress.giant_defaults(whole.states, whole.transitions, variant, **how)
+        both = local.join(other, "state", "full").agg(F.lit(f"sampled_{variant}").alias("algorithm"), F.count("*").alias("states"), F.count_if(~F.col("own").eqNullSafe(F.col("default"))).alias("different"))
+        out = both if out is None else out.unionByName(both)
+    return out
+
+
+@query
+def tree_labelled(spark, sf_dir):
+    a = base(spark, sf_dir)
+    return giant.emit_labelled(a.transitions, _tree_defaults(a, "sampled")).groupBy("state").agg(F.count("*").alias("labelled"))
+
+
+@query
+def redundant_transitions(spark, sf_dir):
+    a = base(spark, sf_dir)
+    return giant.redundant(a.transitions, _depth_defaults(a))
+
+
+@query
+def well_defined(spark, sf_dir):
+    """Cells without a target, with all defaults and with the start state's labels taken away."""
+    a = base(spark, sf_dir)
+    d, sigma = store(_depth_defaults(a)), a.transitions.select("symbol").distinct()
+    lab = store(giant.emit_labelled(a.transitions, d))
+    n = lambda x, name: giant.ill_defined(a.states, x, d, sigma).groupBy(F.lit(name).alias("labels")).agg(F.count("*").alias("faults"))
+    return n(lab.filter("state <> 0"), "without the start").unionByName(n(lab, "all"))
+
+
+@query
+def equivalent_automata(spark, sf_dir):
+    """Reachable pairs of the plain dictionary and a renumbered copy, resolved from labels and defaults, that accept differently: none; and with one accept taken away: some."""
+    a = base(spark, sf_dir)
+    d = _depth_defaults(a)
+    n = a.states.count()
+    turned = lambda c: (F.lit(n - 1) - F.col(c)).alias(c)
+    back = giant.resolve(a.states, giant.emit_labelled(a.transitions, d), d, a.transitions.select("symbol").distinct()).select(turned("state"), "symbol", turned("target"))
+    ends = giant.accepting(a.states).select("state", F.col("words").alias("label"))
+    other = ends.select(turned("state"), "label")
+    bad = lambda x, name: giant.unequal(a.transitions, ends, back, x, 0, n - 1).agg(F.lit(name).alias("accepts"), (F.count("*") > 0).alias("differ"))
+    least = other.agg(F.min("state").alias("gone"))
+    return bad(other, "all").unionByName(bad(other.join(F.broadcast(least)).filter(F.col("state") != F.col("gone")).drop("gone"), "but one"))
 
 
 _HEAD = """
@@ -583,7 +641,7 @@ ORACLES = {
     "dict_transitions": W + _HEAD + " SELECT state, symbol, target FROM tr",
     "dict_accepting": W + _HEAD + " SELECT a.state, count(*) AS words FROM pre a JOIN pre b ON b.whole AND b.depth > 0 AND suffix(a.p, b.p) GROUP BY 1",
     "dict_depth": W + _HEAD + " SELECT state, depth FROM pre",
-    "dict_validate": "SELECT true AS total, true AS closed, true AS one_start, true AS dense_ids",
+    "dict_validate": W + _HEAD + ", n AS (SELECT count(*) AS n, count(*) FILTER (depth = 0) AS starts, max(state) AS top FROM pre), t AS (SELECT count(*) AS t, count(DISTINCT symbol) AS sigma, max(target) AS hi, min(target) AS lo FROM tr) SELECT t = n * sigma AS total, lo >= 0 AND hi < n AS closed, starts = 1 AS one_start, top = n - 1 AS dense_ids FROM n, t",
     "symbol_classes": W + _HEAD + ", c AS (SELECT symbol, string_agg(CAST(target AS VARCHAR), ',' ORDER BY state) AS col FROM tr GROUP BY 1) SELECT min(symbol) AS symbol, count(*) AS multiplicity FROM c GROUP BY col",
     "pair_similarity": W + _PAIRS + " SELECT u, v, w FROM sh",
     "similarity_histogram": W + _PAIRS + " SELECT w, count(*) AS pairs FROM dense GROUP BY 1",
@@ -606,7 +664,13 @@ ORACLES = {
     "running_tree_value": W + _DENSE_TREE + " SELECT u, v, w, CAST(sum(w) OVER (ORDER BY w DESC, u, v ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM tree",
     "dense_tree_size": W + _DENSE_TREE + " " + _size_sql("tree"),
     "sampled_tree_size": W + _SAMPLED_TREE + " " + _size_sql("tree"),
-    "outer_no_default": "SELECT CAST(1 AS BIGINT) AS roots",
+    "outer_no_default": W + _DENSE_TREE + " SELECT (SELECT count(*) FROM pre) - (SELECT count(*) FROM tree) AS roots",
+    "giant_equals_local": W + _HEAD + " SELECT 'sampled_' || v AS algorithm, count(*) AS states, CAST(0 AS BIGINT) AS different FROM pre, (SELECT unnest(['tree', 'depth']) AS v) GROUP BY v",
+    "redundant_transitions": W + _DEPTH + ' SELECT t.state, t.symbol FROM tr t JOIN dd ON dd.state = t.state JOIN tr o ON o.state = dd."default" AND o.symbol = t.symbol AND o.target = t.target',
+    "well_defined": W + _RES + ", e AS (SELECT r.state, r.symbol, arg_max(r.cur, r.hops) AS last FROM rs r GROUP BY 1, 2) SELECT 'without the start' AS labels, count(*) AS faults FROM e WHERE last = 0 HAVING count(*) > 0",
+    "equivalent_automata": "SELECT 'all' AS accepts, false AS differ UNION ALL SELECT 'but one', true",
+    "replacement_buckets": W + _HEAD + f", al AS (SELECT list(symbol ORDER BY symbol) AS a FROM (SELECT DISTINCT symbol FROM tr)), s AS (SELECT DISTINCT CAST(r AS INTEGER) AS round, a[{_h(chr(39) + '42' + chr(39), 'r', chr(39) + 'r' + chr(39), 's')} % len(a) + 1] AS symbol FROM al, range({R}) x(r), range({K}) y(s)) SELECT round, state, string_agg(CAST(target AS VARCHAR), ',' ORDER BY symbol) AS key FROM tr JOIN s USING (symbol) GROUP BY 1, 2",
+    "minhash_k_buckets": W + _HEAD + f", h AS (SELECT CAST(r AS INTEGER) AS round, j, state, symbol, target, {_h(chr(39) + '42' + chr(39), 'r', 'j', 'symbol', 'target')} AS h FROM tr, range(2) t(r), range(3) y(j)), m AS (SELECT round, j, state, min(struct_pack(h := h, symbol := symbol, target := target)) AS m FROM h GROUP BY 1, 2, 3) SELECT round, state, string_agg(CAST(m.symbol AS VARCHAR) || ':' || CAST(m.target AS VARCHAR), ',' ORDER BY j) AS key FROM m GROUP BY 1, 2",
     "depth_defaults": W + _DEPTH + ' SELECT state, "default", w FROM dd',
     "depth_drop2": W + _PAIRS + ', up AS (SELECT a.state AS u, b.state AS v FROM pre a JOIN pre b ON b.depth <= a.depth - 2) SELECT up.u AS state, arg_max(up.v, d.w * 1000000 - up.v) AS "default", max(d.w) AS w FROM up JOIN dense d ON d.u = least(up.u, up.v) AND d.v = greatest(up.u, up.v) GROUP BY 1',
     "depth_labelled": W + _DEPTH + " SELECT state, symbol, target FROM lab",
@@ -630,7 +694,7 @@ ORACLES = {
     "lateral_symbols": W + _HEAD + " SELECT t.state, t.symbol, t.target FROM tr t JOIN tr z ON z.state = 0 AND z.symbol = t.symbol WHERE t.target <> z.target",
     "theta_depth_pairs": W + _HEAD + " SELECT count(*) AS pairs FROM pre a JOIN pre b ON b.depth < a.depth",
     "bucket_distinct": W + _SAMPLE + " SELECT round, count(DISTINCT key) AS keys FROM bk GROUP BY 1",
-    "bool_invariants": W + _HEAD + " SELECT true AS one_level, true AS closed, count(*) AS transitions FROM tr",
+    "bool_invariants": W + _HEAD + " SELECT bool_and(b.depth <= a.depth + 1) AS one_level, bool_and(tr.target >= 0) AS closed, count(*) AS transitions FROM tr JOIN pre a ON a.state = tr.state JOIN pre b ON b.state = tr.target",
     "top_pairs": W + _PAIRS + " SELECT u, v, w FROM sh ORDER BY w DESC, u, v LIMIT 20",
     "top_g_per_state": W + _PAIRS + ", b AS (SELECT u AS state, v AS other, w FROM sh UNION ALL SELECT v, u, w FROM sh), r AS (SELECT *, CAST(row_number() OVER (PARTITION BY state ORDER BY w DESC, other) AS INTEGER) AS rank FROM b) SELECT state, other, w, rank FROM r WHERE rank <= 3",
     "sort_limit_edges": W + _SAMPLE + " SELECT u, v, w FROM ed ORDER BY w DESC, u, v LIMIT 100",

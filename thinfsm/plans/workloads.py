@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import compress, kernels, rules
-from ..model import ROWS, table
+from ..model import ROWS, numbered, table
 from ..scratch import store
 
 QUERIES, ORACLES = {}, {}
@@ -49,7 +49,8 @@ def dictionary_rows(words: DataFrame) -> DataFrame:
 
 def gap_rules(spark: SparkSession, sf_dir: str, most: int) -> DataFrame:
     """automaton_id, ord, pattern: growing prefixes of the rules (every 7th name; its words in order with anything between; once found, found for good)."""
-    names = [r[0] for r in table(spark, sf_dir, "part").select("p_name").filter("p_name is not null").distinct().orderBy("p_name").limit(7 * most).collect()][::7][:most]  # 7 * most names
+    named = numbered(table(spark, sf_dir, "part").select("p_name").filter("p_name is not null").distinct(), ["p_name"], "i")
+    names = [r[0] for r in named.filter((F.col("i") % 7 == 0) & (F.col("i") < 7 * most)).orderBy("i").select("p_name").collect()]  # the ladder's rules: its automata double and more with each
     listed = [(f"gap_{m}", i, ".*".join(n.split()) + ".*") for m in range(1, most + 1) for i, n in enumerate(names[:m])]
     return spark.createDataFrame(listed, "automaton_id string, ord int, pattern string")
 
@@ -69,7 +70,11 @@ def compiled(rules_df: DataFrame, minimal: bool = True, max_states: int = 60_000
     return rules_df.groupBy("automaton_id").applyInPandas(build, ROWS)
 
 
-def workload(spark: SparkSession, sf_dir: str, name: str, most: int = 5) -> DataFrame:
+#: Rules of the gap ladder (its automata grow threefold with each rule: 3,477 states with 5) and the most states that bounded merging, quadratic in memory and time, is run on.
+GAPS, GROW_MOST = 5, 900
+
+
+def workload(spark: SparkSession, sf_dir: str, name: str, most: int = GAPS) -> DataFrame:
     rows = compiled(gap_rules(spark, sf_dir, most)) if name == "gap" else dictionary_rows(literals(spark, sf_dir, name))
     return store(rows)
 
@@ -97,9 +102,50 @@ ORACLES["worked_example_tree"] = "SELECT * FROM (VALUES ('dense_tree', CAST(9 AS
 
 @query
 def algorithm_table(spark, sf_dir):
-    """The eight algorithms on the names dictionary and a gap automaton, with the experiments' parameters."""
-    rows = workload(spark, sf_dir, "names").unionByName(workload(spark, sf_dir, "gap", 3))
-    return compress.measures_of(store(rows)).select(*SHOWN)
+    """The eight algorithms on the names dictionary and the gap automata, with the experiments' parameters."""
+    rows = workload(spark, sf_dir, "names").unionByName(workload(spark, sf_dir, "gap", 4))
+    return compress.measures_of(store(rows), grow_most=GROW_MOST).select(*SHOWN)
+
+
+def ladder_times(spark, sf_dir, name: str) -> DataFrame:
+    """Time and size of every algorithm on a ladder of automata (k = 8, r = 512, bound 2), and what the sampled form gains and loses against the dense one.
+
+    Seconds are those of the construction alone, the automaton given.  What an algorithm can't do at a size is reported with the reason."""
+    m = store(compress.measures_of(workload(spark, sf_dir, name), grow_most=GROW_MOST))
+    m = m.withColumn("graph", F.split("algorithm", "_")[0]).withColumn("variant", F.split("algorithm", "_")[1])
+    side = lambda g: m.filter(F.col("graph") == g).select("automaton_id", "variant", *([] if g == "dense" else ["n"]), *[F.col(c).alias(f"{g}_{c}") for c in ("seconds", "size_pct", "status")])
+    both = side("sampled").join(side("dense"), ["automaton_id", "variant"])
+    return both.select(
+        "automaton_id", "variant", "n", F.round("dense_seconds", 4).alias("dense_seconds"), F.round("sampled_seconds", 4).alias("sampled_seconds"), F.round(F.col("dense_seconds") / F.col("sampled_seconds"), 3).alias("speed_up"),
+        F.round("dense_size_pct", 4).alias("dense_size_pct"), F.round("sampled_size_pct", 4).alias("sampled_size_pct"), F.round(100 * (F.col("sampled_size_pct") / F.col("dense_size_pct") - 1), 3).alias("loss_pct"), "dense_status", "sampled_status",
+    )
+
+
+@query
+def gap_times(spark, sf_dir):
+    return ladder_times(spark, sf_dir, "gap")
+
+
+@query
+def url_times(spark, sf_dir):
+    return ladder_times(spark, sf_dir, "urls")
+
+
+@query
+def passage_times(spark, sf_dir):
+    return ladder_times(spark, sf_dir, "passages")
+
+
+@query
+def grow_size(spark, sf_dir):
+    """Bounded merging on the names dictionary: sizes and bound."""
+    return compress.measures_of(workload(spark, sf_dir, "names"), ("dense_grow", "sampled_grow")).select(*SHOWN)
+
+
+@query
+def cut_size(spark, sf_dir):
+    """Growth and cuts on the names dictionary: sizes, cuts and the similarity that they lose."""
+    return compress.measures_of(workload(spark, sf_dir, "names"), ("dense_cut", "sampled_cut"), L=1).select(*SHOWN, "cut_similarity")
 
 
 @query
@@ -121,18 +167,18 @@ c AS (SELECT d, url, unnest(range(0, length(url) + 1)) AS i FROM u) SELECT 'urls
 @query
 def url_tree(spark, sf_dir):
     """Sampled algorithms on the growing url dictionaries."""
-    return compress.measures_of(workload(spark, sf_dir, "urls"), ("sampled_tree", "sampled_depth"), r=128, min_gain=2).select(*SHOWN)
+    return compress.measures_of(workload(spark, sf_dir, "urls"), ("sampled_tree", "sampled_cut", "sampled_depth"), min_gain=2).select(*SHOWN)
 
 
 @query
 def passage_depth(spark, sf_dir):
-    return compress.measures_of(workload(spark, sf_dir, "passages"), ("sampled_depth",), r=64, min_gain=2).select(*SHOWN)
+    return compress.measures_of(workload(spark, sf_dir, "passages"), ("sampled_depth",), min_gain=2).select(*SHOWN)
 
 
 @query
 def dense_against_sampled(spark, sf_dir):
     """Loss of size of the sampled algorithms against the dense ones, by automaton and variant."""
-    m = compress.measures_of(workload(spark, sf_dir, "gap", 4), min_gain=1)
+    m = compress.measures_of(workload(spark, sf_dir, "gap", 4), min_gain=1, grow_most=GROW_MOST)
     m = m.select("automaton_id", "n", F.split("algorithm", "_")[0].alias("graph"), F.split("algorithm", "_")[1].alias("variant"), "size_pct")
     p = m.groupBy("automaton_id", "variant").pivot("graph", ["dense", "sampled"]).agg(F.first("size_pct"))
     return p.withColumn("loss_pct", F.round(100 * (F.col("sampled") / F.col("dense") - 1), 4))
@@ -141,32 +187,32 @@ def dense_against_sampled(spark, sf_dir):
 @query
 def parameter_study(spark, sf_dir):
     """Size by sampler, symbols per round and rounds."""
-    rows = workload(spark, sf_dir, "gap", 3).filter("automaton_id = 'gap_3'")
+    rows = store(workload(spark, sf_dir, "gap", 4).unionByName(workload(spark, sf_dir, "names")))
     out = None
-    for sampler, k, r in [("distinct", k, 64) for k in (1, 2, 4, 8, 16)] + [("distinct", 8, r) for r in (16, 128, 256)] + [(s, 8, 64) for s in ("replacement", "rotating", "minhash1", "minhashk")]:
-        m = compress.measures_of(rows, ("sampled_tree",), sampler=sampler, k=k, r=r).select(F.lit(sampler).alias("sampler"), F.lit(k).alias("k"), F.lit(r).alias("r"), "n", "t_out", "size_pct", "tree_value")
+    for sampler, k, r in [("distinct", k, 64) for k in (1, 2, 4, 8, 16)] + [("distinct", 8, r) for r in (16, 128, 256, 512)] + [(s, 8, 64) for s in ("replacement", "rotating", "minhash1", "minhashk")]:
+        m = compress.measures_of(rows, ("sampled_tree",), sampler=sampler, k=k, r=r).select("automaton_id", F.lit(sampler).alias("sampler"), F.lit(k).alias("k"), F.lit(r).alias("r"), "n", "t_out", "size_pct", "tree_value", "seconds")
         out = m if out is None else out.unionByName(m)
     return out
 
 
 @query
 def bound_study(spark, sf_dir):
-    """Size and delays by the bound on the longest delay."""
-    rows = workload(spark, sf_dir, "gap", 4).filter("automaton_id = 'gap_4'")
+    """Size and delays by the bound on the longest delay, on every gap automaton and the names."""
+    rows = store(workload(spark, sf_dir, "gap", 4).unionByName(workload(spark, sf_dir, "names")))
     out = None
     for L in (1, 2, 3, 4, 5):
-        m = compress.measures_of(rows, ("sampled_cut", "sampled_grow"), L=L, r=128).select(F.lit(L).alias("bound"), "algorithm", "n", "size_pct", "longest_delay", "longest_chain", "cuts", (F.col("longest_chain") <= L).alias("kept"))
+        m = compress.measures_of(rows, ("sampled_cut", "sampled_grow"), L=L, r=128, grow_most=GROW_MOST).select("automaton_id", F.lit(L).alias("bound"), "algorithm", "n", "size_pct", "longest_delay", "longest_chain", "cuts", (F.col("longest_chain") <= L).alias("kept"))
         out = m if out is None else out.unionByName(m)
     return out
 
 
 @query
 def cut_ablation(spark, sf_dir):
-    """Penalty of depth, start node and kind of cut."""
-    rows = workload(spark, sf_dir, "gap", 4).filter("automaton_id = 'gap_4'")
+    """Penalty of depth, start node and kind of cut, on every gap automaton and the names: sizes, lost similarity and time."""
+    rows = store(workload(spark, sf_dir, "gap", 4).unionByName(workload(spark, sf_dir, "names")))
     out = None
     for name, how in {"pow2": {}, "none": {"penalty": "none"}, "linear": {"penalty": "linear"}, "initial": {"root": "initial"}, "degree": {"root": "degree"}, "lightest": {"penalty": "none", "cut": "lightest"}}.items():
-        m = compress.measures_of(rows, ("sampled_cut",), r=128, **how).select(F.lit(name).alias("how"), "n", "size_pct", "cuts", "longest_chain")
+        m = compress.measures_of(rows, ("sampled_cut",), r=128, **how).select("automaton_id", F.lit(name).alias("how"), "n", "size_pct", "cuts", "cut_similarity", "longest_chain", "seconds")
         out = m if out is None else out.unionByName(m)
     return out
 
@@ -176,10 +222,10 @@ def cut_forest_check(spark, sf_dir):
     """Violations of the bound, of the forest and of the language, over all bounded results: none."""
     rows = workload(spark, sf_dir, "gap", 3)
     m = compress.measures_of(rows, ("dense_cut", "sampled_cut", "dense_grow", "sampled_grow"), r=64)
-    return m.agg(F.count_if(F.col("longest_chain") > 2).alias("too_long"), F.count_if(F.col("longest_delay") > F.col("longest_chain")).alias("odd"), F.count_if(F.col("t_out") > F.col("t_in")).alias("larger"))
+    return m.agg(F.count("*").alias("results"), F.count_if(F.col("longest_chain") > 2).alias("too_long"), F.count_if(F.col("longest_delay") > F.col("longest_chain")).alias("odd"), F.count_if(F.col("t_out") > F.col("t_in")).alias("larger"), F.sum("different").alias("different"))
 
 
-ORACLES["cut_forest_check"] = "SELECT CAST(0 AS BIGINT) AS too_long, CAST(0 AS BIGINT) AS odd, CAST(0 AS BIGINT) AS larger"
+ORACLES["cut_forest_check"] = "SELECT CAST(12 AS BIGINT) AS results, CAST(0 AS BIGINT) AS different, CAST(0 AS BIGINT) AS too_long, CAST(0 AS BIGINT) AS odd, CAST(0 AS BIGINT) AS larger"
 
 
 @query
@@ -206,10 +252,9 @@ UNION ALL SELECT 'mail', count(*) FILTER (regexp_matches(text, '[a-z0-9]+@[a-z0-
 
 @query
 def embedding_row_tree(spark, sf_dir):
-    """Sign-quantised vectors as states: each vector's default is a like one; shared components are its similarity."""
-    v = table(spark, sf_dir, "embeddings").filter("embedding is not null").select(F.lit("embeddings").alias("automaton_id"), F.col("vec_id").alias("state"), F.transform("embedding", lambda x: (F.floor(x * 4) + 64).cast("int")).alias("row"))
-    n = v.select("state").count()
-    dense = v.filter(F.col("state") < n)  # ids are dense here
+    """Vectors in steps of a quarter as states: each vector's default is a like one; shared components are its similarity."""
+    v = numbered(table(spark, sf_dir, "embeddings").filter("embedding is not null and vec_id is not null"), ["vec_id"], "state")
+    dense = v.select(F.lit("embeddings").alias("automaton_id"), "state", F.transform("embedding", lambda x: (F.floor(x * 4) + 64).cast("int")).alias("row"))
 
     def go(pdf: pd.DataFrame) -> pd.DataFrame:
         m = np.stack(pdf.sort_values("state")["row"].to_numpy())
