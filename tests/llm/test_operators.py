@@ -389,3 +389,42 @@ def test_pipeline_stages(spark):
     assert sorted(rows["near_duplicates"]["doc_id"]) == sorted({c for _, _, c, _ in brute})
     assert not any(plain_spans(t) for t in rows["personal_data"]["text"])
     assert len(rows["mixture"]) == len(rows["personal_data"]) == len(rows["decontamination"]) and (rows["mixture"]["rate"] >= 0).all()
+
+
+def test_pipeline_on_odd_documents(spark):
+    """Nulls, empty and very long texts, repeated ids, ties, clashing columns, an empty table, from stage to stage."""
+    pipeline = importlib.import_module("corpus_pipeline")
+    mail = "please write to some.one@example.org about the garden and the long way home today"
+    leak = spark.read.parquet(f"{SF}/benchmark.parquet").first()["text"]
+    rows = [*ODD, (20, mail), (21, mail), (22, None), (None, mail), (23, f"some words before {leak} and some after"), (20, mail + " again"), (24, "word " * 60000 + "me@x.com")]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, rate string, node long, family string, __row long"
+    d = spark.createDataFrame([(i, t, "en", "s", 1, "r", 7, "f", 8) for i, t in rows], schema)
+    for table_ in (d, d.limit(0)):
+        out = table_
+        for k, (name, stage) in enumerate(pipeline.STAGES):
+            out = setjoin.store(stage(spark, out, SF))
+            if k < len(pipeline.STAGES) - 1:
+                assert out.columns == d.columns, name
+        assert set(d.columns) <= set(out.columns) and dict(out.dtypes)["rate"] == "double"
+        got = {(r["doc_id"], r["text"]) for r in out.collect()}
+        if table_ is d:
+            clean = mail.replace("some.one@example.org", "[EMAIL]")
+            assert (20, clean) in got and (None, clean) in got and not any(i in (1, 2, 3, 8, 21, 22, 23) for i, _ in got)
+            assert [t[-8:] for i, t in got if i == 24] == [" [EMAIL]"] and len(got) == out.count()
+        else:
+            assert not got
+
+
+def test_fixity_odd(spark):
+    pages = spark.createDataFrame([(1, "u", "x" * 300_000, 5), (2, None, None, 6), (3, "", "", 7), (3, "", "", 7)], "page_id long, url string, html string, path long")
+    assert fixity.audit(pages, pages).collect() == []
+    other = pages.withColumn("html", F.when(F.col("page_id") == 1, F.concat("html", F.lit("y"))).otherwise(F.col("html")))
+    assert [(r["page_id"], r["status"]) for r in fixity.audit(pages, other).orderBy("pos").collect()] == [(1, "changed"), (2, "moved"), (3, "moved"), (3, "moved")]
+    assert fixity.audit(pages.limit(0), pages.limit(0)).collect() == []
+
+
+def test_personal_data_empty_and_many(spark):
+    assert pii.report(pii.find(docs(spark, []), keep=("doc_id",))).collect() == []
+    many = " ".join(f"a{i}@b.com" for i in range(3000))
+    got = pii.redact(docs(spark, [(1, many), (2, None), (3, "")])).collect()
+    assert {r["doc_id"]: r["text"] for r in got}[1] == " ".join(["[EMAIL]"] * 3000)
