@@ -4,10 +4,16 @@ Every stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the las
 columns of documents.  Stage by stage:
 
 * language: drops documents in which no language is found (null texts, texts without a letter);
-* near duplicates: keeps the document with the least id of each group of linked documents;
+* near duplicates: keeps the document with the least id of each group of documents linked by
+  five-word shingles and a similarity of 0.8;
 * decontamination: drops documents that hold a window of a benchmark item;
 * personal data: replaces every span found by its kind in brackets;
-* mixture: adds the rate at which a document is to be drawn.
+* mixture: adds the tokens, the domain's posteriors and the rate at which a document is to be drawn.
+
+Cases: null and empty texts go in the first stage; rows that repeat an id leave one, that with the
+first text; rows with a null id link with nothing, and stay where their text is clean; ties go to
+the lesser id; very long texts are read whole; an empty table gives an empty one with the same
+columns; further columns pass through, but for those that the mixture adds itself.
 """
 
 from __future__ import annotations
