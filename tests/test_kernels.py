@@ -155,20 +155,22 @@ def test_batched_forest_is_the_forest():
 
 
 def plain_growth(n, w, start, penalty):
-    """Growth by rounds, over a table of weights (missing pairs are no edges)."""
-    level, parent = {start: 0}, {}
+    """Growth by one best offer at a time (of a node's equal offers the first stands; of equal nodes the one of the least parent), over a table of weights."""
+    level, parent, best = {start: 0}, {}, {}
+    x = start
     while True:
-        best = {}
-        for t in set(range(n)) - set(level):
-            offers = [(w[min(x, t), max(x, t)] - {"pow2": 2 ** (level[x] + 1), "none": 0, "linear": level[x] + 1}[penalty], -x) for x in level if (min(x, t), max(x, t)) in w]
-            if offers:
-                best[t] = max(offers)
+        for t in range(n):
+            if t not in level and (min(x, t), max(x, t)) in w:
+                d = level[x] + 1
+                v = w[min(x, t), max(x, t)] - {"pow2": 2**d, "none": 0, "linear": d}[penalty]
+                if t not in best or v > best[t][0]:
+                    best[t] = (v, -x)
         if not best:
             return parent, level
-        top = max(v for v, _ in best.values())
-        new = {t: -x for t, (v, x) in best.items() if v == top}
-        parent |= new
-        level |= {t: level[x] + 1 for t, x in new.items()}
+        t = max(best, key=lambda t: (*best[t], -t))
+        parent[t] = -best.pop(t)[1]
+        level[t] = level[parent[t]] + 1
+        x = t
 
 
 @pytest.mark.parametrize("penalty", ["pow2", "none", "linear"])

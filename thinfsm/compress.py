@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -58,22 +59,13 @@ def run(table: np.ndarray, variant: str = "tree", graph: str = "sampled", *, sta
     if variant in ("tree", "grow"):
         parent, level, _ = kernels.orient(n, u[keep], v[keep])
         return weak_off(rows, mult, parent, min_gain), info
-    if root == "centre":
-        at = int(kernels.centres(n, u[keep], v[keep])[0])
-    elif root == "initial":
-        at = start
-    else:
-        at = int(np.bincount(np.concatenate([u[keep], v[keep]]), minlength=n).argmax())
+    at = growth_start(n, u[keep], v[keep], start, root)
     if graph == "dense":
         parent, level, weight = kernels.dense_shallow_tree(rows, mult, at, penalty)
     else:
         parent, level, weight = kernels.shallow_tree(n, u, v, w, at, penalty)
-    gone = kernels.cut_fewest(parent, level, L) if cut == "fewest" else kernels.cut_lightest(parent, level, weight, L)
+    parent, gone = cut_tree(n, parent, level, weight, L, cut)
     info["cuts"], info["cut_similarity"] = len(gone), int(weight[gone].sum())
-    parent = parent.copy()
-    parent[gone] = -1
-    kept = np.flatnonzero(parent >= 0)
-    parent, level, _ = kernels.orient(n, np.minimum(kept, parent[kept]), np.maximum(kept, parent[kept]))
     return weak_off(rows, mult, parent, min_gain), info
 
 
@@ -161,11 +153,43 @@ def emit(transitions: DataFrame, defaults: DataFrame) -> DataFrame:
     return joined.filter(F.col("default").isNull() | (F.col("target") != F.col("given"))).select("automaton_id", "state", "symbol", "target")
 
 
-def giant_defaults(states: DataFrame, transitions: DataFrame, variant: str = "tree", graph: str = "sampled", *, k: int = 8, r: int = 512, seed: int = 42, start: int = 0, depth: DataFrame | None = None, L: int = 2, sampler: str = "distinct", pairing: str = "uniform", star: bool = True, cut: str = "fewest", root: str = "centre", penalty: str = "pow2", fallback_start: bool = False, batch: int | None = None, parts: int = 64, min_depth_drop: int = 1, min_gain: int = 0) -> DataFrame:
+def cut_tree(n: int, parent: np.ndarray, level: np.ndarray, weight: np.ndarray, L: int, cut: str = "fewest") -> tuple[np.ndarray, np.ndarray]:
+    """Parents in the pieces that the cuts leave, each turned to its centre, and the states that were cut off."""
+    gone = kernels.cut_fewest(parent, level, L) if cut == "fewest" else kernels.cut_lightest(parent, level, weight, L)
+    parent = parent.copy()
+    parent[gone] = -1
+    kept = np.flatnonzero(parent >= 0)
+    return kernels.orient(n, np.minimum(kept, parent[kept]), np.maximum(kept, parent[kept]))[0], gone
+
+
+def growth_start(n: int, u: np.ndarray, v: np.ndarray, start: int, root: str) -> int:
+    """Where the growth begins: a centre of the tree (u, v), the initial state, or the state of most neighbours."""
+    if root == "initial":
+        return start
+    return int(kernels.centres(n, u, v)[0]) if root == "centre" else int(np.bincount(np.concatenate([u, v]), minlength=n).argmax())
+
+
+def _grown(n: int, start: int, root: str, penalty: str, L: int):
+    def run(batches):
+        parts = [np.stack([b.column(c).to_numpy().astype(np.int64) for c in ("u", "v", "w")]) for b in batches]
+        u, v, w = np.concatenate([np.zeros((3, 0), np.int64), *parts], 1)
+        order = np.lexsort((v, u))
+        u, v, w = u[order], v[order], w[order]
+        keep = kernels.max_spanning_forest(n, u, v, w)
+        parent, level, weight = kernels.shallow_tree(n, u, v, w, growth_start(n, u[keep], v[keep], start, root), penalty)
+        parent, _ = cut_tree(n, parent, level, weight, L)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(n)), pa.array(parent, mask=parent < 0)], names=["state", "parent"])
+
+    return run
+
+
+def giant_defaults(states: DataFrame, transitions: DataFrame, variant: str = "tree", graph: str = "sampled", *, k: int = 8, r: int = 512, seed: int = 42, start: int = 0, depth: DataFrame | None = None, L: int = 2, sampler: str = "distinct", pairing: str = "uniform", star: bool = True, cut: str = "fewest", root: str = "centre", penalty: str = "pow2", fallback_start: bool = False, batch: int | None = None, parts: int = 64, min_depth_drop: int = 1, min_gain: int = 0, growth_edges: int = 1 << 25) -> DataFrame:
     """state, default of one automaton that fits no task; equal to what run() gives for the same parameters.
 
     Rounds go in batches; between them only the forest (tree) or each state's best default
-    (depth) is kept, and all edges where the growth needs them (cut)."""
+    (depth) is kept, and all edges where the growth needs them (cut).  Of a graph of more than
+    ``growth_edges`` edges the growth sees a union of edge-disjoint maximum spanning forests of
+    that size: from there on its result may differ from run()'s."""
     if graph != "sampled" or variant == "grow":
         raise ValueError(f"{graph}_{variant} compares all pairs or merges one edge at a time: automata of one task only")
     if cut != "fewest":
@@ -205,17 +229,12 @@ def giant_defaults(states: DataFrame, transitions: DataFrame, variant: str = "tr
     if variant == "tree":
         tree = giant.orient(kept, states)
     else:
-        if root == "initial":
-            at = start
-        elif root == "centre":
-            at = giant.orient(kept, states).filter("parent is null").agg(F.min("state")).first()[0]
-        else:
-            ends = kept.select(F.col("u").alias("s")).unionByName(kept.select(F.col("v").alias("s")))
-            at = ends.groupBy("s").count().orderBy(F.desc("count"), "s").first()[0]
-        grown = store(giant.levels(giant.grow_penalised(every, states, at, penalty)))
-        gone = giant.cut_fewest(grown, L)
-        keep = grown.join(gone, "state", "left_anti").filter("parent is not null").select(F.least("state", "parent").alias("u"), F.greatest("state", "parent").alias("v"))
-        tree = giant.orient(keep, states)
+        # The growth takes one offer after another: a task of its own, over arrays of the graph's edges.
+        if every.count() > growth_edges:
+            if n > growth_edges // 4:
+                raise ValueError(f"growth of {n} states: its task holds {growth_edges} edges")
+            every = store(giant.sparsified(every, growth_edges // n))
+        tree = every.select("u", "v", "w").coalesce(1).mapInArrow(_grown(n, start, root, penalty, L), "state long, parent long")
     d = tree.withColumnRenamed("parent", "default")
     if min_gain:
         pairs = d.filter("default is not null").select(F.col("state").alias("u"), F.col("default").alias("v"))

@@ -258,29 +258,16 @@ def levels(tree: DataFrame, most: int = 64) -> DataFrame:
     raise RuntimeError("levels: a cycle")
 
 
-def grow_penalised(edges: DataFrame, states: DataFrame, start: int, penalty: str = "pow2", most: int = 100_000) -> DataFrame:
-    """state, parent, level: the tree that kernels.Growth grows, a round at a time.
-
-    Of each open state only its best offer (greatest value, least parent) is kept between rounds."""
-    ends = store(edges.select(F.col("u").alias("x"), F.col("v").alias("t"), "w").unionByName(edges.select(F.col("v").alias("x"), F.col("u").alias("t"), "w")))
-    new = store(states.sparkSession.createDataFrame([(start, None, 0)], "state long, parent long, level int"))
-    tree, best = new, None
-    for k in range(most):
-        deeper = F.col("level") + 1
-        lost = {"pow2": F.pow(F.lit(2.0), F.least(deeper, F.lit(40))).cast("long"), "none": F.lit(0).cast("long"), "linear": deeper.cast("long")}[penalty]
-        offers = ends.join(new.select(F.col("state").alias("x"), "level"), "x").select("t", F.struct((F.col("w") - lost).alias("value"), (-F.col("x")).alias("x"), deeper.alias("level")).alias("o"))
-        every = offers if best is None else offers.unionByName(best)
-        old, best = best, store(every.join(tree.select(F.col("state").alias("t")), "t", "left_anti").groupBy("t").agg(F.max("o").alias("o")))
-        if old is not None:
-            drop(old)
-        top = best.agg(F.max("o.value")).first()[0]
-        if top is None:
-            return tree
-        new = store(best.filter(F.col("o.value") == top).select(F.col("t").alias("state"), (-F.col("o.x")).alias("parent"), "o.level"))
-        tree = tree.unionByName(new)
-        if k % 8 == 7:
-            tree = store(tree)
-    raise RuntimeError("grow_penalised: no end")
+def sparsified(edges: DataFrame, forests: int) -> DataFrame:
+    """The union of so many edge-disjoint maximum spanning forests, best first: at most ``forests`` edges per state, and every cut keeps its best ones."""
+    rest, out = edges.select("u", "v", "w"), None
+    for _ in range(max(1, forests)):
+        best = spanning_forest(rest)
+        out = best if out is None else out.unionByName(best)
+        rest = store(rest.join(best.select("u", "v"), ["u", "v"], "left_anti"))
+        if rest.isEmpty():
+            break
+    return out
 
 
 def cut_fewest(tree: DataFrame, L: int) -> DataFrame:

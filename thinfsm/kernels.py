@@ -345,67 +345,55 @@ def orient(n, u, v) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 DEEPEST = 40
 
 
-def penalised(depth, kind: str):
-    """What an offer to a node at this depth (number or array) loses.  Beyond DEEPEST every loss outweighs any similarity."""
-    return {"pow2": 1 << np.minimum(depth, DEEPEST), "none": 0 * depth, "linear": 1 * depth}[kind]
-
-
-class Growth:
-    """A tree grown from ``start``: in every round all open nodes whose best offer equals the round's greatest value join it.
-
-    An offer is similarity - penalty(depth of the receiving end); of equal offers the one of
-    the least node counts.  Rounds of equal values are what a table can do at once, so both
-    tiers grow the same tree."""
-
-    def __init__(self, n: int, start: int, penalty: str):
-        self.n, self.penalty = n, penalty
-        self.parent, self.level, self.weight = np.full(n, -1, np.int64), np.full(n, -1, np.int64), np.zeros(n, np.int64)
-        self.best, self.none = np.full(n, np.iinfo(np.int64).min), np.iinfo(np.int64).min
-        self.level[start] = 0
-
-    def offer(self, x, to, w) -> None:
-        """Nodes x (in the tree) to nodes ``to`` of similarity w (arrays)."""
-        key = (w.astype(np.int64) - penalised(self.level[x] + 1, self.penalty)) * self.n + (self.n - 1 - x)
-        np.maximum.at(self.best, to, key)
-
-    def join(self) -> np.ndarray:
-        """The nodes that join now (none: the tree can't grow)."""
-        open_ = np.where(self.level < 0, self.best, self.none)
-        top = open_.max()
-        if top == self.none:
-            return np.zeros(0, np.int64)
-        new = np.flatnonzero((open_ > self.none) & (open_ // self.n == top // self.n))
-        self.parent[new] = self.n - 1 - open_[new] % self.n
-        self.level[new] = self.level[self.parent[new]] + 1
-        self.weight[new] = open_[new] // self.n + penalised(self.level[new], self.penalty)
-        return new
+def penalised(depth: int, kind: str) -> int:
+    """What an offer to a node at this depth loses.  Beyond DEEPEST every loss outweighs any similarity."""
+    return {"pow2": 1 << min(depth, DEEPEST), "none": 0, "linear": depth}[kind]
 
 
 def shallow_tree(n, u, v, w, start: int, penalty: str = "pow2") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Growth over the edges of a graph: parent, level, weight."""
+    """Tree grown from ``start`` by the best offer similarity - penalty(depth of the receiving end): parent, level, weight."""
     at, dst, eid = neighbours(n, u, v)
-    tree, new = Growth(n, start, penalty), np.array([start])
-    while len(new):
-        count = at[new + 1] - at[new]
-        e = np.repeat(at[new] - np.cumsum(count) + count, count) + np.arange(count.sum())
-        x, to = np.repeat(new, count), dst[e]
-        out = tree.level[to] < 0
-        tree.offer(x[out], to[out], w[eid[e[out]]])
-        new = tree.join()
-    return tree.parent, tree.level, tree.weight
+    parent, level, weight = np.full(n, -1, np.int64), np.full(n, -1, np.int64), np.zeros(n, np.int64)
+    best = np.full(n, np.iinfo(np.int64).min)
+    heap: list[tuple[int, int, int]] = []
+
+    def enter(x: int):
+        s = slice(at[x], at[x + 1])
+        to, wt = dst[s], w[eid[s]]
+        value = wt - penalised(int(level[x]) + 1, penalty)
+        new = (level[to] < 0) & (value > best[to])
+        for t, val in zip(to[new].tolist(), value[new].tolist()):
+            best[t] = val
+            heapq.heappush(heap, (-val, x, t))
+
+    level[start] = 0
+    enter(start)
+    while heap:
+        val, x, t = heapq.heappop(heap)
+        if level[t] >= 0:
+            continue
+        parent[t], level[t] = x, level[x] + 1
+        weight[t] = -val + penalised(int(level[t]), penalty)
+        enter(t)
+    return parent, level, weight
 
 
 def dense_shallow_tree(rows, mult, start: int, penalty: str = "pow2"):
     """The same over all pairs, without a stored graph."""
     n = len(rows)
-    tree, new = Growth(n, start, penalty), np.array([start])
-    while len(new):
-        to = np.flatnonzero(tree.level < 0)
-        for x in new.tolist() if len(to) else ():
-            key = (shared(rows[to], rows[x], mult).astype(np.int64) - penalised(int(tree.level[x]) + 1, penalty)) * n + (n - 1 - x)
-            tree.best[to] = np.maximum(tree.best[to], key)
-        new = tree.join()
-    return tree.parent, tree.level, tree.weight
+    parent, level, weight = np.full(n, -1, np.int64), np.full(n, -1, np.int64), np.zeros(n, np.int64)
+    best, via, wt = np.full(n, np.iinfo(np.int64).min), np.full(n, n, np.int64), np.zeros(n, np.int64)
+    x, level[start] = start, 0
+    for _ in range(n - 1):
+        s = one_to_all(rows, mult, x).astype(np.int64)
+        value = s - penalised(int(level[x]) + 1, penalty)
+        better = (level < 0) & (value > best)
+        best, via, wt = np.where(better, value, best), np.where(better, x, via), np.where(better, s, wt)
+        open_ = np.flatnonzero(level < 0)
+        top = open_[best[open_] == best[open_].max()]
+        x = int(top[np.lexsort((top, via[top]))[0]])
+        parent[x], level[x], weight[x] = via[x], level[via[x]] + 1, wt[x]
+    return parent, level, weight
 
 
 def cut_fewest(parent: np.ndarray, level: np.ndarray, L: int) -> np.ndarray:

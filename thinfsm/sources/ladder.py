@@ -19,7 +19,7 @@ from ..model import ROWS, RULES, Automaton
 
 
 def read_payload_files(spark: SparkSession, path: str) -> DataFrame:
-    """payload_id, path, body of the files below a folder (captured traffic): any store that Spark reads; body is read only where it is selected."""
+    """payload_id, path, body of the files below a folder (captured traffic): any store that Spark reads; body is read only where it is selected; Spark leaves out empty files."""
     files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path)
     return files.select(F.xxhash64("path").alias("payload_id"), "path", F.col("content").alias("body"))
 

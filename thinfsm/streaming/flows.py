@@ -47,7 +47,7 @@ def dealt(spark: SparkSession, rows: DataFrame, step: str, steps: int) -> DataFr
     jvm = spark._jvm.org.apache.hadoop.fs.Path(path)
     listed = jvm.getFileSystem(spark._jsc.hadoopConfiguration())
     most = max(sum(1 for f in listed.listStatus(spark._jvm.org.apache.hadoop.fs.Path(f"{path}/step={k}")) if f.getPath().getName().endswith(".parquet")) for k in range(steps))
-    return spark.readStream.schema(rows.drop(step).schema.add("step", "int")).option("maxFilesPerTrigger", most).parquet(path)
+    return spark.readStream.schema(rows.drop(step).schema.add("step", "integer")).option("maxFilesPerTrigger", most).parquet(path)
 
 
 def drained(df: DataFrame, mode: str = "append") -> DataFrame:
@@ -97,12 +97,13 @@ def stream_dedupe(spark, sf_dir):
     return drained(twice.dropDuplicatesWithinWatermark(["event_id"])).select("event_id")
 
 
-@query("""WITH d AS (SELECT ts, event_id % 10 = 0 AS second FROM events), w AS (SELECT max(ts) - INTERVAL 1 DAY AS mark FROM d WHERE NOT second),
-t AS (SELECT ts, NOT second OR date_trunc('day', ts) + INTERVAL 1 DAY > mark AS kept FROM d, w) SELECT date_trunc('day', ts) AS day, count(*) FILTER (kept) AS n FROM t GROUP BY 1 HAVING count(*) FILTER (kept) > 0""")
+@query("""WITH d AS (SELECT ts, event_id % 10 = 0 AS second, event_id % 20 = 0 AS third FROM events), w AS (SELECT max(ts) - INTERVAL 1 DAY AS mark FROM d WHERE NOT second),
+t AS (SELECT ts, NOT third OR date_trunc('day', ts) + INTERVAL 1 DAY > mark AS kept FROM d, w) SELECT date_trunc('day', ts) AS day, count(*) FILTER (kept) AS n FROM t GROUP BY 1 HAVING count(*) FILTER (kept) > 0""")
 def stream_late(spark, sf_dir):
-    """Every tenth event arrives in a second batch; those whose day had ended a day before the newest event of the first are late and dropped."""
-    e = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), (F.col("event_id") % 10 == 0).cast("int").alias("step"))
-    w = dealt(spark, e, "step", 2).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    """Every 20th event arrives in a third batch; those whose day had ended a day before the newest event of the first are late and dropped (a batch goes by the watermark of the one before)."""
+    step = F.when(F.col("event_id") % 20 == 0, 2).when(F.col("event_id") % 10 == 0, 1).otherwise(0)
+    e = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), step.alias("step"))
+    w = dealt(spark, e, "step", 3).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
     return drained(w, "update").groupBy(F.col("w.start").cast("timestamp_ntz").alias("day")).agg(F.max("n").alias("n"))
 
 
