@@ -444,13 +444,13 @@ def sharpened(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
     return both.mapInArrow(run, "a long, b long")
 
 
-def presence(nodes: DataFrame) -> np.ndarray:
+def presence(nodes: DataFrame, salt: int = 0) -> np.ndarray:
     """A bit for each hash slot that holds a node: a filter of fixed size, whatever the number of nodes."""
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = np.zeros(MARKS, bool)
         for b in batches:
-            bits[slot_of(b.column("node").to_numpy())] = True
+            bits[slot_of(b.column("node").to_numpy(), salt)] = True
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(SLICES)), pa.array([x.tobytes() for x in np.packbits(bits).reshape(SLICES, -1)], pa.binary())], names=["slice", "bits"])
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -466,12 +466,12 @@ def presence(nodes: DataFrame) -> np.ndarray:
     return bits.reshape(-1)
 
 
-def slot_of(node: np.ndarray) -> np.ndarray:
-    return (mix(node.astype(np.int64).view(np.uint64)) & U(MARKS - 1)).astype(np.int64)
+def slot_of(node: np.ndarray, salt: int = 0) -> np.ndarray:
+    return ((mix(node.astype(np.int64).view(np.uint64)) >> U(24 * salt)) & U(MARKS - 1)).astype(np.int64)
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """wanted: node, with the columns doc, n, f1, f2 of a document that has its set.  node, members (sorted shingles, 8 bytes each).
+    """wanted: nodes with doc, n, f1, f2 of a document that has the set, and other columns.  Adds members (sorted shingles, 8 bytes each).
 
     Most other documents are dropped where they are read, by the filter of presence()."""
     sent = docs.sparkSession.sparkContext.broadcast(presence(wanted.select(F.col("doc").alias("node"))))
@@ -488,7 +488,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array([len(s) for s in own], pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array([s.tobytes() for s in own], pa.binary())], names=["doc", "n", "f1", "f2", "members"])
 
     few = docs.mapInArrow(run, "doc long, n long, f1 long, f2 long, members binary")
-    return few.join(wanted.select("node", "doc", "n", "f1", "f2"), ["doc", "n", "f1", "f2"]).select("node", "members")
+    return few.join(wanted, ["doc", "n", "f1", "f2"])
 
 
 def answers(rows: list[np.ndarray], cols: list[np.ndarray], percent: int) -> Iterator[np.ndarray]:
@@ -545,8 +545,7 @@ def links_within(families: DataFrame, docs: DataFrame, width: int, percent: int)
     """families: node, family, doc, n, f1, f2, weight.  Rows (a, null, links) that add up to the number of links of a node, and rows (a, b, null): a forest of the links of each pair of blocks."""
     size = families.groupBy("family").agg(F.greatest(F.ceil(F.count("*") / MEMBERS), F.ceil(F.sum("n") / VOLUME)).alias("blocks"))
     dealt = families.join(size, "family").withColumn("block", F.pmod(F.xxhash64("node", F.lit(7)), "blocks"))
-    dealt = store(dealt.join(sets_of(docs, families, width), "node").select("family", "blocks", "block", "node", "weight", "members"))
-    each = dealt.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    each = sets_of(docs, store(dealt), width).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     each = each.select("family", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "weight", "members")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -583,31 +582,25 @@ def links_within(families: DataFrame, docs: DataFrame, width: int, percent: int)
                 rows = []
         yield from sent(rows + found())
 
-    out = store(each.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j").mapInArrow(run, "a long, b long, links long"))
-    drop(dealt)
-    return out
+    return store(each.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j").mapInArrow(run, "a long, b long, links long"))
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
     """node, part (least node of its component) for every node of the edges (a, b); alternating large and small stars."""
-    e, before = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct(), None
+    e = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct()
     for _ in range(most):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
         large = both.join(least, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u")
-        now = store(small.filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v"))).distinct())
-        mark = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if before is not None:
-            drop(e)
-        e = now
-        if tuple(mark) == before:
-            break
-        before = tuple(mark)
-    else:
-        raise RuntimeError(f"components: no end after {most} rounds")
-    return e.select(F.col("u").alias("node"), F.col("v").alias("part")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("part")).distinct())
+        old, e = e, store(small.filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v"))).distinct())
+        drop(old)
+        # Done when all is stars: every node has one edge, and it leads to a node without.
+        ends = e.select(F.col("u").alias("x"), F.lit(1).alias("out"), F.lit(0).alias("into")).unionByName(e.select(F.col("v").alias("x"), F.lit(0).alias("out"), F.lit(1).alias("into")))
+        if ends.groupBy("x").agg(F.sum("out").alias("out"), F.max("into").alias("into")).filter("out > 1 or out = 1 and into = 1").isEmpty():
+            return e.select(F.col("u").alias("node"), F.col("v").alias("part")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("part")).distinct())
+    raise RuntimeError(f"components: no end after {most} rounds")
 
 
 def join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 3, percent: int = 90) -> DataFrame:
@@ -653,29 +646,38 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     """The documents with the least id of each component, once each (of an id's rows the one with the first text), with all their columns; rows with a null id stay."""
     found = store(join(docs, id_col=id_col, text_col=text_col, **how))
     ids = store(found.filter("doc_id is not null").groupBy("doc_id").agg(F.min("component_id").alias("c"), F.count("*").alias("rows")))
-    # Most documents stay and need no look-up: the filter of presence() tells those that may go, and only these meet the list of ids.
+    # Texts meet the list of ids only where two filters of fixed size can't decide: one marks the ids that may go, the other those among them that may stay.
     doubtful = ids.filter("doc_id <> c or rows > 1")
     sent = docs.sparkSession.sparkContext.broadcast(presence(doubtful.select(F.col("doc_id").alias("node"))))
 
-    def part(marked: bool):
+    def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = np.unpackbits(sent.value).astype(bool)
+        for b in batches:
+            yield b.filter(pa.array(bits[slot_of(b.column("node").to_numpy())]))
+
+    staying = ids.filter("doc_id = c").select(F.col("doc_id").alias("node")).mapInArrow(marked, "node long")
+    again = docs.sparkSession.sparkContext.broadcast(presence(staying, 1))
+
+    def part(sure: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            bits = np.unpackbits(sent.value).astype(bool)
+            one, two = np.unpackbits(sent.value).astype(bool), np.unpackbits(again.value).astype(bool)
             for b in batches:
                 own = b.column(id_col).cast(pa.int64())
-                hit = bits[slot_of(own.fill_null(0).to_numpy())] & own.is_valid().to_numpy(zero_copy_only=False)
-                yield b.filter(pa.array(hit == marked))
+                known, own = own.is_valid().to_numpy(zero_copy_only=False), own.fill_null(0).to_numpy()
+                hit = known & one[slot_of(own)]
+                yield b.filter(pa.array(~hit if sure else hit & two[slot_of(own, 1)]))
 
         return docs.mapInArrow(run, docs.schema)
 
     once = ids.filter("doc_id = c").select(F.col("doc_id").alias("__keep"), F.col("rows").alias("__rows"))
-    some = part(True)
+    some = part(False)
     some = some.join(once, some[id_col] == F.col("__keep")).drop("__keep")
     if not ids.filter("rows > 1 and doc_id = c").isEmpty():
         others = [F.col(f"`{c}`") for c in docs.columns if c not in (id_col, text_col)]
         order = Window.partitionBy(id_col).orderBy(F.col(text_col).asc_nulls_last(), *[F.xxhash64(c) for c in others])
         twice = some.filter("__rows > 1").withColumn("__rank", F.row_number().over(order)).filter("__rank = 1").drop("__rank")
         some = some.filter("__rows = 1").unionByName(twice)
-    return part(False).unionByName(some.drop("__rows"))
+    return part(True).unionByName(some.drop("__rows"))
 
 
 ORACLE = r"""
