@@ -78,32 +78,28 @@ def with_cells(rows: DataFrame, pivots: np.ndarray) -> DataFrame:
 
 
 def cut(rows: DataFrame, size: int) -> DataFrame:
-    """at (number in order), ids, v (little-endian int64): runs of at most ``size`` rows in order of cell and id."""
-    ordered = rows.repartitionByRange("cell", "id").sortWithinPartitions("cell", "id").withColumn("p", F.spark_partition_id())
+    """at (number in order), ids, v (little-endian int64): runs of ``size`` rows in order of cell and id, whatever the number of partitions."""
+    placed = numbered(rows, ["cell", "id"], "i").select(F.floor(F.col("i") / size).alias("at"), "i", "id", "v")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, vs, n, held = [], [], 0, 0
+        last, ids, vs = None, [], []
 
-        def emit(p: int) -> pa.RecordBatch:
-            nonlocal ids, vs, held, n
-            i, v = np.concatenate(ids), np.concatenate(vs)
-            ids, vs, held, n = [i[size:]], [v[size:]], max(0, held - size), n + 1
-            return pa.RecordBatch.from_arrays([pa.array([p * (1 << 32) + n]), pa.array([i[:size].tobytes()], pa.binary()), pa.array([v[:size].tobytes()], pa.binary())], names=["o", "ids", "v"])
+        def emit() -> Iterator[pa.RecordBatch]:
+            if ids:
+                yield pa.RecordBatch.from_arrays([pa.array([last], pa.int64()), pa.array([np.concatenate(ids).tobytes()], pa.binary()), pa.array([np.concatenate(vs).tobytes()], pa.binary())], names=["at", "ids", "v"])
 
-        p = 0
         for b in batches:
-            if not b.num_rows:
-                continue
-            p = b.column("p")[0].as_py()
-            ids.append(b.column("id").to_numpy().astype(np.int64))
-            vs.append(listed(b.column("v")))
-            held += b.num_rows
-            while held >= size:
-                yield emit(p)
-        if held:
-            yield emit(p)
+            at = b.column("at").to_numpy()
+            for k in dict.fromkeys(at.tolist()):
+                own = b.filter(pa.array(at == k))
+                if k != last:
+                    yield from emit()
+                    last, ids, vs = k, [], []
+                ids.append(own.column("id").to_numpy().astype(np.int64))
+                vs.append(listed(own.column("v")))
+        yield from emit()
 
-    return numbered(store(ordered.select("p", "id", "v").mapInArrow(run, "o long, ids binary, v binary")), ["o"], "at").drop("o")
+    return placed.repartition("at").sortWithinPartitions("at", "i").select("at", "id", "v").mapInArrow(run, "at long, ids binary, v binary")
 
 
 def halved(v: np.ndarray, size: int) -> list[np.ndarray]:
@@ -228,7 +224,7 @@ def search(vectors: DataFrame, queries: Column | DataFrame, *, id_col: str = "ve
     asked = with_cells(quantised(queries, id_col, vec_col).filter(F.size("v") == width[0]), pivots) if isinstance(queries, DataFrame) else rows.filter(queries)
     asked = asked.groupBy("id").agg(F.min(F.struct("v", "cell")).alias("x")).select("id", "x.v", "x.cell")
     shards = store(cut(rows, shard))
-    asked = store(cut(asked, group).select(F.col("at").alias("q"), F.col("ids").alias("qids"), F.col("v").alias("qv")))
+    asked = store(cut(store(asked), group).select(F.col("at").alias("q"), F.col("ids").alias("qids"), F.col("v").alias("qv")))
     n, m = shards.count(), asked.count()
     if not m:
         return empty
