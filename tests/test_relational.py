@@ -63,7 +63,7 @@ def test_giant_bucket_positions(spark):
     assert giant.ring(b, 1, parts=3).filter("u = v").isEmpty()
 
 
-@pytest.mark.parametrize("variant,how", [("tree", {"batch": 3}), ("tree", {"sampler": "replacement", "pairing": "ring", "star": False}), ("depth", {"sampler": "minhashk", "fallback_start": True}), ("cut", {"sampler": "rotating", "root": "degree", "penalty": "linear", "min_gain": 2, "L": 1})])
+@pytest.mark.parametrize("variant,how", [("tree", {"batch": 3, "sampler": "rotating"}), ("depth", {"sampler": "minhashk", "fallback_start": True, "pairing": "ring"}), ("cut", {"sampler": "replacement", "root": "degree", "penalty": "linear", "min_gain": 2, "L": 1})])
 def test_tiers_give_the_same_defaults(spark, variant, how):
     """Two automata with the same state numbers, each by its own."""
     tables = {"a": random_table(12, 6, 3), "b": random_table(9, 6, 4)}
