@@ -53,8 +53,10 @@ PART, LONG = 4096, 1 << 20
 MEMBERS, VOLUME = 256, 1 << 20
 #: Buckets of lists for each shuffle partition; a task holds one bucket at a time.
 FINE = 24
+#: Bytes of text that are hashed at a time: their arrays take about 50 times that.
+TEXT_BYTES = 1 << 19
 #: Bytes of index entries that a task gathers before it sends them.
-GATHER = 16 << 20
+GATHER = 8 << 20
 _rng = np.random.default_rng(20240607)
 _BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
 _BASE = 0x9E3779B97F4A7C15
@@ -135,7 +137,7 @@ def frequency_levels(texts: DataFrame, width: int, percent: int) -> np.ndarray:
         n = np.zeros(SLOTS, np.int64)
         for b in batches:
             data, off = text_buffer(b.column("text"))
-            for i, j in chunks(off):
+            for i, j in chunks(off, TEXT_BYTES):
                 s, _ = shingles(data, off, i, j, width)
                 n += np.bincount((s[s <= top] & U(SLOTS - 1)).astype(np.int64), minlength=SLOTS)
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(SLICES)), pa.array([x.astype(np.uint32).tobytes() for x in np.minimum(n, 0xFFFFFFFF).reshape(SLICES, -1)], pa.binary())], names=["slice", "n"])
@@ -220,7 +222,7 @@ def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int)
         level = sent.value.astype(np.uint64)
         for b in batches:
             data, off = text_buffer(b.column("text"))
-            for i, j in chunks(off):
+            for i, j in chunks(off, TEXT_BYTES):
                 n, prints, sig, wide, keys = [], [], [], [], []
                 for s in sets(data, off, i, j, width):
                     n.append(len(s))
@@ -482,7 +484,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
             b = b.filter(b.column("doc_id").is_valid())
             b = b.filter(pa.array(bits[slot_of(b.column("doc_id").to_numpy())]))
             data, off = text_buffer(b.column("text"))
-            for i, j in chunks(off):
+            for i, j in chunks(off, TEXT_BYTES):
                 own = list(sets(data, off, i, j, width))
                 f1, f2 = zip(*map(fingerprints, own))
                 yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array([len(s) for s in own], pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array([s.tobytes() for s in own], pa.binary())], names=["doc", "n", "f1", "f2", "members"])
