@@ -13,13 +13,16 @@ descending order of the bounds; a query scores a block only if the bound reaches
 which rises as it goes.  Ties go to the lesser id, so a bound equal to the threshold is scored too.
 
 A task holds one shard while groups stream past it, and sends at most k rows per query, only
-those that reach the threshold.  Neither queries nor vectors are broadcast.
+those that reach the threshold.  Neither queries nor vectors are broadcast.  Vectors travel in
+two bytes a term where that holds them, and shards grow with the table (up to LARGEST rows), so
+that the queries are sent SHARDS times at most up to there.
 
 Cases: null vectors and vectors with null or non-finite components take no part, nor do null
-ids.  Vectors of different lengths have no inner product: only those of the commonest length
-take part (of equal counts the least length).  Rows that repeat an id are all candidates, and a
-query never returns its own id; of a query that repeats an id the first vector in order asks.
-Fewer than k candidates: all of them.  An empty table: none.
+ids.  Vectors of different lengths: only those of the commonest length take part (of equal
+counts the least length), or (``every``) all of them, terms that one lacks counting 0.  Rows
+that repeat an id are all candidates, and a query never returns its own id; of a query that
+repeats an id the first vector in order asks, or (``every``) each of them, for the k best of
+all.  Fewer than k candidates: all of them.  An empty table: none.
 """
 
 from __future__ import annotations
@@ -36,20 +39,40 @@ from .base import drop, store
 
 #: Vectors in the sample that gives the order.
 PIVOTS = 1024
+#: Shards that a table is cut into, while they hold between ``shard`` and LARGEST rows.
+SHARDS, LARGEST = 256, 1 << 17
 LOWEST = np.iinfo(np.int64).min
 FOUND = "query_id long, vec_id long, score long, scored long, pairs long"
 
 
-def quantised(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
+def quantised(vectors: DataFrame, id_col: str, vec_col: str, empty: bool = False) -> DataFrame:
     """id, v (floor(256 x), x as double) of the vectors that take part."""
     v = F.col("v")
     rows = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v")).filter("id is not null and v is not null")
-    rows = rows.filter(F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & (F.size(v) > 0))
+    rows = rows.filter(F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & (F.lit(empty) | (F.size(v) > 0)))
     return rows.select("id", F.transform(v, lambda x: F.floor(x * 256).cast("long")).alias("v"))
 
 
+def fitted(rows: DataFrame, width: int, every: bool) -> DataFrame:
+    """The rows of that length, or all of them, filled up with zeros or cut."""
+    if not every:
+        return rows.filter(F.size("v") == width)
+    return rows.withColumn("v", F.slice(F.concat("v", F.array_repeat(F.lit(0).cast("long"), width)), 1, width))
+
+
 def matrix(raw: bytes, rows: int) -> np.ndarray:
-    return np.frombuffer(raw, np.int64).reshape(rows, -1)
+    """Packed vectors: in two bytes a term, or in eight after a mark of one byte."""
+    raw = np.frombuffer(raw, np.uint8)
+    return raw[1:].view(np.int16 if raw[0] == 2 else np.int64).reshape(rows, -1) if rows else np.zeros((0, 0), np.int64)
+
+
+def packed(v: list[np.ndarray]) -> bytes:
+    narrow = all(x.dtype == np.int16 for x in v)
+    return bytes([2 if narrow else 8]) + b"".join(np.ascontiguousarray(x, np.int16 if narrow else np.int64).tobytes() for x in v)
+
+
+def narrowed(v: np.ndarray) -> np.ndarray:
+    return v.astype(np.int16) if v.max(initial=0) < 1 << 15 and v.min(initial=0) >= -(1 << 15) else v
 
 
 def listed(col: pa.Array) -> np.ndarray:
@@ -57,11 +80,11 @@ def listed(col: pa.Array) -> np.ndarray:
     return col.flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(len(col), -1)
 
 
-def product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Exact a @ b: in doubles while they hold every sum, else in integers."""
-    if float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * a.shape[1] < 2**52:
-        return (a.astype(np.float64) @ b.astype(np.float64)).astype(np.int64)
-    return a @ b
+def exact_type(a: np.ndarray, b: np.ndarray) -> type:
+    """The fastest type in which a @ b is exact: floats while they hold every sum, else integers."""
+    top = lambda x: max(abs(float(x.max(initial=0))), abs(float(x.min(initial=0))))
+    most = top(a) * top(b) * a.shape[1]
+    return np.float32 if most < 2**24 else np.float64 if most < 2**52 else np.int64
 
 
 def with_cells(rows: DataFrame, pivots: np.ndarray) -> DataFrame:
@@ -78,15 +101,15 @@ def with_cells(rows: DataFrame, pivots: np.ndarray) -> DataFrame:
 
 
 def cut(rows: DataFrame, size: int) -> DataFrame:
-    """at (number in order), ids, v (little-endian int64): runs of ``size`` rows in order of cell and id, whatever the number of partitions."""
-    placed = numbered(rows, ["cell", "id"], "i").select(F.floor(F.col("i") / size).alias("at"), "i", "id", "v")
+    """rows: numbered as i.  at (number in order), ids, v (packed): runs of ``size`` rows, whatever the number of partitions."""
+    placed = rows.select(F.expr(f"i div {size}").alias("at"), "i", "id", "v")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last, ids, vs = None, [], []
 
         def emit() -> Iterator[pa.RecordBatch]:
             if ids:
-                yield pa.RecordBatch.from_arrays([pa.array([last], pa.int64()), pa.array([np.concatenate(ids).tobytes()], pa.binary()), pa.array([np.concatenate(vs).tobytes()], pa.binary())], names=["at", "ids", "v"])
+                yield pa.RecordBatch.from_arrays([pa.array([last], pa.int64()), pa.array([np.concatenate(ids).tobytes()], pa.binary()), pa.array([packed(vs)], pa.binary())], names=["at", "ids", "v"])
 
         for b in batches:
             at = b.column("at").to_numpy()
@@ -96,7 +119,7 @@ def cut(rows: DataFrame, size: int) -> DataFrame:
                     yield from emit()
                     last, ids, vs = k, [], []
                 ids.append(own.column("id").to_numpy().astype(np.int64))
-                vs.append(listed(own.column("v")))
+                vs.append(narrowed(listed(own.column("v"))))
         yield from emit()
 
     return placed.repartition("at").sortWithinPartitions("at", "i").select("at", "id", "v").mapInArrow(run, "at long, ids binary, v binary")
@@ -110,8 +133,8 @@ def halved(v: np.ndarray, size: int) -> list[np.ndarray]:
         if len(rows) <= size:
             out.append(rows)
             continue
-        own = v[rows]
-        rows = rows[np.argsort(own[:, int(own.std(0).argmax())], kind="stable")]
+        term = int(v[rows[:: -(-len(rows) // 4096)]].std(0).argmax())
+        rows = rows[np.argsort(v[rows, term], kind="stable")]
         todo += [rows[: len(rows) // 2], rows[len(rows) // 2 :]]
     return out
 
@@ -120,25 +143,33 @@ class Shard:
     """The blocks of a shard: forward indexes, and greatest and least values by term."""
 
     def __init__(self, ids: np.ndarray, v: np.ndarray, block: int):
-        parts = halved(v, block)
+        parts, self.type, self.terms = halved(v, block), None, []
         self.ids, self.v = [ids[p] for p in parts], [v[p] for p in parts]
         self.hi, self.lo = np.stack([x.max(0) for x in self.v]), np.stack([x.min(0) for x in self.v])
 
     def search(self, qids: np.ndarray, q: np.ndarray, cut: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
         """Query numbers, ids and scores of at most k rows per query that reach the thresholds; pairs of query and block scored."""
-        bound = product(np.maximum(q, 0), self.hi.T) + product(np.minimum(q, 0), self.lo.T)
-        cut, scored = cut.copy(), 0
+        t = exact_type(q, np.stack([self.hi, self.lo]))  # blocks lie between these
+        if t is not self.type:
+            self.type, self.terms = t, [np.ascontiguousarray(x.T, t) for x in self.v]
+        exact = np.float64 if t is np.float32 else t  # a bound is a sum of two
+        bound = (np.maximum(q, 0).astype(exact) @ self.hi.T.astype(exact) + np.minimum(q, 0).astype(exact) @ self.lo.T.astype(exact)).astype(np.int64)
+        cut, scored, q = cut.copy(), 0, q.astype(t)
         who, ids, score = (np.zeros(0, np.int64) for _ in range(3))
         for b in np.argsort(-bound.max(0), kind="stable"):
             rows = np.flatnonzero(bound[:, b] >= cut)
             if not len(rows):
                 continue
             scored += len(rows)
-            s = product(q[rows], self.v[b].T)
-            r, c = np.nonzero((s >= cut[rows, None]) & (self.ids[b][None, :] != qids[rows, None]))
+            s = (q if len(rows) == len(q) else q[rows]) @ self.terms[b]
+            least = cut[rows]
+            r, c = np.nonzero(s >= (least if t is np.int64 else np.maximum(least, -(1 << 53)).astype(t))[:, None])
+            other = self.ids[b][c] != qids[rows[r]]
+            r, c = r[other], c[other]
             if not len(r):
                 continue
-            who, ids, score = np.concatenate([who, rows[r]]), np.concatenate([ids, self.ids[b][c]]), np.concatenate([score, s[r, c]])
+            new = s[r, c].astype(np.int64)
+            who, ids, score = np.concatenate([who, rows[r]]), np.concatenate([ids, self.ids[b][c]]), np.concatenate([score, new])
             order = np.lexsort((ids, -score, who))
             who, ids, score = who[order], ids[order], score[order]
             first = np.concatenate([[True], who[1:] != who[:-1]])
@@ -160,14 +191,17 @@ def meet(groups: DataFrame, shards: DataFrame, k: int, block: int) -> DataFrame:
     rest = groups.select("at", F.lit(1).alias("kind"), F.col("qids").alias("ids"), F.col("qv").alias("v"), "cut")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shard, n = None, 0
+        shard, held = None, None
         for b in batches:
-            for kind, ids, v, cuts in zip(*(b.column(c) for c in ("kind", "ids", "v", "cut"))):
+            for at, kind, ids, v, cuts in zip(*(b.column(c) for c in ("at", "kind", "ids", "v", "cut"))):
                 ids = np.frombuffer(ids.as_buffer(), np.int64)
                 v = matrix(v.as_buffer(), len(ids))
                 if not kind.as_py():
-                    shard, n = Shard(ids, v, block), 0
+                    shard, held = None, None  # before the next takes its place in memory
+                    shard, held = Shard(ids, v, block), at.as_py()
                     continue
+                if at.as_py() != held:
+                    raise RuntimeError(f"shard {at} of a group is missing")
                 who, found, score, scored = shard.search(ids, v, np.frombuffer(cuts.as_buffer(), np.int64), k)
                 pad = lambda x, y: pa.array(np.append(x, y), mask=np.append(np.zeros(len(x), bool), True))
                 yield pa.RecordBatch.from_arrays(
@@ -208,23 +242,27 @@ def thresholds(asked: DataFrame, top: DataFrame | None, k: int) -> DataFrame:
     return asked.join(known, "q", "left").select("q", "qids", "qv", "cuts").mapInArrow(packed, schema)
 
 
-def search(vectors: DataFrame, queries: Column | DataFrame, *, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5, block: int = 64, shard: int = 4096, group: int = 512, report: bool = False) -> DataFrame:
+def search(vectors: DataFrame, queries: Column | DataFrame, *, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5, block: int = 64, shard: int = 4096, group: int = 512, every: bool = False, report: bool = False) -> DataFrame:
     """query_id, rank, vec_id, score.  queries: a condition on id ``id``, or a table like the vectors.
 
     report: instead, by ring, the pairs of query and block, and those that were scored."""
     spark = vectors.sparkSession
-    rows = quantised(vectors, id_col, vec_col)
+    rows = quantised(vectors, id_col, vec_col, every)
     empty = spark.createDataFrame([], "ring int, pairs long, scored long" if report else "query_id long, rank int, vec_id long, score long")
-    width = rows.groupBy(F.size("v").alias("w")).count().orderBy(F.desc("count"), "w").first()
-    if width is None:
+    widths = rows.groupBy(F.size("v").alias("w")).count()
+    first = widths.orderBy(*([F.desc("w")] if every else [F.desc("count"), "w"])).first()
+    if first is None:
         return empty
-    rows = rows.filter(F.size("v") == width[0])
+    width = max(1, first[0])
+    rows = fitted(rows, width, every)
     pivots = np.array([r[0] for r in rows.orderBy(F.xxhash64("id"), "id", "v").limit(PIVOTS).select("v").collect()], np.float64)  # PIVOTS vectors
-    rows = store(with_cells(rows, pivots))
-    asked = with_cells(quantised(queries, id_col, vec_col).filter(F.size("v") == width[0]), pivots) if isinstance(queries, DataFrame) else rows.filter(queries)
-    asked = asked.groupBy("id").agg(F.min(F.struct("v", "cell")).alias("x")).select("id", "x.v", "x.cell")
+    rows = numbered(with_cells(rows, pivots), ["cell", "id"], "i")
+    asked = with_cells(fitted(quantised(queries, id_col, vec_col, every), width, every), pivots) if isinstance(queries, DataFrame) else rows.filter(queries).select("id", "v", "cell")
+    if not every:
+        asked = asked.groupBy("id").agg(F.min(F.struct("v", "cell")).alias("x")).select("id", "x.v", "x.cell")
+    shard = max(shard, min(LARGEST, rows.count() // SHARDS))
     shards = store(cut(rows, shard))
-    asked = store(cut(store(asked), group).select(F.col("at").alias("q"), F.col("ids").alias("qids"), F.col("v").alias("qv")))
+    asked = store(cut(numbered(asked, ["cell", "id"], "i"), group).select(F.col("at").alias("q"), F.col("ids").alias("qids"), F.col("v").alias("qv")))
     n, m = shards.count(), asked.count()
     if not m:
         return empty
@@ -235,11 +273,14 @@ def search(vectors: DataFrame, queries: Column | DataFrame, *, id_col: str = "ve
         out = F.filter(near, lambda x: F.abs(x - home) >= lo)
         ring = thresholds(asked, top, k).withColumn("at", F.explode(out))
         found = store(meet(ring, shards, k, block))
-        rings.append(found.groupBy(F.lit(len(rings)).alias("ring")).agg(F.sum("pairs").alias("pairs"), F.sum("scored").alias("scored")))
-        found = found.filter("query_id is not null").select("query_id", "vec_id", "score")
-        old, top = top, store(best(found if top is None else top.unionByName(found), k).select("query_id", "vec_id", "score"))
+        if report:
+            rings.append(found.groupBy(F.lit(len(rings)).alias("ring")).agg(F.sum("pairs").alias("pairs"), F.sum("scored").alias("scored")))
+        new = found.filter("query_id is not null").select("query_id", "vec_id", "score")
+        old, top = top, store(best(new if top is None else top.unionByName(new), k).select("query_id", "vec_id", "score"))
         if old is not None:
             drop(old)
+        if not report:
+            drop(found)
         lo, hi = hi + 1, 4 * hi + 4
     if report:
         out = rings[0]
