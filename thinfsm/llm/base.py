@@ -7,7 +7,9 @@ absent (tests) a temporary folder is made.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import gc
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -17,8 +19,8 @@ from pyspark.sql import functions as F
 
 from ..scratch import drop, store  # noqa: F401
 
-#: Bytes of text that a kernel works on at a time; bounds its arrays whatever the batch holds.
-CHUNK_BYTES = 1 << 21
+#: Bytes of text and rows that a kernel works on at a time; they bound its arrays whatever the batch holds.
+CHUNK_BYTES, CHUNK_ROWS = 1 << 20, 512
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -40,11 +42,25 @@ def text_buffer(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return (np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)), off
 
 
-def chunks(off: np.ndarray, most: int = CHUNK_BYTES) -> Iterator[tuple[int, int]]:
-    """Runs of rows of about ``most`` bytes; a longer row is a run of its own."""
+def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """run, and at the end of its task the free memory goes back: workers stay, beside an executor that has its own."""
+
+    def out(batches: Iterator) -> Iterator:
+        yield from run(batches)
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc
+        if trim:
+            trim(0)
+
+    return out
+
+
+def chunks(off: np.ndarray, most: int = CHUNK_BYTES, rows: int = CHUNK_ROWS) -> Iterator[tuple[int, int]]:
+    """Runs of at most ``rows`` rows of about ``most`` bytes; a longer row is a run of its own."""
     i, n = 0, len(off) - 1
     while i < n:
-        j = max(i + 1, int(np.searchsorted(off, off[i] + most, side="right")) - 1)
+        j = max(i + 1, min(i + rows, int(np.searchsorted(off, off[i] + most, side="right")) - 1))
         yield i, j
         i = j
 

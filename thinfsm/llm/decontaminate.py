@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import WORD_BYTES, chunks, rows_of, store, text_buffer
+from .base import WORD_BYTES, chunks, lean, rows_of, store, text_buffer
 
 SCHEMA = "doc_id long, n_words long, hits array<int>, items array<string>, spans array<struct<start:int,end:int>>"
 
@@ -122,7 +122,7 @@ def find_leaks(docs: DataFrame, bench: DataFrame, *, id_col: str = "doc_id", tex
                         names=["doc_id", "n_words", "hits", "items", "spans"],
                     )
 
-        return source.mapInArrow(run, SCHEMA)
+        return source.mapInArrow(lean(run), SCHEMA)
 
     groups = groups_of(bench, item_col, item_text_col, width, group_bytes)
     first = next(groups, {})
@@ -142,7 +142,7 @@ def find_leaks(docs: DataFrame, bench: DataFrame, *, id_col: str = "doc_id", tex
             spans = [hit_spans(t.encode(), np.array(h)) for t, h in zip(b.column("text").to_pylist(), b.column("hits").to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column(c) for c in ("__row", "hits", "items")] + [pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))], names=["__row", "hits", "items", "spans"])
 
-    merged = docs.select("__row", "text").join(merged, "__row").select("__row", "text", "hits", "items").mapInArrow(spanned, "__row long, hits array<int>, items array<string>, spans array<struct<start:int,end:int>>")
+    merged = docs.select("__row", "text").join(merged, "__row").select("__row", "text", "hits", "items").mapInArrow(lean(spanned), "__row long, hits array<int>, items array<string>, spans array<struct<start:int,end:int>>")
     words = scanned({}, docs.select(F.col("__row").alias("doc_id"), "text")).select(F.col("doc_id").alias("__row"), "n_words")
     none = lambda c, kind: F.coalesce(F.col(c), F.array().cast(kind)).alias(c)
     return docs.select("__row", "doc_id").join(words, "__row").join(merged, "__row", "left").select("doc_id", "n_words", none("hits", "array<int>"), none("items", "array<string>"), none("spans", "array<struct<start:int,end:int>>"))
@@ -172,7 +172,7 @@ def remove_contaminated(docs: DataFrame, bench: DataFrame, *, id_col: str = "doc
                 clean = [next(a.iter(f" {normal(t).decode('latin-1')} "), None) is None for i, j in chunks(off) for t in rows_of(data, off, i, j)]
                 yield b.filter(pa.array(clean, pa.bool_()))
 
-        out = out.mapInArrow(run, docs.schema)
+        out = out.mapInArrow(lean(run), docs.schema)
     return out
 
 

@@ -25,7 +25,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import chunks, fold_of, rows_of, sample_ids, text_buffer, trigram_counts, unit_roots
+from .base import chunks, fold_of, lean, rows_of, sample_ids, text_buffer, trigram_counts, unit_roots
 
 UNKNOWN = "und"
 _LETTER = regex.compile(r"\p{L}")
@@ -99,7 +99,7 @@ def features_of(docs: DataFrame, ids: DataFrame, dims: int) -> tuple[list, np.nd
                 at = [np.flatnonzero(r) for r in x]
                 yield pa.RecordBatch.from_arrays([b.column("__label").slice(i, j - i), pa.array([a.astype(np.int16).tobytes() for a in at], pa.binary()), pa.array([r[a].astype(np.float16).tobytes() for r, a in zip(x, at)], pa.binary())], names=["label", "at", "x"])
 
-    got = rows.mapInArrow(run, "label string, at binary, x binary").collect()
+    got = rows.mapInArrow(lean(run), "label string, at binary, x binary").collect()
     got.sort(key=lambda r: (r[0], bytes(r[1]), bytes(r[2])))
     x = np.zeros((len(got), dims), np.float32)
     for k, r in enumerate(got):
@@ -147,7 +147,7 @@ def predict(docs: DataFrame, model: Model, *, id_col: str = "doc_id", text_col:
                     names=[*(c for c in b.schema.names if c != "__text"), "lang_pred", "score", "ambiguous"],
                 )
 
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(lean(run), schema)
 
 
 def identify(docs: DataFrame, *, id_col: str = "doc_id", folds: int = 4, held: int = 2, **how) -> DataFrame:

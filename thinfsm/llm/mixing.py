@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .base import chunks, drop, rows_of, sample_ids, store, text_buffer, trigram_counts, unit_roots
+from .base import chunks, drop, lean, rows_of, sample_ids, store, text_buffer, trigram_counts, unit_roots
 from .quality import N_FEATURES, features
 
 RESULT = ("n_tokens", "posteriors", "domain", "rate")
@@ -101,7 +101,7 @@ def train(docs: DataFrame, labelled: DataFrame, *, id_col: str = "doc_id", text_
                 x = inputs(data, off, i, j, dims)
                 yield pa.RecordBatch.from_arrays([b.column("id").slice(i, j - i), b.column("__label").slice(i, j - i), pa.array([r.astype(np.float16).tobytes() for r in x], pa.binary())], names=["id", "label", "x"])
 
-    got = sorted(rows.mapInArrow(run, "id long, label string, x binary").collect(), key=lambda r: (r[0], r[1], bytes(r[2])))
+    got = sorted(rows.mapInArrow(lean(run), "id long, label string, x binary").collect(), key=lambda r: (r[0], r[1], bytes(r[2])))
     width = dims + N_FEATURES
     x = np.array([np.frombuffer(r[2], np.float16) for r in got], np.float32).reshape(len(got), width)
     names = sorted({r[1] for r in got}) or ["all"]
@@ -158,7 +158,7 @@ def fit_rates(members: DataFrame, target: np.ndarray, *, ridge: float = 0.003, r
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(2 * k)), pa.array(m)], names=["d", "m"])
 
         # Added up as decimals, so the sum doesn't depend on the order of the tasks.
-        parts = members.mapInArrow(run, "d long, m double").groupBy("d").agg(F.sum(F.col("m").cast("decimal(38,24)")).cast("double").alias("m"))
+        parts = members.mapInArrow(lean(run), "d long, m double").groupBy("d").agg(F.sum(F.col("m").cast("decimal(38,24)")).cast("double").alias("m"))
         m = np.zeros(2 * k)
         for d, x in parts.collect():  # two numbers for each domain
             m[d] = x
@@ -204,9 +204,9 @@ def mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float], *, id_c
 
         return go
 
-    members = store(rows.select("__text").mapInArrow(run(None), "n long, p array<double>"))
+    members = store(rows.select("__text").mapInArrow(lean(run(None)), "n long, p array<double>"))
     rates = fit_rates(members, target, **how)
     drop(members)
     schema = rows.drop("__text").schema.add("n_tokens", "long").add("posteriors", T.ArrayType(T.DoubleType())).add("domain", "string").add("rate", "double")
-    out = rows.mapInArrow(run(rates), schema)
+    out = rows.mapInArrow(lean(run(rates)), schema)
     return out.select(*[F.col(f"__k{i}").alias(c) for i, c in enumerate(keep)], *RESULT)

@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .base import LOWER_BYTES, chunks, drop, store, text_buffer
+from .base import LOWER_BYTES, chunks, drop, lean, store, text_buffer
 
 U = np.uint64
 SLOTS, SLICES = 1 << 20, 64
@@ -54,9 +54,9 @@ MEMBERS, VOLUME = 256, 1 << 20
 #: Buckets of lists for each shuffle partition; a task holds one bucket at a time.
 FINE = 24
 #: Bytes of text that are hashed at a time: their arrays take about 50 times that.
-TEXT_BYTES = 1 << 19
+TEXT_BYTES = 1 << 18
 #: Bytes of index entries that a task gathers before it sends them.
-GATHER = 8 << 20
+GATHER = 4 << 20
 _rng = np.random.default_rng(20240607)
 _BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
 _BASE = 0x9E3779B97F4A7C15
@@ -149,7 +149,7 @@ def frequency_levels(texts: DataFrame, width: int, percent: int) -> np.ndarray:
                 own[k] = own.get(k, 0) + np.frombuffer(x.as_buffer(), np.uint32).astype(np.uint64)
         yield pa.RecordBatch.from_arrays([pa.array(list(own), pa.int64()), pa.array([x.tobytes() for x in own.values()], pa.binary())], names=["slice", "n"])
 
-    parts = texts.mapInArrow(count, "slice long, n binary").repartition("slice").mapInArrow(add, "slice long, n binary").collect()  # SLOTS numbers
+    parts = texts.mapInArrow(lean(count), "slice long, n binary").repartition("slice").mapInArrow(lean(add), "slice long, n binary").collect()  # SLOTS numbers
     n = np.zeros((SLICES, SLOTS // SLICES))
     for k, x in parts:
         n[k] += np.frombuffer(x, np.uint64)
@@ -236,7 +236,7 @@ def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int)
                 f1, f2 = zip(*prints)
                 yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), *(pa.array(x, pa.binary()) for x in (sig, wide, keys))], names=["doc_id", "n", "f1", "f2", "sig", "wide", "keys"])
 
-    return docs.mapInArrow(run, ENTRY)
+    return docs.mapInArrow(lean(run), ENTRY)
 
 
 def exploded(b: pa.RecordBatch) -> Iterator[np.ndarray]:
@@ -245,7 +245,7 @@ def exploded(b: pa.RecordBatch) -> Iterator[np.ndarray]:
     keys, off = bytes_of(b.column("keys"))
     sig, _ = bytes_of(b.column("sig"))
     sig = sig.view(np.uint64).reshape(-1, BITS)
-    for i, j in chunks(off, GATHER * 6 // ITEM.itemsize):
+    for i, j in chunks(off, GATHER * 6 // ITEM.itemsize, len(off)):
         count = np.diff(off[i : j + 1]) // 6
         out = np.empty(int(count.sum()), ITEM)
         out["list"] = unsix(keys[off[i] : off[j]].reshape(-1, 6))
@@ -269,7 +269,7 @@ def long_lists(nodes: DataFrame, least: int = PART // 64) -> tuple[np.ndarray, n
         key, n = np.unique(np.concatenate(own), return_counts=True) if own else (np.zeros(0, np.uint64), np.zeros(0, int))
         yield pa.RecordBatch.from_arrays([pa.array(key[n >= least].view(np.int64)), pa.array(n[n >= least], pa.int64())], names=["key", "n"])
 
-    found = nodes.select("keys").mapInArrow(count, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).filter(F.col("n") > PART).orderBy(F.desc("n"), "key").limit(LONG).toPandas()  # LONG rows at most
+    found = nodes.select("keys").mapInArrow(lean(count), "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).filter(F.col("n") > PART).orderBy(F.desc("n"), "key").limit(LONG).toPandas()  # LONG rows at most
     key, parts = found["key"].to_numpy(np.int64).view(np.uint64), -(-found["n"].to_numpy(np.int64) // PART)
     rank = np.argsort(key)
     return key[rank], parts[rank]
@@ -296,7 +296,7 @@ class Lists:
     """Pairs of index lists that may link: (a, b, strong)."""
 
     def __init__(self, percent: int):
-        self.percent, self.seen = percent, set()
+        self.percent, self.seen = percent, np.zeros((0, 3), np.int64)
 
     def apart(self, e: np.ndarray, i, j) -> np.ndarray:
         """Bits in which the signatures of entries i and j (arrays) differ; -1 if sizes, positions or these bits exclude a link."""
@@ -374,10 +374,20 @@ class Lists:
             out += self.large(e[first[k] : end[k]])
         p = np.concatenate([np.stack([np.minimum(a, b), np.maximum(a, b), s], 1) for a, b, s in out]) if out else np.zeros((0, 3), np.int64)
         p = np.unique(p[p[:, 0] != p[:, 1]], axis=0)
-        fresh = [x for x in map(tuple, p.tolist()) if x not in self.seen]
+        fresh = p[~rows_in(p, self.seen)]
         if len(self.seen) < 500_000:  # only saves repeats
-            self.seen.update(fresh)
-        return np.array(fresh, np.int64).reshape(-1, 3)
+            self.seen = np.unique(np.concatenate([self.seen, fresh]), axis=0)
+        return fresh
+
+
+def rows_in(p: np.ndarray, seen: np.ndarray) -> np.ndarray:
+    """Which rows of p are rows of seen; both are sorted and hold none twice."""
+    both = np.concatenate([seen, p])
+    order = np.lexsort(both.T[::-1])
+    same = (both[order[1:]] == both[order[:-1]]).all(1)
+    hit = np.zeros(len(both), bool)
+    hit[order[1:][same]] = True  # the sort is stable: a row of p comes second
+    return hit[len(seen) :]
 
 
 def candidates(nodes: DataFrame, percent: int) -> DataFrame:
@@ -423,8 +433,8 @@ def candidates(nodes: DataFrame, percent: int) -> DataFrame:
                 own.append(np.frombuffer(x.as_buffer(), WIRE))
         yield from found()
 
-    packed = nodes.select("node", "n", "sig", "keys").mapInArrow(pack, "bucket long, entries binary").repartition("bucket").sortWithinPartitions("bucket")
-    return packed.mapInArrow(search, "a long, b long, strong boolean").distinct()
+    packed = nodes.select("node", "n", "sig", "keys").mapInArrow(lean(pack), "bucket long, entries binary").repartition("bucket").sortWithinPartitions("bucket")
+    return packed.mapInArrow(lean(search), "a long, b long, strong boolean").distinct()
 
 
 def sharpened(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
@@ -443,7 +453,7 @@ def sharpened(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
             yield b.select(["a", "b"]).filter(pa.array(keep))
 
     both = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left").select("a", "b", "na", "nb", "wa", "wb")
-    return both.mapInArrow(run, "a long, b long")
+    return both.mapInArrow(lean(run), "a long, b long")
 
 
 def presence(nodes: DataFrame, salt: int = 0) -> np.ndarray:
@@ -463,7 +473,7 @@ def presence(nodes: DataFrame, salt: int = 0) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(list(own), pa.int64()), pa.array([x.tobytes() for x in own.values()], pa.binary())], names=["slice", "bits"])
 
     bits = np.zeros((SLICES, MARKS // SLICES // 8), np.uint8)
-    for k, x in nodes.mapInArrow(mark, "slice long, bits binary").repartition("slice").mapInArrow(merge, "slice long, bits binary").collect():  # MARKS bits
+    for k, x in nodes.mapInArrow(lean(mark), "slice long, bits binary").repartition("slice").mapInArrow(lean(merge), "slice long, bits binary").collect():  # MARKS bits
         bits[k] |= np.frombuffer(x, np.uint8)
     return bits.reshape(-1)
 
@@ -489,7 +499,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
                 f1, f2 = zip(*map(fingerprints, own))
                 yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(i, j - i), pa.array([len(s) for s in own], pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array([s.tobytes() for s in own], pa.binary())], names=["doc", "n", "f1", "f2", "members"])
 
-    few = docs.mapInArrow(run, "doc long, n long, f1 long, f2 long, members binary")
+    few = docs.mapInArrow(lean(run), "doc long, n long, f1 long, f2 long, members binary")
     return few.join(wanted, ["doc", "n", "f1", "f2"])
 
 
@@ -584,7 +594,7 @@ def links_within(families: DataFrame, docs: DataFrame, width: int, percent: int)
                 rows = []
         yield from sent(rows + found())
 
-    return store(each.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j").mapInArrow(run, "a long, b long, links long"))
+    return store(each.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j").mapInArrow(lean(run), "a long, b long, links long"))
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
@@ -657,7 +667,7 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
         for b in batches:
             yield b.filter(pa.array(bits[slot_of(b.column("node").to_numpy())]))
 
-    staying = ids.filter("doc_id = c").select(F.col("doc_id").alias("node")).mapInArrow(marked, "node long")
+    staying = ids.filter("doc_id = c").select(F.col("doc_id").alias("node")).mapInArrow(lean(marked), "node long")
     again = docs.sparkSession.sparkContext.broadcast(presence(staying, 1))
 
     def part(sure: bool):
@@ -669,7 +679,7 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
                 hit = known & one[slot_of(own)]
                 yield b.filter(pa.array(~hit if sure else hit & two[slot_of(own, 1)]))
 
-        return docs.mapInArrow(run, docs.schema)
+        return docs.mapInArrow(lean(run), docs.schema)
 
     once = ids.filter("doc_id = c").select(F.col("doc_id").alias("__keep"), F.col("rows").alias("__rows"))
     some = part(False)

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import LETTER_BYTES, chunks, fold_of, rows_of, text_buffer
+from .base import LETTER_BYTES, chunks, fold_of, lean, rows_of, text_buffer
 from .quality import labelled
 
 
@@ -137,7 +137,7 @@ def choose_terms(rows: DataFrame, risk: float) -> tuple[dict[bytes, int], int, i
     n1, n0 = size.get(1, 0), size.get(0, 0)
     if not n1 or not n0:
         return {}, n1, n0
-    found = rows.mapInArrow(run, "term binary, label int, n long").groupBy("term").agg(*[F.sum(F.when(F.col("label") == y, F.col("n")).otherwise(0)).cast("double").alias(c) for c, y in (("a", 1), ("b", 0))])
+    found = rows.mapInArrow(lean(run), "term binary, label int, n long").groupBy("term").agg(*[F.sum(F.when(F.col("label") == y, F.col("n")).otherwise(0)).cast("double").alias(c) for c, y in (("a", 1), ("b", 0))])
     found = found.persist()
     p, n = n1 / (n1 + n0), F.col("a") + F.col("b")
     part = lambda x, share: F.when(x > 0, x * F.log(x / (n * share))).otherwise(0.0)
@@ -168,7 +168,7 @@ def corpus_frequencies(docs: DataFrame, terms: dict[bytes, int]) -> tuple[np.nda
                         df[t] += 1
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, len(df))), pa.array(np.concatenate([[n], df]))], names=["t", "n"])
 
-    got = {r[0]: r[1] for r in docs.select("text").mapInArrow(run, "t long, n long").groupBy("t").agg(F.sum("n")).collect()}
+    got = {r[0]: r[1] for r in docs.select("text").mapInArrow(lean(run), "t long, n long").groupBy("t").agg(F.sum("n")).collect()}
     return np.array([got.get(t, 0) for t in range(len(terms))], float), int(got.get(-1, 0))
 
 
@@ -189,7 +189,7 @@ def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_co
                 got = [term_counts(raw, chosen) for raw in rows_of(data, off, i, j)]
                 yield pa.RecordBatch.from_arrays([b.column("id").slice(i, j - i), b.column("label").slice(i, j - i), pa.array([list(g) for g in got], pa.list_(pa.int32())), pa.array([list(g.values()) for g in got], pa.list_(pa.int32()))], names=["id", "label", "t", "n"])
 
-    got = sorted(rows.mapInArrow(run, "id long, label int, t array<int>, n array<int>").collect())
+    got = sorted(rows.mapInArrow(lean(run), "id long, label int, t array<int>, n array<int>").collect())
     rows.unpersist()
     empty = [r[1] for r in got if not r[2]]
     own = [(r[0], r[1], Counter(dict(zip(r[2], r[3])))) for r in got if r[2]]
@@ -228,7 +228,7 @@ def score(docs: DataFrame, model: Model, *, id_col: str = "doc_id", text_col: st
                     names=["doc_id", "score", "vote", "evidence"],
                 )
 
-    return rows.mapInArrow(run, "doc_id long, score double, vote double, evidence array<struct<doc_id:bigint,cosine:double,toxic:int>>")
+    return rows.mapInArrow(lean(run), "doc_id long, score double, vote double, evidence array<struct<doc_id:bigint,cosine:double,toxic:int>>")
 
 
 def detect(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", folds: int = 5, held: int = 0, decision: float = 0.5, **how) -> DataFrame:
