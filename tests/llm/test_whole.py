@@ -1,13 +1,14 @@
 """Cases in which the training-data operators once did less than the whole job."""
 
 import random
+import zlib
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from test_operators import docs
-from thinfsm.llm import pii, queries, quotes, setjoin, topk
+from thinfsm.llm import pii, quality, queries, quotes, setjoin, topk
 from thinfsm.llm.base import chunks
 from thinfsm.model import numbered
 
@@ -126,3 +127,21 @@ def test_pairs_come_once():
     known = set(map(tuple, seen.tolist()))
     assert setjoin.rows_in(p, seen).tolist() == [tuple(x) in known for x in p.tolist()]
     assert not setjoin.rows_in(p, seen[:0]).any() and not len(setjoin.rows_in(p[:0], seen))
+
+
+def test_quality_learns_from_every_labelled_row(spark):
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(9000, quality.N_FEATURES))
+    y = (x[:, 0] + 0.3 * rng.normal(size=9000) > 2).astype(int)  # the good ones are rare
+    feats = spark.createDataFrame([(i, r.tobytes()) for i, r in enumerate(x)], "doc_id long, x binary")
+    lab = spark.createDataFrame([(i, int(v)) for i, v in enumerate(y)], "doc_id long, quality int")
+    bins = quality.binned(feats, lab)
+    own = np.array([zlib.crc32(str(i).encode()) % 5 != 0 for i in range(9000)])
+    n = quality.passed(bins, lambda x, y, once: np.array([once.sum(), y[once].sum(), len(y) > y.sum() > 0, 1], float))
+    assert n[0] == own.sum() and n[1] == y[own].sum() and n[2] == n[3] > 10
+    m = quality.fit(bins, decision=0.3)
+    assert np.allclose(m.mean, x[own].mean(0)) and np.allclose(m.scale, x[own].std(0))
+    low = np.sort(m.latent(x[own]))
+    k = (y[own] == 0).sum()
+    assert np.isclose(m.cut, (low[k - 1] + low[k]) / 2, rtol=0, atol=1e-9)
+    assert ((m.score(x) >= 0.3) == y)[~own].mean() > 0.97
