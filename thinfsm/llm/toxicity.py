@@ -56,15 +56,17 @@ class Index:
 
     ids: np.ndarray
     labels: np.ndarray
-    vectors: list[tuple[np.ndarray, np.ndarray]]  # terms and weights of each example
-    terms: int
+    vectors: list[tuple[np.ndarray, np.ndarray]] | np.ndarray  # terms and weights of each example, or a matrix of terms x examples
     block: int
+    terms: int = 0
     owner: np.ndarray = field(init=False)  # examples, by term and number
     weight: np.ndarray = field(init=False)
     cut: np.ndarray = field(init=False)  # terms x (ranges + 1): where a term's postings of a range begin
     most: np.ndarray = field(init=False)  # terms x ranges
 
     def __post_init__(self):
+        if isinstance(self.vectors, np.ndarray):
+            self.terms, self.vectors = len(self.vectors), [(np.flatnonzero(w), w[np.flatnonzero(w)]) for w in self.vectors.T]
         term = np.concatenate([np.zeros(0, int), *(t for t, _ in self.vectors)])
         owner = np.repeat(np.arange(len(self.vectors)), [len(t) for t, _ in self.vectors])
         weight = np.concatenate([np.zeros(0), *(w for _, w in self.vectors)])
@@ -183,7 +185,7 @@ def corpus_frequencies(docs: DataFrame, terms: dict[bytes, int]) -> tuple[np.nda
 def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", folds: int = 5, held: int = 0, sample_rows: int = 4000, risk: float = 0.05, k: int = 15, block: int = 64) -> Model:
     rows = labelled(docs, labels, id_col=id_col, text_col=text_col, label_col=label_col, folds=folds, held=held, sample_rows=sample_rows).persist()
     chosen, n1, n0 = choose_terms(rows, risk)
-    none = Index(np.zeros(0, int), np.zeros(0), [], len(chosen), block)
+    none = Index(np.zeros(0, int), np.zeros(0), [], block, len(chosen))
     if not chosen:
         rows.unpersist()
         return Model({}, np.zeros(0), none, k, n1 / (n1 + n0) if n1 + n0 else 0.5)
@@ -202,7 +204,7 @@ def train(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_co
     empty = [r[1] for r in got if not r[2]]
     own = [(r[0], r[1], Counter(dict(zip(r[2], r[3])))) for r in got if r[2]]
     model = Model(chosen, idf, none, k, (sum(empty) + 0.5 * n1 / (n1 + n0)) / (len(empty) + 0.5))
-    model.index = Index(np.array([o[0] for o in own], np.int64), np.array([o[1] for o in own], float), [model.vector(c) for _, _, c in own], len(chosen), block)
+    model.index = Index(np.array([o[0] for o in own], np.int64), np.array([o[1] for o in own], float), [model.vector(c) for _, _, c in own], block, len(chosen))
     votes = [(model.vote(c, e)[0], y) for e, (_, y, c) in enumerate(own)]
     v = np.array([[x, y] for x, y in votes if x is not None]).reshape(-1, 2)
     model.a, model.b = calibrate(v[:, 0], v[:, 1])
