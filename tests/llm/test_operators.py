@@ -104,6 +104,30 @@ def test_set_join_in_parts_and_blocks(spark, monkeypatch):
     assert all(any({a, b} <= s for s in nodes) for a in range(0, 150, 7) for b in range(0, 150, 11))
 
 
+def test_set_join_sends_no_square_of_a_group(spark, monkeypatch):
+    """Long near copies, whose short signatures decide nothing, give a forest and not all their pairs."""
+    rng = random.Random(8)
+    base = [f"w{i}" for i in range(1500)]
+    rows = []
+    for i in range(120):
+        t = list(base)
+        for _ in range(12):
+            t[rng.randrange(len(t))] = f"x{rng.randrange(10**6)}"
+        rows.append((i, " ".join(t)))
+    sent, store = [], setjoin.store
+
+    def counted(table):
+        out = store(table)
+        if "strong" in out.columns:
+            sent.append(out.count())
+        return out
+
+    monkeypatch.setattr(setjoin, "store", counted)
+    found = sorted(map(tuple, setjoin.join(docs(spark, rows), width=5, percent=80).collect()), key=str)
+    assert found == brute_components(rows, 80, 5)
+    assert len({r[2] for r in found}) == 1 and len(sent) == 1 and sent[0] <= len(rows)
+
+
 def test_set_join_with_repeated_ids(spark):
     a, b, c = "one two three four", "five six seven eight", "nine ten eleven twelve"
     rows = [(3, a), (5, a), (5, b), (7, b), (7, b), (9, c), (9, None), (11, c)]

@@ -15,9 +15,12 @@ intersection is at least ``percent`` per cent of the union.
    are compared by parity signatures: their Hamming distance never exceeds the size of the
    symmetric difference, so no link is lost.  A long list is cut into parts, and each pair of
    parts is a list of its own.
-4. Lists give families: sets joined by chains of pairs that may link.  A list yields a spanning
-   forest of its likely pairs (the rest of them follows from it), and every doubtful pair that
-   crosses its trees, which longer signatures then decide.  Every link is inside a family.
+4. Lists give families: sets joined by chains of pairs that may link.  Close sets are joined
+   first, by a few entries of each set that carry its signature of full length; that decides
+   every pair where it is met, so a list yields a spanning forest and no more.  Then the whole
+   index is searched for pairs of different families: a list yields a spanning forest of its
+   likely pairs, and every doubtful pair that crosses its trees, which the longer signatures
+   then decide.  Every link is inside a family, and no pair inside a close family is sent again.
 5. A family is joined exactly, in pairs of blocks of bounded size.  The overlaps of one set with
    a block are counted by the block's lists; those of every other set are derived from them, by
    the lists of the few shingles in which the two sets differ (answer-level skipping).  A pair
@@ -35,6 +38,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -47,6 +51,7 @@ BITS = 4  # 64-bit words of a signature
 BLOCK = 256
 #: A pair whose short signatures differ in so many bits at most surely has much in common: two random long sets differ in 128 (deviation 8).
 STRONG = 80
+UNSURE = 1 << 40
 #: Entries of a part of a long list; the heaviest LONG lists are cut, so any other holds at most a LONG-th of all entries.
 PART, LONG = 4096, 1 << 20
 #: Sets and shingles of a block of a family.
@@ -55,6 +60,8 @@ MEMBERS, VOLUME = 256, 1 << 20
 FINE = 24
 #: Bytes of text that are hashed at a time: their arrays take about 50 times that.
 TEXT_BYTES = 1 << 18
+#: Index entries of a set by which close sets are found first.
+HEADS = 4
 #: Bytes of index entries that a task gathers before it sends them.
 GATHER = 4 << 20
 _rng = np.random.default_rng(20240607)
@@ -163,20 +170,30 @@ def least_overlap(a, b, percent: int):
 
 
 def signature(s: np.ndarray) -> np.ndarray:
-    """Parities of the set's members by hash slot; about as many slots as members, a power of two."""
-    bits = max(BITS * 64, 1 << int(len(s) - 1).bit_length() if len(s) else 0)
-    return (np.bincount((mix(s) >> U(64 - bits.bit_length() + 1)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)
+    """Parities of the set's members by hash slot: slices(n) runs of 64 BITS slots."""
+    bits = BITS * 64 * int(slices(np.array(len(s))))
+    return (np.bincount((mix(s) & U(bits - 1)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)
+
+
+def slices(n: np.ndarray) -> np.ndarray:
+    """Slices of the full signature of a set of n: one up to 64 BITS members, then a power of two that leaves 2 to 4 slots for each member."""
+    return np.where(n <= BITS * 64, 1, np.left_shift(1, np.frexp(2.0 * n - 1)[1].astype(np.int64)) // (BITS * 64))
+
+
+def shown(n: np.ndarray, percent: int) -> np.ndarray:
+    """Slices into which the signature is cut for the index: one, folded, as long as linked sets of n differ in less than unrelated ones do there (half of the bits, deviation 8)."""
+    return np.where(2 * (n - least_overlap(n, n, percent)) <= BITS * 32 + 16, 1, slices(n))
 
 
 def fold(sig: np.ndarray, bits: int) -> np.ndarray:
     """The signature of fewer slots of the same set."""
-    return sig if len(sig) == bits else (sig.reshape(bits, -1).sum(1) & 1).astype(np.uint8)
+    return sig if len(sig) == bits else (sig.reshape(-1, bits).sum(0) & 1).astype(np.uint8)
 
 
 ENTRY = "doc_id long, n long, f1 long, f2 long, sig binary, wide binary, keys binary"
-ITEM = np.dtype([("list", "<u8"), ("node", "<i8"), ("n", "<i4"), ("pos", "<i4"), ("sig", "<u8", (BITS,))])
+ITEM = np.dtype([("list", "<u8"), ("node", "<i8"), ("family", "<i8"), ("n", "<i4"), ("pos", "<i4"), ("sig", "<u8", (BITS,))])
 #: An entry on its way: lists by 48 bits (two that fall together only make pairs that are rejected), positions up to 65,535 (a lesser one excludes less).
-WIRE = np.dtype([("list", "u1", (6,)), ("pos", "<u2"), ("n", "<u4"), ("node", "<i8"), ("sig", "<u8", (BITS,))])
+WIRE = np.dtype([("list", "u1", (6,)), ("pos", "<u2"), ("n", "<u4"), ("node", "<i8"), ("family", "<i8"), ("sig", "<u8", (BITS,))])
 KEY_BITS = 43
 
 
@@ -194,7 +211,7 @@ def unsix(x: np.ndarray) -> np.ndarray:
 def sealed(e: np.ndarray) -> np.ndarray:
     out = np.empty(len(e), WIRE)
     out["list"], out["pos"] = six(e["list"]), np.minimum(e["pos"], 65_535)
-    for c in ("n", "node", "sig"):
+    for c in ("n", "node", "family", "sig"):
         out[c] = e[c]
     return out
 
@@ -202,7 +219,7 @@ def sealed(e: np.ndarray) -> np.ndarray:
 def opened(w: np.ndarray) -> np.ndarray:
     out = np.empty(len(w), ITEM)
     out["list"] = unsix(w["list"])
-    for c in ("pos", "n", "node", "sig"):
+    for c in ("pos", "n", "node", "family", "sig"):
         out[c] = w[c]
     return out
 
@@ -239,19 +256,24 @@ def index_entries(docs: DataFrame, levels: np.ndarray, width: int, percent: int)
     return docs.mapInArrow(lean(run), ENTRY)
 
 
-def exploded(b: pa.RecordBatch) -> Iterator[np.ndarray]:
-    """Index entries of a batch of nodes, a bounded number of bytes at a time."""
-    node, n = b.column("node").to_numpy(), b.column("n").to_numpy()
+def exploded(b: pa.RecordBatch, percent: int) -> Iterator[np.ndarray]:
+    """Index entries of a batch of nodes, a bounded number of bytes at a time; ``sig`` of a long set is a slice of its full signature, which the key tells."""
+    node, family, n = (b.column(c).to_numpy() for c in ("node", "family", "n"))
     keys, off = bytes_of(b.column("keys"))
     sig, _ = bytes_of(b.column("sig"))
     sig = sig.view(np.uint64).reshape(-1, BITS)
+    wide, begin = bytes_of(b.column("wide"))
+    wide, begin = wide.view(np.uint64).reshape(-1, BITS), begin // (8 * BITS)
     for i, j in chunks(off, GATHER * 6 // ITEM.itemsize, len(off)):
         count = np.diff(off[i : j + 1]) // 6
         out = np.empty(int(count.sum()), ITEM)
         out["list"] = unsix(keys[off[i] : off[j]].reshape(-1, 6))
         row = np.repeat(np.arange(i, j), count)
-        out["node"], out["n"], out["sig"] = node[row], n[row], sig[row]
+        out["node"], out["family"], out["n"], out["sig"] = node[row], family[row], n[row], sig[row]
         out["pos"] = np.arange(len(out)) - np.repeat(np.cumsum(count) - count, count)
+        of = shown(n, percent)[row]
+        at = np.flatnonzero(of > 1)
+        out["sig"][at] = wide[begin[row[at]] + (mix(out["list"][at]) & (of[at] - 1).astype(np.uint64)).astype(np.int64)]
         yield out
 
 
@@ -293,18 +315,37 @@ def dealt(e: np.ndarray, long: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
 
 
 class Lists:
-    """Pairs of index lists that may link: (a, b, strong)."""
+    """Pairs of index lists that may link and are of different families: (a, b, strong), families if strong and nodes if not."""
+
+    #: Bits in which the signatures of a strong pair may differ.
+    strong = STRONG
 
     def __init__(self, percent: int):
         self.percent, self.seen = percent, np.zeros((0, 3), np.int64)
 
     def apart(self, e: np.ndarray, i, j) -> np.ndarray:
-        """Bits in which the signatures of entries i and j (arrays) differ; -1 if sizes, positions or these bits exclude a link."""
+        """Bits in which the signatures of entries i and j (arrays) differ (UNSURE if they are slices); -1 if sizes, positions or these bits exclude a link.
+
+        The members in which two linked sets differ fall into slices at random, so a slice has more
+        of them than Bernstein's bound allows with a probability below 2^-60."""
+        n, m, far, ok = self.reach(e, i, j)
+        s, other = shown(n, self.percent), shown(m, self.percent)
+        bits = np.bitwise_count(e["sig"][i] ^ e["sig"][j]).sum(-1, dtype=np.int64)
+        mean, c = far / s, 60 * np.log(2)
+        most = np.where(s == 1, far, mean + c / 3 + np.sqrt(c * c / 9 + 2 * c * mean))
+        return np.where(ok & ((s != other) | (bits <= most)), np.where((s == 1) & (other == 1), bits, UNSURE), -1)
+
+    def reach(self, e: np.ndarray, i, j) -> tuple:
+        """Sizes of entries i and j, the members in which linked sets of these sizes may differ, and whether sizes and positions allow a link."""
         n, m = e["n"][i].astype(np.int64), e["n"][j].astype(np.int64)
         need = least_overlap(n, m, self.percent)
         ok = (100 * np.minimum(n, m) >= self.percent * np.maximum(n, m)) & (np.minimum(n - e["pos"][i], m - e["pos"][j]) >= need)
-        bits = np.bitwise_count(e["sig"][i] ^ e["sig"][j]).sum(-1, dtype=np.int64)
-        return np.where(ok & (bits <= n + m - 2 * need), bits, -1)
+        return n, m, n + m - 2 * need, ok
+
+    def told(self, e: np.ndarray, i, j, d: np.ndarray) -> list[tuple]:
+        """Rows for the pairs of entries i and j that are d bits apart."""
+        sure = d <= self.strong
+        return [(e[c][i[x]], e[c][j[x]], np.full(x.sum(), s)) for c, s, x in (("family", True, sure), ("node", False, ~sure))]
 
     def small(self, e: np.ndarray, first: np.ndarray, size: np.ndarray) -> list[tuple]:
         """All pairs of lists of a few entries, for all lists at once."""
@@ -313,16 +354,18 @@ class Lists:
         left, row = np.repeat(size, size) - 1 - at, np.repeat(first, size) + at
         for gap in range(1, int(size.max(initial=0))):
             i = row[left >= gap]
+            i = i[e["family"][i] != e["family"][i + gap]]
             d = self.apart(e, i, i + gap)
-            out.append((e["node"][i[d >= 0]], e["node"][i[d >= 0] + gap], d[d >= 0] <= STRONG))
+            i, d = i[d >= 0], d[d >= 0]
+            out += self.told(e, i, i + gap, d)
         return out
 
     def large(self, e: np.ndarray) -> list[tuple]:
-        """A spanning forest of the strong pairs of a list sorted by size, and the other pairs that cross its trees."""
+        """A spanning forest of the strong pairs of a list sorted by size, over its families, and the other pairs that cross its trees."""
         n, pos, out, weak = e["n"].astype(np.int64), e["pos"].astype(np.int64), [], []
         starts = np.arange(0, len(e), BLOCK)
         top, low, least = np.maximum.reduceat(n, starts), np.minimum.reduceat(n, starts), np.minimum.reduceat(pos, starts)
-        part, tested = np.arange(len(e)), np.zeros(len(e), bool)
+        part, tested = np.unique(e["family"], return_inverse=True)[1], np.zeros(len(e), bool)
 
         def look(i: int, fresh: bool) -> None:
             """Entry i against those of other trees: all of them, or (fresh) those of which none was compared yet."""
@@ -334,19 +377,18 @@ class Lists:
             j = j[~tested[j] & (part[j] != part[i])] if fresh else j[part[j] != part[i]]
             d = self.apart(e, i, j)
             j, d = j[d >= 0], d[d >= 0]
-            strong = d <= STRONG
+            strong = d <= self.strong
             if (~strong).any():
                 weak.append((np.full((~strong).sum(), i), j[~strong]))
             j = j[strong]
             if not len(j):
                 return
             if fresh:  # a star
-                part[j], tested[j] = part[i], True
-            else:
-                own, at = np.unique(part[j], return_index=True)
-                j = j[at]
-                part[np.isin(part, own)] = part[i]
-            out.append((np.full(len(j), e["node"][i]), e["node"][j], np.ones(len(j), bool)))
+                tested[j] = True
+            own, at = np.unique(part[j], return_index=True)
+            j = j[at]
+            part[np.isin(part, own)] = part[i]
+            out.append((np.full(len(j), e["family"][i]), e["family"][j], np.ones(len(j), bool)))
 
         order = np.argsort(e["node"], kind="stable")  # the same centres in every list
         for i in order.tolist():
@@ -390,10 +432,100 @@ def rows_in(p: np.ndarray, seen: np.ndarray) -> np.ndarray:
     return hit[len(seen) :]
 
 
-def candidates(nodes: DataFrame, percent: int) -> DataFrame:
-    """nodes: node, n, sig, keys.  Pairs a < b that connect every two nodes which may link, with ``strong``."""
+class Close(Lists):
+    """The same over entries whose ``sig`` holds the words and the row of a signature of full length; these decide every pair that is not strong."""
+
+    strong = UNSURE
+
+    def __init__(self, percent: int):
+        super().__init__(percent)
+        self.full: dict[int, np.ndarray] = {}
+
+    def apart(self, e: np.ndarray, i, j) -> np.ndarray:
+        n, _, far, ok = self.reach(e, i, j)
+        bits, short = self.bits(e, i, j)
+        return np.where(ok & ((bits <= far) | (shown(n, self.percent) == 1) & (short <= np.minimum(STRONG, far))), bits, -1)
+
+    def bits(self, e: np.ndarray, i, j) -> tuple[np.ndarray, np.ndarray]:
+        """Bits in which the signatures of entries i and j differ, in full and folded."""
+        x, y = np.broadcast_arrays(e["sig"][i][..., :2], e["sig"][j][..., :2])
+        out, short = np.zeros(len(x), np.int64), np.zeros(len(x), np.int64)
+        size = np.stack([x[:, 0], y[:, 0]], 1).astype(np.int64)
+        for v, w in np.unique(size, axis=0).tolist():
+            at, least = np.flatnonzero((size == (v, w)).all(1)), min(v, w)
+            a, b = (np.bitwise_xor.reduce(self.full[k][z[at, 1].astype(np.int64)].reshape(len(at), -1, least), axis=1) for k, z in ((v, x), (w, y)))
+            out[at] = np.bitwise_count(a ^ b).sum(-1, dtype=np.int64)
+            short[at] = np.bitwise_count(np.bitwise_xor.reduce((a ^ b).reshape(len(at), -1, BITS), axis=1)).sum(-1, dtype=np.int64)
+        return out, short
+
+    def of(self, b: pa.Table) -> np.ndarray:
+        """Pairs of the lists in b: list, node, n, pos, sig."""
+        e = np.empty(b.num_rows, ITEM)
+        for c in ("list", "node", "n", "pos"):
+            e[c] = b.column(c).to_numpy()
+        e["family"] = e["node"]
+        raw, off = bytes_of(b.column("sig").combine_chunks())
+        words = np.diff(off) // 8
+        self.full = {}
+        for w in np.unique(words).tolist():
+            at = np.flatnonzero(words == w)
+            self.full[w] = raw[off[at][:, None] + np.arange(8 * w)].view(np.uint64)
+            e["sig"][at, 0], e["sig"][at, 1] = w, np.arange(len(at))
+        return self.pairs(e)
+
+
+def close(nodes: DataFrame, long: tuple[np.ndarray, np.ndarray], percent: int) -> DataFrame:
+    """nodes: node, n, sig, wide, keys.  Pairs (a, b) that may link by signatures of full length and share one of HEADS index entries of each, drawn by a hash of their own: in the global order those that no other set has come first.
+
+    What is missed here, candidates() finds; so the parts of a long list are not compared with each other."""
+    sent = nodes.sparkSession.sparkContext.broadcast(long)
+
+    def heads(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, parts = sent.value
+        for b in batches:
+            node = b.column("node").to_numpy()
+            raw, off = bytes_of(b.column("keys"))
+            for i, j in chunks(off, GATHER * 6 // ITEM.itemsize, len(off)):
+                key, count = unsix(raw[off[i] : off[j]].reshape(-1, 6)), np.diff(off[i : j + 1]) // 6
+                start = np.cumsum(count) - count
+                order = np.lexsort((mix(key & U((1 << KEY_BITS) - 1)), np.repeat(np.arange(i, j), count)))
+                at = order[np.arange(len(key)) - np.repeat(start, count) < HEADS]
+                row = np.searchsorted(start, at, side="right") - 1
+                pos, own, row = at - start[row], key[at], row + i
+                if len(keys):
+                    k = np.minimum(np.searchsorted(keys, own), len(keys) - 1)
+                    of = np.where(keys[k] == own, parts[k], 1).astype(np.uint64)
+                    own = own + (mix(node[row].view(np.uint64) ^ mix(own)) % of << U(48))
+                yield pa.RecordBatch.from_arrays([pa.array(own.view(np.int64)), b.column("node").take(pa.array(row)), b.column("n").take(pa.array(row)), pa.array(pos, pa.int64()), pc.coalesce(b.column("wide"), b.column("sig")).take(pa.array(row))], names=["list", "node", "n", "pos", "sig"])
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        work, own = Close(percent), []
+
+        def found() -> Iterator[pa.RecordBatch]:
+            p = work.of(pa.Table.from_batches(own)) if own else ()
+            if len(p):
+                yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], names=["a", "b"])
+
+        for b in batches:
+            lists = b.column("list").to_numpy()
+            if not len(lists):
+                continue
+            last = int(np.searchsorted(lists, lists[-1]))  # its last list may go on
+            if last or own and own[-1].column("list")[-1].as_py() != lists[-1]:
+                own.append(b.slice(0, last))
+                yield from found()
+                own = []
+            own.append(b.slice(last))
+        yield from found()
+
+    each = nodes.select("node", "n", "sig", "wide", "keys").mapInArrow(lean(heads), "list long, node long, n long, pos long, sig binary")
+    return each.repartition("list").sortWithinPartitions("list").mapInArrow(lean(search), "a long, b long").distinct()
+
+
+def candidates(nodes: DataFrame, long: tuple[np.ndarray, np.ndarray], percent: int) -> DataFrame:
+    """nodes: node, family, n, sig, wide, keys.  Pairs a < b that connect every two nodes of different families which may link, with ``strong``."""
     spark = nodes.sparkSession
-    sent = spark.sparkContext.broadcast(long_lists(nodes))
+    sent = spark.sparkContext.broadcast(long)
     buckets = FINE * int(spark.conf.get("spark.sql.shuffle.partitions"))
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -408,7 +540,7 @@ def candidates(nodes: DataFrame, percent: int) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array(got.astype(np.int64)), pa.array([e[x:y].tobytes() for x, y in zip(at, at[1:])], pa.binary())], names=["bucket", "entries"])
 
         for b in batches:
-            for e in exploded(b) if b.num_rows else ():
+            for e in exploded(b, percent) if b.num_rows else ():
                 own.append(dealt(e, sent.value))
                 size += own[-1].nbytes
                 if size > GATHER:
@@ -433,7 +565,7 @@ def candidates(nodes: DataFrame, percent: int) -> DataFrame:
                 own.append(np.frombuffer(x.as_buffer(), WIRE))
         yield from found()
 
-    packed = nodes.select("node", "n", "sig", "keys").mapInArrow(lean(pack), "bucket long, entries binary").repartition("bucket").sortWithinPartitions("bucket")
+    packed = nodes.select("node", "family", "n", "sig", "wide", "keys").mapInArrow(lean(pack), "bucket long, entries binary").repartition("bucket").sortWithinPartitions("bucket")
     return packed.mapInArrow(lean(search), "a long, b long, strong boolean").distinct()
 
 
@@ -633,8 +765,11 @@ def join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", wid
     if clash:
         sets_ = store(sets_.filter("torn").select("doc_id", *same))
     drop(whole)
-    pairs = store(candidates(nodes, percent))
-    may = store(pairs.filter("strong").select("a", "b").unionByName(sharpened(pairs.filter("not strong").select("a", "b"), nodes, percent)))
+    long = long_lists(nodes)
+    near = store(close(nodes, long, percent))
+    near_parts = store(components(near))
+    pairs = store(candidates(nodes.join(near_parts, "node", "left").withColumn("family", F.coalesce("part", "node")), long, percent))
+    may = store(near_parts.select(F.col("node").alias("a"), F.col("part").alias("b")).unionByName(pairs.filter("strong").select("a", "b")).unionByName(sharpened(pairs.filter("not strong").select("a", "b"), nodes, percent)))
     families = store(components(may).join(nodes.select("node", "doc", *same, "weight"), "node").withColumnRenamed("part", "family"))
     found = links_within(families, docs, width, percent)
     edges = found.filter("b is not null").select("a", "b")
@@ -647,7 +782,7 @@ def join(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", wid
     links = found.filter("b is null").groupBy(F.col("a").alias("node")).agg(F.sum("links").alias("links"))
     classes = who.join(parts.join(label, "part"), "node", "left").join(links, "node", "left")
     classes = store(classes.select(*same, F.coalesce("component", "least").alias("component"), (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("links")))
-    for t in (pairs, may, families, found, parts, nodes):
+    for t in (near, near_parts, pairs, may, families, found, parts, nodes):
         drop(t)
     out = entries.select("doc_id", *same).join(classes, same, "left")
     no_id = F.col("doc_id").isNull()
